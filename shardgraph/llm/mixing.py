@@ -117,6 +117,21 @@ def mix(
     return full.unionByName(part).select("doc_id", *LEVELS, F.col("epoch").cast("int").alias("epoch"), "n_tokens")
 
 
+def in_mix(docs: DataFrame, budget_share: float, seed: int = 7, weights: dict[str, dict[str, int]] | None = None) -> DataFrame:
+    """Rows of ``docs`` that one epoch of the mixture takes, all columns kept.
+
+    A leaf's prefix ends at one hash, so a small table of cuts, one per leaf, decides every row
+    where it stands; texts are not shuffled. Nulls as in ``mix``; rows that repeat an id go together.
+    """
+    h = F.md5(F.concat_ws("-", F.lit(str(seed)), F.lit("1"), F.coalesce(F.col("doc_id").cast("string"), F.lit("?"))))
+    src = F.coalesce(F.col("source"), F.lit("?"))
+    taken = mix(docs, budget_share, 1, seed, weights).where("epoch = 1")
+    cuts = Workspace(docs.sparkSession, "cuts").write(taken.groupBy(*LEVELS).agg(F.max(h).alias("cut")).coalesce(1), "cuts")
+    few = cuts.count() <= 100_000
+    here = docs.select(F.struct(*docs.columns).alias("_row"), domain_of(src).alias("domain"), F.coalesce("lang", F.lit("?")).alias("lang"), src.alias("source"), h.alias("h"))
+    return here.join(F.broadcast(cuts) if few else cuts, list(LEVELS)).where("h <= cut").select("_row.*")
+
+
 def _sql_weight(col: str, weights: dict[str, int]) -> str:
     return "case " + " ".join(f"when {col} = '{k}' then {w}" for k, w in weights.items()) + f" else {OTHER} end" if weights else str(OTHER)
 
