@@ -227,7 +227,7 @@ def sample_state(sample_prefs: DataFrame, capacity: np.ndarray) -> ClusterState:
     return ClusterState(capacity, n / max(n.sum(), 1), far, float(max(n.sum(), 1)))
 
 
-def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan, cfg: PartitionConfig, col: str = "q", sample_rows: int = 20_000, top_m: int | None = None) -> Partitioned:
+def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan, cfg: PartitionConfig, col: str = "q", sample_rows: int = 20_000, top_m: int | None = None, start: ClusterState | None = None) -> Partitioned:
     """One pass over the vectors, block by block.
 
     Preference lists are computed in one scan and written by block; from there on only slim rows
@@ -244,8 +244,9 @@ def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan
         raise ValueError("the shards have less room than there are vectors")
     prefs = preferences(with_blocks(vectors, cfg.blocks, cfg.order), centroids, top_m, col=col, keep=("block_id",))
     prefs = ws.write(prefs, "prefs", by="block_id")
+    # the seed of radii and shares: the caller's, or a bounded sample's
     some = prefs.where(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 20)) < int((1 << 20) * min(1.0, sample_rows / max(n, 1))))
-    state = sample_state(some, np.full(k, plan.capacity, np.int64))
+    state = start or sample_state(some, np.full(k, plan.capacity, np.int64))
     sizes = {r.block_id: r["count"] for r in prefs.groupBy("block_id").count().collect()}
     log, parts, left = [], [], n
     for b in sorted(sizes):

@@ -19,10 +19,14 @@ def e64q(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _bucketed(tokens: DataFrame, dims: int) -> DataFrame:
-    """(id, bucket, s): signed sums of the token hashes; 28 bits of md5 give bucket and sign in any engine."""
+    """(id, bucket, s): signed sums of the token hashes; 28 bits of md5 give bucket and sign in any engine.
+
+    Equal tokens of a text are counted first, so each is hashed once.
+    """
+    counted = tokens.groupBy("vec_id", "tok").agg(F.count("*").alias("n"))
     h = F.conv(F.substring(F.md5("tok"), 1, 7), 16, 10).cast("bigint")
-    signed = tokens.withColumn("h", h).select("vec_id", (F.col("h") % dims).cast("int").alias("bucket"), (1 - 2 * (F.floor(F.col("h") / dims) % 2)).cast("bigint").alias("sign"))
-    return signed.groupBy("vec_id", "bucket").agg(F.sum("sign").alias("s")).where("s <> 0")
+    signed = counted.withColumn("h", h).select("vec_id", (F.col("h") % dims).cast("int").alias("bucket"), (F.col("n") * (1 - 2 * (F.floor(F.col("h") / dims) % 2))).cast("bigint").alias("s"))
+    return signed.groupBy("vec_id", "bucket").agg(F.sum("s").alias("s")).where("s <> 0")
 
 
 def hashed_words(texts: DataFrame, dims: int = 768) -> DataFrame:
