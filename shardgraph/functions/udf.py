@@ -8,31 +8,31 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import StructType
+from pyspark.sql.types import ArrayType, IntegerType, LongType, StructField, StructType
 
 
 
-@F.pandas_udf("bigint")
+@F.pandas_udf(LongType())
 def vec_dist(a: pd.Series, b: pd.Series) -> pd.Series:
     """Squared distance, one Arrow batch at a time."""
     x, y = np.stack(a.to_numpy()).astype(np.int64), np.stack(b.to_numpy()).astype(np.int64)
     return pd.Series(((x - y) ** 2).sum(axis=1))
 
 
-@F.arrow_udf("bigint")
+@F.arrow_udf(LongType())
 def vec_dist_arrow(a: pa.Array, b: pa.Array) -> pa.Array:
     x, y = (np.asarray(c.flatten().to_numpy(zero_copy_only=False), np.int64).reshape(len(c), -1) for c in (a, b))
     return pa.array(((x - y) ** 2).sum(axis=1))
 
 
-@F.pandas_udf("array<bigint>")
+@F.pandas_udf(ArrayType(LongType()))
 def centroid(xs: pd.Series) -> np.ndarray:
     """Rounded mean vector of a group that fits one worker; large groups use the partial sums of ``mean_by``."""
     m = np.stack(xs.to_numpy()).astype(np.int64)
     return np.floor(m.sum(axis=0) / len(m) + 0.5).astype(np.int64).tolist()
 
 
-@F.udtf(returnType="vec_id bigint, nbr bigint, d2 bigint")
+@F.udtf(returnType=StructType([StructField(c, LongType()) for c in ("vec_id", "nbr", "d2")]))
 class ExpandNeighbors:
     """Graph row to edge rows; ``inline`` is the built-in twin."""
 
@@ -49,7 +49,7 @@ class Preference:
     def analyze(q, centroids):
         from pyspark.sql.udtf import AnalyzeResult
 
-        return AnalyzeResult(StructType.fromDDL("shard_id int, d2 bigint, rank int"))
+        return AnalyzeResult(StructType([StructField("shard_id", IntegerType()), StructField("d2", LongType()), StructField("rank", IntegerType())]))
 
     def eval(self, q, centroids):
         d = ((np.asarray(centroids, np.int64) - np.asarray(q, np.int64)) ** 2).sum(axis=1)
