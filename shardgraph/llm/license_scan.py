@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 from functools import lru_cache
 
+import ahocorasick
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -33,15 +34,25 @@ NOTICES = {
 EDIT_SHARE = 0.12
 
 
-@lru_cache(maxsize=64)
+def _bigrams(text: str) -> set[str]:
+    return {text[i : i + 2] for i in range(len(text) - 1)}
+
+
+@lru_cache(maxsize=8)
 def _plans(notices: tuple[tuple[str, str], ...]):
-    out = []
-    for text, label in notices:
+    """One automaton over the pieces of all notices, and per notice its label, edits, bigrams and pattern."""
+    plans, pieces = [], {}
+    for n, (text, label) in enumerate(notices):
         k = max(1, int(len(text) * EDIT_SHARE))
         cut = [round(i * len(text) / (k + 1)) for i in range(k + 2)]
-        seeds = [(text[a:b].encode(), a) for a, b in zip(cut, cut[1:], strict=False)]
-        out.append((text, label, k, seeds, regex.compile(f"(?:{regex.escape(text)}){{e<={k}}}", regex.BESTMATCH)))
-    return out
+        for a, b in zip(cut, cut[1:], strict=False):
+            pieces.setdefault(text[a:b], []).append((n, b))
+        plans.append((text, label, k, _bigrams(text), regex.compile(f"(?:{regex.escape(text)}){{e<={k}}}", regex.BESTMATCH)))
+    find = ahocorasick.Automaton()
+    for piece, uses in pieces.items():
+        find.add_word(piece, uses)
+    find.make_automaton()
+    return plans, find
 
 
 def words_of(text: str | None) -> list[bytes]:
@@ -63,27 +74,28 @@ def notice_spans(flat: bytes, notices: dict[str, str] = NOTICES) -> list[tuple[s
     """Matches (notice, label, start, end, edits) with at most ``EDIT_SHARE`` edits a character.
 
     A match with k edits holds one of k + 1 pieces unchanged, so the pieces' exact places give all
-    windows that can hold one; the regex engine verifies the edits there. Offsets are bytes.
+    windows that can hold one; the regex engine verifies the edits there, after a bound by bigrams. Offsets are bytes.
     """
-    out = []
-    for text, label, k, seeds, pattern in _plans(tuple(notices.items())):
-        windows: list[list[int]] = []
-        for seed, offset in seeds:
-            at = flat.find(seed)
-            while at >= 0:
-                windows.append([max(0, at - offset - k), at - offset + len(text) + k])
-                at = flat.find(seed, at + 1)
-        windows.sort()
-        merged: list[list[int]] = []
-        for a, b in windows:
-            if merged and a <= merged[-1][1]:
-                merged[-1][1] = max(b, merged[-1][1])
+    plans, find = _plans(tuple(notices.items()))
+    text = flat.decode("latin-1")
+    windows: dict[int, list[list[int]]] = {}
+    for end, uses in find.iter(text):
+        for n, upto in uses:
+            size, k = len(plans[n][0]), plans[n][2]
+            a = max(0, end + 1 - upto - k)
+            got = windows.setdefault(n, [])
+            if got and a <= got[-1][1]:
+                got[-1][0], got[-1][1] = min(got[-1][0], a), max(got[-1][1], a + size + 2 * k)
             else:
-                merged.append([a, b])
-        for a, b in merged:
-            part = flat[a:b].decode("latin-1")
-            for m in pattern.finditer(part):
-                out.append((text, label, a + m.start(), a + m.end(), sum(m.fuzzy_counts)))
+                got.append([a, a + size + 2 * k])
+    out = []
+    for n, spans in sorted(windows.items()):
+        notice, label, k, bigrams, pattern = plans[n]
+        for a, b in spans:
+            part = text[a:b]
+            # an edit takes two bigrams at most, so a part that lacks more holds no match
+            if len(bigrams - _bigrams(part)) <= 2 * k:
+                out += [(notice, label, a + m.start(), a + m.end(), sum(m.fuzzy_counts)) for m in pattern.finditer(part)]
     return out
 
 
