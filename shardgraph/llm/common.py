@@ -1,69 +1,20 @@
-"""Shared pieces: tables in the shared folder, connected components, words."""
+"""Shared pieces: connected components, words, tables."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from shardgraph.workspace import Workspace, shared_dir
+
+__all__ = ["WORD_BYTES", "Workspace", "components", "letter_case", "shared_dir", "table"]
+
 #: Turns A-Z into a-z and every ASCII byte that is neither a letter nor a digit into a space.
 WORD_BYTES = bytes(
     b + 32 if 65 <= b <= 90 else b if b >= 128 or 48 <= b <= 57 or 97 <= b <= 122 else 32
     for b in range(256)
 )
 
-_kept: list[tuple[SparkSession, str]] = []
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that spark.checkpoint.dir names; one of our own only where it is unset."""
-    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not named:
-        named = tempfile.mkdtemp(prefix="shardgraph-")
-        spark.sparkContext.setCheckpointDir(named)
-        named = spark.sparkContext.getCheckpointDir()
-    return named.rstrip("/")
-
-
-def _delete(spark: SparkSession, path: str) -> None:
-    p = spark._jvm.org.apache.hadoop.fs.Path(path)
-    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
-
-
-@atexit.register
-def _delete_kept() -> None:
-    for spark, path in _kept:
-        try:
-            _delete(spark, path)
-        except Exception:  # noqa: BLE001  the session may have ended first
-            return
-
-
-class Workspace:
-    """Parquet tables of one operator call in the shared folder.
-
-    Writing cuts the lineage and survives lost executors. ``drop`` removes a table once nothing
-    reads it; those that the returned frame still reads go when the Python process ends.
-    """
-
-    def __init__(self, spark: SparkSession, name: str):
-        self.spark = spark
-        self.root = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-        _kept.append((spark, self.root))
-
-    def write(self, df: DataFrame, name: str) -> DataFrame:
-        path = f"{self.root}/{name}"
-        df.write.mode("overwrite").parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path)
-
-    def drop(self, *names: str) -> None:
-        for name in names:
-            _delete(self.spark, f"{self.root}/{name}")
-
-
 def components(edges: DataFrame, ws: Workspace, name: str = "cc", max_rounds: int = 60) -> DataFrame:
     """Smallest id reachable from each id of ``edges(a, b)``: rows ``(id, component)``.
 
