@@ -1,4 +1,4 @@
-"""Toxicity grades by cumulative-link ordinal regression over sparse word features."""
+"""Toxicity grades by cumulative-link ordinal regression over sparse features of words."""
 
 from __future__ import annotations
 
@@ -13,19 +13,39 @@ from pyspark.sql import functions as F
 from shardgraph.llm.common import WORD_BYTES
 
 
+#: Length of the character n-grams of a word, its ends marked.
+GRAM = 5
+#: Words whose sums a task remembers before it starts anew.
+REMEMBERED = 500_000
+
+
 def word_set(text: str | None) -> set[bytes]:
     return set((text or "").encode("utf-8", "surrogatepass").translate(WORD_BYTES).split())
 
 
+def features_of(word: bytes) -> set[bytes]:
+    """The word itself and its character n-grams, which inflected and joined forms share."""
+    w = "^" + word.decode("utf-8", "replace") + "$"
+    return {word, *(w[i : i + GRAM].encode("utf-8", "replace") for i in range(len(w) - GRAM + 1))}
+
+
 class OrdinalModel:
     """P(grade <= j) = sigmoid(theta_j - w.x) over the grades seen; one weight vector, ordered thresholds."""
 
     def __init__(self, grades: list[int], vocabulary: dict[bytes, int], weights: np.ndarray, theta: np.ndarray):
         self.grades, self.vocabulary, self.weights, self.theta = grades, vocabulary, weights, theta
+        self.sums: dict[bytes, float] = {}
+
+    def word_sum(self, word: bytes) -> float:
+        got = self.sums.get(word)
+        if got is None:
+            if len(self.sums) >= REMEMBERED:
+                self.sums.clear()
+            got = self.sums[word] = float(sum(self.weights[self.vocabulary[f]] for f in features_of(word) & self.vocabulary.keys()))
+        return got
 
     def probabilities(self, texts: list[str | None]) -> np.ndarray:
-        v, known = self.vocabulary, self.vocabulary.keys()
-        x = np.array([self.weights[[v[w] for w in known & word_set(t)]].sum() for t in texts])
+        x = np.array([sum(map(self.word_sum, sorted(word_set(t)))) for t in texts])
         below = 1 / (1 + np.exp(np.clip(x[:, None] - self.theta[None, :], -60, 60)))
         return np.diff(np.c_[np.zeros(len(texts)), below, np.ones(len(texts))], axis=1)
 
@@ -38,7 +58,7 @@ class OrdinalModel:
         if k == 1:
             return cls(grades, vocabulary, w, gaps)
         at = np.repeat(np.arange(n), [len(r) for r in rows])
-        ix = np.concatenate([np.asarray(r, np.int64) for r in rows]) if n else np.empty(0, np.int64)
+        ix = np.concatenate([np.asarray(r, np.int64) for r in rows]) if n else np.empty(0, np.int64)  # a feature stands once per word that has it
         label = np.searchsorted(grades, y)
         share = np.clip(np.cumsum(np.bincount(label, minlength=k))[:-1] / n, 1e-3, 1 - 1e-3)
         theta0 = np.log(share / (1 - share))
@@ -67,7 +87,7 @@ class OrdinalModel:
 def _features(vocabulary: dict[bytes, int]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = [sorted(vocabulary[w] for w in vocabulary.keys() & word_set(t)) for t in b.column("text").to_pylist()]
+            rows = [sorted(vocabulary[f] for w in word_set(t) for f in features_of(w) & vocabulary.keys()) for t in b.column("text").to_pylist()]
             yield pa.RecordBatch.from_pydict({"grade": b.column("grade"), "x": pa.array(rows, pa.list_(pa.int32()))})
 
     return run
@@ -75,26 +95,36 @@ def _features(vocabulary: dict[bytes, int]):
 
 def _words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        words = [w for t in b.column("text").to_pylist() for w in word_set(t)]
-        yield pa.RecordBatch.from_pydict({"word": pa.array(words, pa.binary())})
+        sets = [set().union(*map(features_of, word_set(t))) for t in b.column("text").to_pylist()]
+        grade = np.repeat(b.column("grade").to_numpy(), [len(s) for s in sets])
+        yield pa.RecordBatch.from_pydict({"grade": pa.array(grade, pa.int32()), "word": pa.array([w for s in sets for w in s], pa.binary())})
 
 
-def train(docs: DataFrame, labels: DataFrame, max_rows: int = 8_000, max_features: int = 20_000, min_rows: int = 4) -> OrdinalModel:
+def train(docs: DataFrame, labels: DataFrame, max_rows: int = 8_000, max_features: int = 20_000, min_rows: int = 4, slack: float = -2.0) -> OrdinalModel:
     """Model of the labelled documents, from a hash sample of at most about ``max_rows`` of them.
 
-    Grade 0: not toxic; 1: toxic; 2: toxic and of low quality. Grades without a row are left out.
-    Features are the words of at least ``min_rows`` sampled documents, the ``max_features`` most
-    frequent ones, so what reaches the driver is bounded by both parameters.
+    The label ``toxic`` is the grade, 0 and up; grades without a row are left out. Several labels of
+    a document count as the highest.
+    Features are the words and n-grams of at least ``min_rows`` sampled documents whose share of toxic ones is
+    off by more than the number of features tested would give by chance (n times the divergence over
+    the logarithm of that number plus ``slack``), the ``max_features`` strongest. What reaches the driver is
+    bounded by both parameters.
     """
-    grade = F.when(F.col("toxic") == 0, 0).when(F.col("quality") == 0, 2).otherwise(1)
-    marked = labels.where("toxic is not null and doc_id is not null").select("doc_id", grade.alias("grade")).groupBy("doc_id").agg(F.max("grade").alias("grade"))
+    marked = labels.where("toxic is not null and doc_id is not null").select("doc_id", F.col("toxic").cast("int").alias("grade")).groupBy("doc_id").agg(F.max("grade").alias("grade"))
     n = marked.count()
     if n > max_rows:
         marked = marked.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int((1 << 30) * max_rows / n))
     rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(marked), "doc_id").select("grade", "text")
     rows = rows.cache()
-    counts = rows.select("text").mapInArrow(_words, "word binary").groupBy("word").count().where(F.col("count") >= min_rows)
-    top = counts.orderBy(F.col("count").desc(), "word").limit(max_features).collect()
+    total, toxic = rows.agg(F.count("*"), F.count_if(F.col("grade") > 0)).first()
+    p0 = min(max(toxic / max(total, 1), 1e-6), 1 - 1e-6)
+    counts = rows.mapInArrow(_words, "grade int, word binary").groupBy("word").agg(F.count("*").alias("n"), F.count_if(F.col("grade") > 0).alias("pos")).where(F.col("n") >= min_rows)
+    p = F.col("pos") / F.col("n")
+    part = lambda x, y: F.when(x > 0, x * F.log(x / y)).otherwise(0.0)
+    scored = counts.withColumn("score", F.col("n") * (part(p, p0) + part(1 - p, 1 - p0))).cache()
+    chance = float(np.log(max(scored.count(), 1)) + slack)
+    top = scored.where(F.col("score") >= chance).orderBy(F.col("score").desc(), "word").limit(max_features).collect()
+    scored.unpersist()
     vocabulary = {bytes(r.word): i for i, r in enumerate(top)}
     got = rows.mapInArrow(_features(vocabulary), "grade int, x array<int>").collect()
     rows.unpersist()
