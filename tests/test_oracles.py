@@ -1,8 +1,7 @@
 """Every core query with an SQL twin, on the smallest tables."""
 
 import pytest
-from compare import differences, duck
-from conftest import SF_SMOKE
+from compare import SF_SMOKE, differences, duck
 
 from shardgraph.catalog import CORE
 

@@ -2,8 +2,7 @@ import shutil
 
 import numpy as np
 import pytest
-from compare import duck, plain
-from conftest import SF_SMOKE
+from compare import SF_SMOKE, duck, plain
 from pyspark.sql import functions as F
 
 from shardgraph.functions.vectors import validated
