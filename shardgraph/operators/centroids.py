@@ -13,6 +13,10 @@ from shardgraph.operators.arrays import lists, matrix, sq_distances
 from shardgraph.workspace import Workspace
 
 
+#: Distances that a task holds at once: 32 MB, whatever the number of shards.
+MATRIX_CELLS = 4_000_000
+
+
 def bounded_sample(vectors: DataFrame, rows: int, seed: int = 0) -> DataFrame:
     """About ``rows`` vectors by a seeded hash of the id, the same in every run and partitioning."""
     n = vectors.count()
@@ -141,30 +145,35 @@ def preferences(vectors: DataFrame, centroids: np.ndarray, top_m: int | None = N
     k = len(centroids)
     m = min(top_m or k, k)
     shared = vectors.sparkSession.sparkContext.broadcast((centroids, tree))
+    rows_at_once = max(1, MATRIX_CELLS // max(k, 1))
+
+    def distances(x: np.ndarray, c: np.ndarray, t) -> np.ndarray:
+        if t is not None:
+            coarse, cell, probes = t
+            near = np.argsort(sq_distances(x, coarse), axis=1, kind="stable")[:, :probes]
+            d = np.full((len(x), len(c)), np.inf)
+            for one in np.unique(near).tolist():  # each probed cell against the rows that probe it
+                rows, cols = np.flatnonzero((near == one).any(axis=1)), np.flatnonzero(cell == one)
+                d[np.ix_(rows, cols)] = sq_distances(x[rows], c[cols])
+            return d
+        if metric == "l2":
+            return sq_distances(x, c)
+        if metric == "ip":
+            return -(x @ c.T)
+        y, z = (v / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-300) for v in (x, c))
+        return 1.0 - y @ z.T
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c, t = shared.value
-        for b in batches:
-            if not b.num_rows:
-                continue
-            x = matrix(b.column("_x"))
-            if metric == "l2":
-                d = sq_distances(x, c)
-            else:
-                y, z = x, c
-                if metric == "cosine":
-                    y = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
-                    z = c / np.maximum(np.linalg.norm(c, axis=1, keepdims=True), 1e-300)
-                d = (1.0 if metric == "cosine" else 0.0) - y @ z.T
-            if t is not None:
-                coarse, cell, probes = t
-                near = np.argsort(sq_distances(x, coarse), axis=1, kind="stable")[:, :probes]
-                d = np.where((near[:, :, None] == cell[None, None, :]).any(axis=1), d, np.inf)
-            order = np.argsort(d, axis=1, kind="stable")[:, :m]
-            dist = np.take_along_axis(d, order, axis=1)
-            fine = np.isfinite(dist)
-            prefs = pa.StructArray.from_arrays([pa.array(dist[fine]), pa.array(order[fine].astype(np.int32))], names=["dist", "shard_id"])
-            yield pa.RecordBatch.from_arrays([b.column("vec_id"), *(b.column(c_) for c_ in keep), lists(prefs, fine.sum(axis=1))], names=["vec_id", *keep, "prefs"])
+        for whole in batches:
+            for a in range(0, whole.num_rows, rows_at_once):
+                b = whole.slice(a, rows_at_once)
+                d = distances(matrix(b.column("_x")), c, t)
+                order = np.argsort(d, axis=1, kind="stable")[:, :m]
+                dist = np.take_along_axis(d, order, axis=1)
+                fine = np.isfinite(dist)
+                prefs = pa.StructArray.from_arrays([pa.array(dist[fine]), pa.array(order[fine].astype(np.int32))], names=["dist", "shard_id"])
+                yield pa.RecordBatch.from_arrays([b.column("vec_id"), *(b.column(c_) for c_ in keep), lists(prefs, fine.sum(axis=1))], names=["vec_id", *keep, "prefs"])
 
     kinds = "".join(f", {c_} {vectors.schema[c_].dataType.simpleString()}" for c_ in keep)
     return vectors.select("vec_id", *keep, F.col(col).alias("_x")).mapInArrow(run, f"vec_id bigint{kinds}, prefs array<struct<dist:double,shard_id:int>>")

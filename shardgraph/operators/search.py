@@ -51,10 +51,10 @@ def search_exact(vectors: DataFrame, queries: DataFrame, k: int, col: str = "q")
     One pass: each task keeps k rows per query over all its batches, so the shuffle is k x queries
     per task; the queries are broadcast after a check of their size.
     """
-    shared = vectors.sparkSession.sparkContext.broadcast(load_queries(queries, col))
+    shared = vectors.sparkSession.sparkContext.broadcast(tuple(load_queries(queries, col)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        q = shared.value
+        q = Queries(*shared.value)
         best_d, best_i = np.full((len(q.ids), 0), 0.0), np.empty((len(q.ids), 0), np.int64)
         for b in batches:
             if b.num_rows and len(q.ids):
@@ -165,7 +165,7 @@ def search_split(graphs: DataFrame, vectors: DataFrame, queries: DataFrame, k: i
     ``probes(query_id, shard_id)`` only those shards are searched (routed serving of a merged
     graph's shards). An id found in two shards counts once.
     """
-    shared = graphs.sparkSession.sparkContext.broadcast(load_queries(queries, col))
+    shared = graphs.sparkSession.sparkContext.broadcast(tuple(load_queries(queries, col)))
     nodes = graphs.join(vectors.select("vec_id", F.col(col).alias("x")), "vec_id").select("shard_id", "vec_id", "nbrs", "x")
     routes = None
     if probes is not None:
@@ -183,7 +183,7 @@ def search_split(graphs: DataFrame, vectors: DataFrame, queries: DataFrame, k: i
         for s in np.unique(shard).tolist():
             part = t.filter(pa.array(shard == s))
             part = part.take(pa.array(np.argsort(part.column("vec_id").to_numpy(), kind="stable")))
-            ids, x, q = part.column("vec_id").to_numpy(), matrix(part.column("x")), shared.value
+            ids, x, q = part.column("vec_id").to_numpy(), matrix(part.column("x")), Queries(*shared.value)
             if routes is not None:
                 m = np.isin(q.ids, list(routes.value.get(s, ())))
                 q = Queries(q.ids[m], q.x[m])
