@@ -149,12 +149,14 @@ class Index:
 SCHEMA = "item_id bigint, coverage double, n_tiles int, n_covered bigint"
 
 
-def _overlap_udf(index):
+def _overlap_udf(shared):
     @F.arrow_udf(SCHEMA)
     def overlap(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         kinds = (("item_id", pa.int64()), ("coverage", pa.float64()), ("n_tiles", pa.int32()), ("n_covered", pa.int64()))
+        index = Index([], 0)
+        vars(index).update(shared.value)
         for t in texts:
-            got = [index.value.best(x) for x in t.to_pylist()]
+            got = [index.best(x) for x in t.to_pylist()]
             cols = list(zip(*got, strict=True)) if got else [[]] * 4
             yield pa.StructArray.from_arrays([pa.array(c, kind) for c, (_, kind) in zip(cols, kinds, strict=True)], fields=[pa.field(*x) for x in kinds])
 
@@ -178,7 +180,7 @@ def covered_by(docs: DataFrame, benchmark: DataFrame, seed: int = 5, block_chars
     columns = []
     for k in range(n):
         rows = items.where(F.pmod(F.xxhash64("item_id"), F.lit(n)) == k) if n > 1 else items
-        index = spark.sparkContext.broadcast(Index(sorted((r.item_id, r.text) for r in rows.collect()), seed))
+        index = spark.sparkContext.broadcast(vars(Index(sorted((r.item_id, r.text) for r in rows.collect()), seed)))
 
         columns.append(_overlap_udf(index)(F.col(text_col).cast("string")))
     out = columns[0]

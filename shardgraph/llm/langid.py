@@ -53,10 +53,13 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 class Model:
     """Class names and the matrix of log-probabilities, buckets by classes; its size is fixed by both."""
 
-    def __init__(self, langs: list[str], counts: np.ndarray):
-        self.langs = langs
+    def __init__(self, langs: list[str], logp: np.ndarray):
+        self.langs, self.logp = langs, logp
+
+    @classmethod
+    def of_counts(cls, langs: list[str], counts: np.ndarray) -> Model:
         c = counts + 0.5
-        self.logp = np.log(c / c.sum(axis=0, keepdims=True))
+        return cls(langs, np.log(c / c.sum(axis=0, keepdims=True)))
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
         """Most probable class of each whole text, and its share of the posterior.
@@ -118,7 +121,7 @@ def train(docs: DataFrame, max_rows: int = 20_000) -> Model:
     langs = sorted(got["lang"].unique())
     counts = np.zeros((BUCKETS, len(langs)))
     counts[got["bucket"], [langs.index(x) for x in got["lang"]]] = got["n"]
-    return Model(langs, counts)
+    return Model.of_counts(langs, counts)
 
 
 def identify(docs: DataFrame, max_rows: int = 20_000) -> DataFrame:
@@ -131,11 +134,13 @@ def identify(docs: DataFrame, max_rows: int = 20_000) -> DataFrame:
     their prediction; other columns are ignored.
     """
     src = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang"))
-    model = docs.sparkSession.sparkContext.broadcast(train(src, max_rows))
+    trained = train(src, max_rows)
+    shared = docs.sparkSession.sparkContext.broadcast((trained.langs, trained.logp))  # plain data: executors need no copy of the package
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = Model(*shared.value)
         for b, texts in _texts(batches):
-            names, score = model.value.predict(texts)
+            names, score = model.predict(texts)
             yield pa.RecordBatch.from_pydict({"doc_id": b.column("doc_id"), "held_out": b.column("held_out"), "lang_pred": pa.array(names, pa.string()), "score": pa.array(score)})
 
     kind = src.schema["doc_id"].dataType.simpleString()

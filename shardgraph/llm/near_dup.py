@@ -38,6 +38,12 @@ class Tree:
                 mid = (self.lo[node] + self.hi[node]) / 2
                 rows[2 * node + 1], rows[2 * node + 2] = at[p <= mid], at[p > mid]
 
+    @classmethod
+    def of(cls, state: dict) -> Tree:
+        tree = cls.__new__(cls)
+        vars(tree).update(state)
+        return tree
+
     def leaves(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(row, leaf) of every row; rows near a split go down both sides."""
         row, node = np.arange(len(x)), np.zeros(len(x), np.int64)
@@ -103,11 +109,11 @@ def _one_dimension(reps: DataFrame, ws: Workspace, dim: int, least: float, trees
     angle = math.acos(least)
     cos_half = math.cos(angle / 2) + 1e-9
     pivots = tight_pivots(sample[:4096], cos_half, max(16, int(0.002 * min(len(sample), 4096))))
-    forest = spark.sparkContext.broadcast(([Tree(sample, depth, spill, seed + t) for t in range(trees)], pivots))
+    forest = spark.sparkContext.broadcast(([vars(Tree(sample, depth, spill, seed + t)) for t in range(trees)], pivots))
     base = 2 ** (depth + 1)
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ts, pv = forest.value
+        ts, pv = [Tree.of(state) for state in forest.value[0]], forest.value[1]
         for b in batches:
             if not b.num_rows:
                 continue

@@ -138,13 +138,14 @@ def severity(docs: DataFrame, model: OrdinalModel, text_col: str = "text", out:
     the chance of a grade over 0. A null or empty text has no features and gets the thresholds'
     own probabilities. All columns and rows stay, repeated or null ids too.
     """
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = docs.sparkSession.sparkContext.broadcast((model.grades, model.vocabulary, model.weights, model.theta))
 
     @F.pandas_udf("severity double, grade int, p_toxic double")
     def grade(texts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        model = OrdinalModel(*shared.value)
+        g = np.array(model.grades)
         for t in texts:
-            g = np.array(shared.value.grades)
-            p = shared.value.probabilities([x if isinstance(x, str) else None for x in t])
+            p = model.probabilities([x if isinstance(x, str) else None for x in t])
             yield pd.DataFrame({"severity": p @ g, "grade": g[p.argmax(axis=1)].astype("int32"), "p_toxic": p[:, g > 0].sum(axis=1)})
 
     return docs.withColumn(out, grade(F.col(text_col).cast("string")))

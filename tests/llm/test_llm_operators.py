@@ -35,7 +35,8 @@ def test_twin(spark, name):
     assert differences(LLM[name][0](spark, SF_SMOKE), LLM[name][1], duck(SF_SMOKE)) is None
 
 
-def test_components(spark):
+@pytest.mark.parametrize("options", [{}, {"few": 0, "hub": 7}])
+def test_components(spark, options):
     rng = np.random.default_rng(0)
     edges = [(int(a), int(b)) for a, b in rng.integers(0, 400, (250, 2))] + [(1000 + i, 1001 + i) for i in range(60)] + [(5000, 6000 + i) for i in range(50)]
     parent = {x: x for e in edges for x in e}
@@ -48,7 +49,7 @@ def test_components(spark):
     for a, b in edges:
         a, b = root(a), root(b)
         parent[max(a, b)] = min(a, b)
-    got = {r.id: r.component for r in components(spark.createDataFrame(edges, "a bigint, b bigint"), Workspace(spark, "t")).collect()}
+    got = {r.id: r.component for r in components(spark.createDataFrame(edges, "a bigint, b bigint"), Workspace(spark, "t"), **options).collect()}
     want = {x: root(x) for x in parent if any(x in e and e[0] != e[1] for e in edges)}
     assert got == want
 
@@ -199,7 +200,7 @@ def test_batches_do_not_change_predictions():
     rng = np.random.default_rng(0)
     texts = ["".join(rng.choice(list("abcdeß é"), int(n))) for n in rng.integers(0, 50, 80)] + ["x" * 50_000, None, "a"]
     counts = rng.integers(0, 5, (langid.BUCKETS, 3)).astype(float)
-    m = langid.Model(["a", "b", "c"], counts)
+    m = langid.Model.of_counts(["a", "b", "c"], counts)
     names, score = m.predict(texts)
     for i, t in enumerate(texts):
         n, s = m.predict([t])
