@@ -15,31 +15,51 @@ WORD_BYTES = bytes(
     for b in range(256)
 )
 
-def components(edges: DataFrame, ws: Workspace, name: str = "cc", max_rounds: int = 60) -> DataFrame:
+FEW_EDGES = 400_000
+
+
+def _with_least(edges: DataFrame, low: DataFrame, few: bool, hub: int) -> DataFrame:
+    """``edges(a, b)`` with the label ``m`` that ``low(a, m, n)`` has for each ``a``.
+
+    Few edges: the labels are broadcast, at most 16 bytes a node. Many: a shuffled join in which a
+    node of more than ``hub`` edges is dealt over that many salts, so no task sees a whole hub. The
+    list of hubs, at most edges / hub rows, is what is broadcast then.
+    """
+    if few:
+        return edges.join(F.broadcast(low.select("a", "m")), "a")
+    salts = F.ceil(F.col("n") / hub).cast("int")
+    hubs = low.where(F.col("n") > hub).select("a", salts.alias("salts"))
+    left = edges.join(F.broadcast(hubs), "a", "left").withColumn("salt", F.coalesce(F.pmod(F.xxhash64("b"), F.col("salts")), F.lit(0)).cast("int"))
+    right = low.select("a", "m", F.explode(F.sequence(F.lit(0), F.greatest(salts, F.lit(1)) - 1)).alias("salt"))
+    return left.join(right, ["a", "salt"]).select("a", "b", "m")
+
+
+def components(edges: DataFrame, ws: Workspace, name: str = "cc", max_rounds: int = 60, few: int = FEW_EDGES, hub: int = 20_000) -> DataFrame:
     """Smallest id reachable from each id of ``edges(a, b)``: rows ``(id, component)``.
 
     Alternates the two star contractions: every node hands its larger neighbours to the smallest
     id in its neighbourhood, then its smaller ones. Each half is a partially aggregated minimum
-    and an equi-join whose skewed keys Spark may split, so a hub needs no single task. Edges
-    never outgrow the input, and the labels stay in the cluster.
+    and an equi-join that salts hubs. Edges never outgrow the input, and the labels stay in the
+    cluster, but for tables of under ``few`` edges, whose labels are broadcast between tasks.
     """
     cur = ws.write(
         edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(),
         f"{name}-0",
     )
-    seen = None
+    seen, n_edges = None, cur.count()
     for i in range(1, max_rounds + 1):
+        is_few = n_edges <= few
         both = cur.unionByName(cur.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-        large = both.join(low, "a").where("b > a and b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
-        low = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(low, "a").select(
+        low = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), F.count("*").alias("n"))
+        large = _with_least(both, low, is_few, hub).where("b > a and b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
+        low = large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n"))
+        small = _with_least(large, low, is_few, hub).select(
             F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e")
         )
         nxt = ws.write(small.select("e.a", "e.b").where("a <> b").distinct(), f"{name}-{i}")
         now = nxt.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         ws.drop(f"{name}-{i - 1}")
-        cur = nxt
+        cur, n_edges = nxt, now[0]
         if now == seen:
             break
         seen = now
