@@ -253,6 +253,21 @@ def exp_ablation(spark, sf_dir):
     return frame(spark, rows)
 
 
+def scale_rows(spark: SparkSession, sf_dirs: list[str], name: str, build: bool) -> list[tuple]:
+    """Partition and build seconds of one stand-in along table sizes: both should grow in proportion."""
+    rows = []
+    for sf_dir in sf_dirs:
+        vecs = dataset(spark, sf_dir, name)
+        n, c = vecs.count(), fit_centroids(vecs, 8, iters=4)
+        began = time.perf_counter()
+        a = Workspace(spark, "scale").write(partition_vectors(vecs, c, ShardPlan(8, 2 * n), PartitionConfig(eps=Fraction(12, 10), blocks=2, lo=1.0, hi=1.0)).assignment, "a")
+        rows.append(("scale", name, "selective_merge", f"n={n}", "partition_s", time.perf_counter() - began))
+        if build:
+            g = build_shards(a, vecs, "knn_detour", 12, 24, 8, timed=True)
+            rows.append(("scale", name, "selective_merge", f"n={n}", "build_s", g.groupBy("shard_id").agg(F.first("seconds").alias("s")).agg(F.sum("s")).first()[0]))
+    return rows
+
+
 @CORE.query("baseline_split_hier")
 def baseline_split_hier(spark, sf_dir):
     base, queries = split_queries(dataset(spark, sf_dir, "e64q"))

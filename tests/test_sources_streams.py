@@ -180,3 +180,40 @@ def test_text_vectors(spark):
     n2 = [sum(x * x for x in r.q) for r in d.limit(20).collect()]
     assert all(0.95e6 < n < 1.05e6 for n in n2)
     shutil.rmtree("/tmp/none", ignore_errors=True)
+
+
+def test_restart_continues_where_it_stopped(spark, event_files, tmp_path):
+    e = spark.read.parquet(event_files[0])
+    src, out, ck = str(tmp_path / "src"), str(tmp_path / "out"), str(tmp_path / "ck")
+    for half in (0, 1):
+        e.where(F.col("event_id") % 2 == half).coalesce(1).write.mode("append").parquet(src)
+        s = events.with_zones(events.event_stream(spark, src, event_files[1], 1), read(spark, SF_SMOKE, "nation")).select("event_id", "n_name")
+        q = s.writeStream.format("parquet").option("path", out).option("checkpointLocation", ck).trigger(availableNow=True).start()
+        q.awaitTermination()
+    ids = [r.event_id for r in spark.read.parquet(out).collect()]
+    assert len(ids) == len(set(ids)) == e.count()
+
+
+def test_output_modes(spark, event_files, tmp_path):
+    s = lambda: events.tumbling(stream(spark, event_files))
+    for mode in ("update", "complete"):
+        events.run_available(s(), f"mode_{mode}", str(tmp_path / mode), mode)
+    last = spark.table("mode_update").groupBy("hour", "event_type").agg(F.max("n").alias("n"))
+    assert sorted(last.collect()) == sorted(spark.table("mode_complete").select("hour", "event_type", "n").collect())
+
+
+def test_vectors_are_read_once(spark):
+    """The partitioner evaluates its input once for all blocks, besides the count."""
+    reads = spark.sparkContext.accumulator(0)
+
+    def watch(batches):
+        for b in batches:
+            reads.add(b.num_rows)
+            yield b
+
+    v = spark.range(200).select(F.col("id").alias("vec_id"), F.array(*[(F.col("id") * k % 17).cast("int") for k in (1, 3, 7)]).alias("q"))
+    watched = v.mapInArrow(watch, v.schema)
+    n0 = watched.select("vec_id", "q")
+    partition_vectors(n0, np.array([[0.0, 0, 0], [9, 9, 9]]), ShardPlan(2, 300), PartitionConfig(blocks=4)).assignment.count()
+    # one pass each: the count, the block cuts, the preference lists; none per block
+    assert reads.value <= 3 * 200
