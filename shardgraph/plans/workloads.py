@@ -65,8 +65,9 @@ def _quality(exp: str, name: str, h, base: DataFrame, queries: DataFrame, beam:
 def exp_stage_breakdown(spark, sf_dir):
     """Stages of uniform replication at two degrees."""
     rows = []
-    for name, (r, l) in itertools.product(("e64q", "d768"), ((8, 16), (16, 32))):
-        h = run("uniform_merge", dataset(spark, sf_dir, name), RunConfig(k=4, degree=r, working=l, iters=4))
+    sets = {n: dataset(spark, sf_dir, n) for n in ("e64q", "d768")}
+    for name, (r, l) in itertools.product(sets, ((8, 16), (16, 32))):
+        h = run("uniform_merge", sets[name], RunConfig(k=4, degree=r, working=l, iters=4))
         rows += [("stages", name, h.method, f"R={r} L={l}", s, v) for s, v in h.seconds.items()]
     return frame(spark, rows)
 
@@ -75,8 +76,9 @@ def exp_stage_breakdown(spark, sf_dir):
 def exp_builder_compare(spark, sf_dir):
     """Two builders on a low-dimensional integer set and a high-dimensional one of equal size."""
     rows = []
-    for name, method in itertools.product(("e64q", "d768"), ("unsplit_detour", "unsplit_robust")):
-        h = run(method, dataset(spark, sf_dir, name), SMALL)
+    sets = {n: dataset(spark, sf_dir, n) for n in ("e64q", "d768")}
+    for name, method in itertools.product(sets, ("unsplit_detour", "unsplit_robust")):
+        h = run(method, sets[name], SMALL)
         rows.append(("builders", name, method, "", "build_s", h.seconds["shard_build_sum"]))
     return frame(spark, rows)
 
@@ -134,8 +136,9 @@ def exp_eps_search(spark, sf_dir):
 def exp_build_matrix(spark, sf_dir):
     """Overall and build seconds of four methods on the stand-ins."""
     rows = []
-    for name, method in itertools.product(BUILT, ("split_knn", "split_hier", "uniform_merge", "selective_merge")):
-        h = run(method, dataset(spark, sf_dir, name), RunConfig(k=4, degree=12, working=24, eps=DATASETS[name][1], blocks=2, iters=4))
+    sets = {n: dataset(spark, sf_dir, n) for n in BUILT}
+    for name, method in itertools.product(sets, ("split_knn", "split_hier", "uniform_merge", "selective_merge")):
+        h = run(method, sets[name], RunConfig(k=4, degree=12, working=24, eps=DATASETS[name][1], blocks=2, iters=4))
         rows += [("build", name, method, "", m, h.seconds[m]) for m in ("overall", "shard_build_sum")]
     return frame(spark, rows)
 

@@ -2,10 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from shardgraph.functions import vectors as v
+from shardgraph.operators.arrays import lists
 from shardgraph.registry import read
 
 
@@ -37,16 +42,30 @@ def hashed_words(texts: DataFrame, dims: int = 768) -> DataFrame:
 
 def hashed_trigrams(texts: DataFrame, dims: int = 96) -> DataFrame:
     """The same over character tri-grams."""
-    grams = F.when(F.length("t") >= 3, F.transform(F.sequence(F.lit(1), F.length("t") - 2), lambda i: F.substr("t", i, F.lit(3))))
-    return _bucketed(texts.select("vec_id", F.lower("text").alias("t")).select("vec_id", F.explode(grams).alias("tok")), dims)
+    # characters first: substr would walk the text anew for every position
+    grams = F.when(F.size("c") >= 3, F.transform(F.sequence(F.lit(1), F.size("c") - 2), lambda i: F.concat(F.get("c", i - 1), F.get("c", i), F.get("c", i + 1))))
+    chars = texts.select("vec_id", F.regexp_extract_all(F.lower("text"), F.lit("(?s)."), F.lit(0)).alias("c"))
+    return _bucketed(chars.select("vec_id", F.explode(grams).alias("tok")), dims)
 
 
 def densify(sparse: DataFrame, dims: int) -> DataFrame:
-    """Unit vectors times 1000, rounded: rows (vec_id, q)."""
-    norm = F.sqrt(F.aggregate("e", F.lit(0).cast("bigint"), lambda s, x: s + x["s"] * x["s"]).cast("double"))
-    one = sparse.groupBy("vec_id").agg(F.collect_list(F.struct("bucket", "s")).alias("e")).withColumn("norm", norm).withColumn("m", F.map_from_entries("e"))
-    value = lambda i: F.coalesce(F.floor(F.try_element_at("m", i.cast("int")) * 1000 / F.col("norm") + 0.5), F.lit(0)).cast("int")
-    return one.select("vec_id", F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), value).alias("q"))
+    """Unit vectors times 1000, rounded: rows (vec_id, q). Scatter in numpy, as a map lookup per component is linear in the entries."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for a in range(0, whole.num_rows, 2048):
+                b = whole.slice(a, 2048)
+                entries = b.column("e")
+                row = np.repeat(np.arange(b.num_rows), np.diff(entries.offsets.to_numpy()))
+                flat = entries.flatten()
+                x = np.zeros((b.num_rows, dims))
+                x[row, flat.field("bucket").to_numpy()] = flat.field("s").to_numpy()
+                norm = np.sqrt((x * x).sum(axis=1, keepdims=True))
+                q = np.floor(x * 1000 / norm + 0.5).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([b.column("vec_id"), lists(pa.array(q.ravel()), np.full(b.num_rows, dims))], names=["vec_id", "q"])
+
+    one = sparse.groupBy("vec_id").agg(F.collect_list(F.struct("bucket", "s")).alias("e"))
+    return one.mapInArrow(run, "vec_id bigint, q array<int>")
 
 
 def documents_768(spark: SparkSession, sf_dir: str) -> DataFrame:
