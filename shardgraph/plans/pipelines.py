@@ -50,9 +50,14 @@ class IndexHandle:
     centroids: np.ndarray | None = None
 
     def search(self, queries: DataFrame, k: int = 10, beam: int = 40, width: int = 1) -> DataFrame:
-        """Merged graphs are searched once, split graphs shard by shard."""
+        """Merged graphs are searched once, split graphs shard by shard.
+
+        A merged search starts from the medoid and the node nearest to each centroid: far clusters
+        may be joined by few edges or none, whatever the replicas, and the entries cost k distances.
+        """
         if self.graph is not None:
-            return search_resident(self.graph, self.vectors, queries, k, beam, width)
+            entry = "medoid" if self.centroids is None else "centroids"
+            return search_resident(self.graph, self.vectors, queries, k, beam, width, entry, self.centroids)
         return search_split(self.shard_graphs, self.vectors, queries, k, beam, self.shards, width)
 
 

@@ -137,3 +137,21 @@ def test_merged_beats_split_in_work(spark):
         assert metrics.recall_at_k(found, truth).first().recall > 0.9
         work[method] = metrics.search_work(found).first().mean_dist_count
     assert work["selective_merge"] < work["split_knn"]
+
+
+def test_shape_on_hashed_documents(spark):
+    """The published shape on whole documents: like recall with far fewer distances than split search, builds under twice a split's."""
+    from fractions import Fraction
+
+    from compare import SF
+    from shardgraph.plans.workloads import dataset, split_queries
+
+    base, queries = split_queries(dataset(spark, SF, "d768"), 50)
+    truth = search.search_exact(base, queries, 10)
+    cfg, got = RunConfig(k=8, degree=16, working=32, eps=Fraction(12, 10), blocks=3, iters=6), {}
+    for method, beam in (("selective_merge", 64), ("split_knn", 16)):
+        h = run(method, base, cfg)
+        found = h.search(queries, 10, beam).cache()
+        got[method] = (metrics.recall_at_k(found, truth).first().recall, metrics.search_work(found).first().mean_dist_count)
+    assert got["selective_merge"][0] >= 0.95
+    assert got["selective_merge"][1] < 0.7 * got["split_knn"][1]
