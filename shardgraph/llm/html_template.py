@@ -6,6 +6,7 @@ import html as entities
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
@@ -37,14 +38,24 @@ TOKEN = re.compile(r"""<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?
 HINT = re.compile(r"""\b(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
 
 
+class Element:
+    """An open element; ``holds`` once an article's landmark opened inside it."""
+
+    __slots__ = ("name", "holds")
+
+    def __init__(self, name: str):
+        self.name, self.holds = name, False
+
+
 class Block:
-    """One block of text with the path of the elements around it."""
+    """One block of text with the elements around it."""
 
-    __slots__ = ("path", "key", "text")
+    __slots__ = ("around", "path", "key", "text")
 
-    def __init__(self, path: tuple[str, ...], text: str):
-        self.path, self.text = path, text
-        self.key = "/".join(path)
+    def __init__(self, around: tuple[Element, ...], text: str):
+        self.around, self.text = around, text
+        self.path = tuple(e.name for e in around)
+        self.key = "/".join(self.path)
 
 
 def _element(name: str, attributes: str) -> str:
@@ -52,13 +63,12 @@ def _element(name: str, attributes: str) -> str:
     return f"{name}.{hints.lower()}" if hints else name
 
 
-def blocks(page: str | None) -> tuple[list[Block], list[str]]:
-    """Blocks of text in page order, and the tag tokens by path, as the page writes them."""
+def tokens(page: str | None) -> list[Block | str]:
+    """Blocks of text and tag tokens by path, in page order, as the page writes them."""
     page = page or ""
-    stack: list[str] = []
+    stack: list[Element] = []
     names: list[str] = []
-    out: list[Block] = []
-    tags: list[str] = []
+    out: list[Block | str] = []
     text: list[str] = []
 
     def flush() -> None:
@@ -84,7 +94,7 @@ def blocks(page: str | None) -> tuple[list[Block], list[str]]:
         if name in INLINE:
             if name == "br":
                 text.append(" ")
-            tags.append("/".join(names) + (f"</{name}" if closing else f"<{name}"))
+            out.append("/".join(names) + (f"</{name}" if closing else f"<{name}"))
             continue
         flush()
         if name in RAW and not closing:
@@ -96,22 +106,25 @@ def blocks(page: str | None) -> tuple[list[Block], list[str]]:
             if name in names:
                 k = len(names) - 1 - names[::-1].index(name)
                 del names[k:], stack[k:]
-                tags.append("/".join(names) + f"</{name}")
+                out.append("/".join(names) + f"</{name}")
             continue
         if name in SELF_CLOSING and names and names[-1] == name:
             names.pop(), stack.pop()
-        tags.append("/".join(names) + f"<{_element(name, attributes)}")
+        out.append("/".join(names) + f"<{_element(name, attributes)}")
         if name not in VOID and not attributes.rstrip().endswith("/"):
             names.append(name)
-            stack.append(_element(name, attributes))
+            if name in LANDMARKS:
+                for e in stack:
+                    e.holds = True
+            stack.append(Element(_element(name, attributes)))
     flush()
-    return out, tags
+    return out
 
 
-def is_aside(path: tuple[str, ...]) -> bool:
-    for e in path:
+def is_aside(block: Block) -> bool:
+    for e in block.path:
         name, _, hints = e.partition(".")
-        if name in ASIDE and not (name in ("header", "figure") and any(p.partition(".")[0] in LANDMARKS for p in path[: path.index(e)])):
+        if name in ASIDE and not (name in ("header", "figure") and any(p.partition(".")[0] in LANDMARKS for p in block.path[: block.path.index(e)])):
             return True
         if hints and name not in ("html", "body") and not ASIDE_WORDS.isdisjoint(re.split(r"[^a-z]+", hints)):
             return True
@@ -122,16 +135,18 @@ def _mark(s: str) -> int:
     return xxhash.xxh3_64_intdigest(s.encode("utf-8", "surrogatepass")) - (1 << 63)
 
 
-def occurrences(page_id: int, page: str | None) -> dict[tuple[int, str], tuple[int, int]]:
-    """Token -> (count, this page's part of the occurrence vector's hash): tags by path, and whole blocks of text by path."""
-    got, tags = blocks(page)
-    counts: dict[tuple[int, str], int] = {}
-    for t in tags:
-        counts[0, t] = counts.get((0, t), 0) + 1
-    for b in got:
-        k = (1, f"{b.key}\t{b.text}")
-        counts[k] = counts.get(k, 0) + 1
-    return {k: (c, _mark(f"{page_id}:{c}")) for k, c in counts.items()}
+def _token(x: Block | str) -> tuple[int, int]:
+    """(kind, hash) of a token: 0 a tag by its path, 1 a whole block of text by its."""
+    return (0, _mark(f"0{x}")) if isinstance(x, str) else (1, _mark(f"1{x.key}\t{x.text}"))
+
+
+def occurrences(page_id: int, page: str | None) -> dict[tuple[int, int], tuple[int, int]]:
+    """Token -> (count, this page's part of the occurrence vector's hash)."""
+    counts: dict[str | tuple[str, str], int] = {}
+    for t in (x if isinstance(x, str) else (x.key, x.text) for x in tokens(page)):
+        counts[t] = counts.get(t, 0) + 1
+    marked = ((0, _mark(f"0{t}"), c) if isinstance(t, str) else (1, _mark(f"1{t[0]}\t{t[1]}"), c) for t, c in counts.items())
+    return {(k, t): (c, _mark(f"{page_id}:{c}")) for k, t, c in marked}
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -139,7 +154,7 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         host, token, kind, count, part = [], [], [], [], []
         for h, i, page in zip(b.column("host").to_pylist(), b.column("row").to_pylist(), b.column("html").to_pylist(), strict=True):
             for (k, t), (c, v) in occurrences(i, page).items():
-                host.append(h), token.append(_mark(f"{k}{t}")), kind.append(k), count.append(c), part.append(v)
+                host.append(h), token.append(t), kind.append(k), count.append(c), part.append(v)
         yield pa.RecordBatch.from_pydict(
             {"host": pa.array(host, pa.string()), "token": pa.array(token, pa.int64()), "kind": pa.array(kind, pa.int32()), "n": pa.array(count, pa.int64()), "part": pa.array(part, pa.int64())}
         )
@@ -149,20 +164,73 @@ def in_landmark(path: tuple[str, ...]) -> bool:
     return any(e.partition(".")[0] in LANDMARKS for e in path)
 
 
-def main_text(page: str | None, template: dict[int, int] | None = None) -> str:
-    """Text left in the slots of the template, which maps the tokens of the host's valid classes to their class.
+def places(page: str | None, classes: dict[int, int], frames: dict[int, int]) -> tuple[dict[int, tuple[int, int]], set[tuple[int, int]]]:
+    """Token -> (least, largest) place in its class's frame, and the pairs of frames that cross.
 
-    Slots of other parts than the article go. If the page has slots inside an article's landmark
-    that hold text, only these stay. Elsewhere a block that the template fixes, text and place, is
-    part of it and goes; inside a landmark all text stays, as articles may share passages.
+    ``classes`` maps tokens to classes and ``frames`` classes to their number of tags. Tags of a
+    class take turns: the place of a tag is its turn, that of a text the turn of the tag before it.
+    Two frames nest if the instances of one hold no tag of the other between their first and last.
+    """
+    seen: dict[int, list[int]] = {}
+    got: dict[int, tuple[int, int]] = {}
+    for at, x in enumerate(tokens(page)):
+        kind, token = _token(x)
+        c = classes.get(token)
+        if c is None:
+            continue
+        size, own = frames.get(c, 0), seen.setdefault(c, [])
+        turn = len(own) % size if size else 0
+        if kind == 0:
+            own.append(at)
+        low, high = got.get(token, (turn, turn))
+        got[token] = min(low, turn), max(high, turn)
+    wide = {c: np.array(own) for c, own in seen.items() if frames.get(c, 0) > 1 and own}
+
+    def clear(a: int, b: int) -> bool:
+        first, last = wide[a][:: frames[a]], np.append(wide[a][frames[a] - 1 :: frames[a]], wide[a][-1])[: len(wide[a][:: frames[a]])]
+        return bool((np.searchsorted(wide[b], first) == np.searchsorted(wide[b], last)).all())
+
+    names = sorted(wide)
+    return got, {(a, b) for i, a in enumerate(names) for b in names[i + 1 :] if not (clear(a, b) or clear(b, a))}
+
+
+def _places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (host, token, other, low, high): a token's places, or a crossing of the frames ``token`` and ``other``."""
+    for b in batches:
+        known: dict[str, tuple[dict, dict]] = {}
+        out: dict[tuple, tuple[int, int]] = {}
+        for k, h in enumerate(b.column("host").to_pylist()):
+            if h not in known:
+                t = b.column("template")[k].as_py()
+                frames: dict[int, int] = {}
+                for x in t:
+                    if x["kind"] == 0:
+                        frames[x["class"]] = frames.get(x["class"], 0) + 1
+                known[h] = {x["token"]: x["class"] for x in t}, frames
+            got, crossed = places(b.column("html")[k].as_py(), *known[h])
+            for token, (low, high) in got.items():
+                old = out.get((h, token, None), (low, high))
+                out[h, token, None] = min(low, old[0]), max(high, old[1])
+            for pair in crossed:
+                out[(h, *pair)] = 0, 0
+        cols = list(zip(*(key + v for key, v in out.items()), strict=True)) or [[]] * 5
+        yield pa.RecordBatch.from_pydict({n: pa.array(c, pa.string() if n == "host" else pa.int64()) for n, c in zip(("host", "token", "other", "low", "high"), cols, strict=True)})
+
+
+def main_text(page: str | None, template: set[int] | None = None) -> str:
+    """Text left in the slots of the template, whose fixed texts ``template`` has.
+
+    A slot goes if the lists name it as another part than the article; every other slot's text
+    stays, and a text that the template fixes goes, unless an article's landmark is around it, as
+    articles may share passages. Without a template (few pages), text outside of the landmark goes
+    if there is text inside.
     """
-    got, _ = blocks(page)
-    rest = [b for b in got if not is_aside(b.path)]
-    inside = [b for b in rest if in_landmark(b.path)]
-    if not inside and template:
-        inside = [b for b in rest if _mark(f"1{b.key}\t{b.text}") not in template]
-        return "\n".join(b.text for b in inside)
-    return "\n".join(b.text for b in (inside or rest))
+    rest = [b for b in tokens(page) if not isinstance(b, str) and not is_aside(b)]
+    if template is None:
+        rest = [b for b in rest if in_landmark(b.path)] or rest
+    else:
+        rest = [b for b in rest if in_landmark(b.path) or _token(b)[1] not in template]
+    return "\n".join(b.text for b in rest)
 
 
 def extract(pages: DataFrame, support: float = 0.5, least_pages: int = 8) -> DataFrame:
@@ -172,14 +240,17 @@ def extract(pages: DataFrame, support: float = 0.5, least_pages: int = 8) -> Dat
     every page: per host and token the number of pages, and a sum over pages of hashes of
     (page, count), which is equal for tokens with equal occurrence vectors and is aggregated
     before the shuffle, so a host with a third of all pages is only partial sums. Tokens on at
-    least ``support`` of a host's pages (and ``least_pages``) form equivalence classes by that sum;
-    classes nest by the paths of their tokens. What a class fixes, tags and repeated text, is
-    template; the second pass drops it and the slots of other parts, and keeps the text of the
-    remaining slots. A template is bounded by the tokens of a page over ``support``; templates are
-    joined to pages by host, broadcast while they are few.
+    least ``support`` of a host's pages (and ``least_pages``) form equivalence classes by that sum.
+    The tags of a class are its frame. A second pass checks the classes: a frame is valid if its
+    tags follow each other in one order on all pages, and it nests with the larger valid frames. A
+    text of a valid frame is template if it has one place in it; a text that wanders through the
+    frame's slots is data. A class without a valid frame falls apart into single tokens, which are
+    valid alone. The third pass drops what the template fixes and keeps the text of the slots. A
+    template is bounded by the tokens of a page over ``support``; templates are joined to pages by
+    host, broadcast while they are few.
 
     A null or empty page gives an empty text; hosts with few pages have no template, and only the
-    slots' own paths decide. Null ids and urls pass through; repeated rows count each; other
+    paths of the blocks decide. Null ids and urls pass through; repeated rows count each; other
     columns are ignored. Blocks keep page order; a block's white space becomes one blank.
     """
     ws = Workspace(pages.sparkSession, "template")
@@ -190,18 +261,31 @@ def extract(pages: DataFrame, support: float = 0.5, least_pages: int = 8) -> Dat
     sums = seen.groupBy("host", "token").agg(F.max("kind").alias("kind"), F.count("*").alias("pages"), F.sum("n").alias("n"), F.sum(F.col("part").cast("decimal(38,0)")).alias("vector"))
     n_pages = src.where("html is not null").groupBy("host").agg(F.count("*").alias("all"))
     frequent = ws.write(sums.join(n_pages, "host").where((F.col("pages") >= F.col("all") * support) & (F.col("pages") >= least_pages)), "frequent")
-    classes = frequent.groupBy("host", "vector").agg(F.count("*").alias("size"), F.collect_list(F.struct("token", "kind")).alias("tokens"))
-    # a class of one text and nothing else is a repeated line of the host; with tags it is part of their slot's frame
-    templates = classes.select("host", F.xxhash64("vector").alias("class"), F.explode("tokens").alias("t")).where("t.kind = 1")
-    templates = ws.write(templates.groupBy("host").agg(F.collect_list(F.struct("t.token", "class")).alias("template")), "templates")
-    few = templates.agg(F.coalesce(F.sum(F.size("template")), F.lit(0))).first()[0] <= 100_000
-    joined = src.join(F.broadcast(templates) if few else templates, "host", "left")
+    member = frequent.select("host", "token", "kind", "pages", F.xxhash64("vector").alias("class"))
+
+    def by_host(rows: DataFrame, value, name: str) -> DataFrame:
+        lists = ws.write(rows.groupBy("host").agg(F.collect_list(value).alias("template")), name)
+        few = lists.agg(F.coalesce(F.sum(F.size("template")), F.lit(0))).first()[0] <= 100_000
+        return F.broadcast(lists) if few else lists
+
+    tried = by_host(member, F.struct("token", "kind", "class"), "classes")
+    found = src.where("html is not null").select("host", "html").join(tried, "host").mapInArrow(_places, "host string, token bigint, other bigint, low bigint, high bigint")
+    found = ws.write(found.groupBy("host", "token", "other").agg(F.min("low").alias("low"), F.max("high").alias("high")), "places")
+    fixed = member.join(found.where("other is null").drop("other"), ["host", "token"]).withColumn("still", F.col("low") == F.col("high"))
+    frames = fixed.where("kind = 0").groupBy("host", "class").agg(F.count("*").alias("size"), F.max("pages").alias("pages"), F.min("still").alias("valid"), F.size(F.collect_set("low")).alias("turns"))
+    frames = ws.write(frames.where("valid and turns = size").select("host", "class", F.struct("size", "pages", "class").alias("rank")), "frames")
+    cross = found.where("other is not null").select("host", F.explode(F.array(F.struct(F.col("token").alias("a"), F.col("other").alias("b")), F.struct(F.col("other").alias("a"), F.col("token").alias("b")))).alias("p"))
+    cross = cross.select("host", "p.a", "p.b").join(frames.select("host", F.col("class").alias("a"), F.col("rank").alias("ra")), ["host", "a"]).join(frames.select("host", F.col("class").alias("b"), F.col("rank").alias("rb")), ["host", "b"])
+    nested = frames.join(cross.where("ra < rb").select("host", F.col("a").alias("class")).distinct(), ["host", "class"], "left_anti").select("host", "class", F.lit(True).alias("framed"))
+    fixed = fixed.join(nested, ["host", "class"], "left")
+    texts_of = F.when((F.col("kind") == 1) & (F.col("still") | F.col("framed").isNull()), F.col("token"))  # hosts with tags alone keep an empty list
+    joined = src.join(by_host(fixed, texts_of, "templates"), "host", "left")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = []
             for page, t in zip(b.column("html").to_pylist(), b.column("template").to_pylist(), strict=True):
-                texts.append(main_text(page, {x["token"]: x["class"] for x in t or ()}))
+                texts.append(main_text(page, None if t is None else set(t)))
             yield pa.RecordBatch.from_pydict({"page_id": b.column("page_id"), "url": b.column("url"), "text": pa.array(texts, pa.string()), "n_chars": pa.array([len(t) for t in texts], pa.int64())})
 
     kind = src.schema["page_id"].dataType.simpleString()

@@ -137,6 +137,27 @@ def test_given_pages_keep_their_article(spark):
         assert r.text == "\n".join(p for p in parts if p)
 
 
+def test_template_frames_decide_on_pages_with_an_article(spark):
+    part = ["<div><p>Wandering</p></div>", "<div><p>own {n}</p></div>"]
+    page = "<html><body><section>Standing</section><article><h1>t {n}</h1></article><h2>Kept</h2>{parts}<hr><ol><li>outside {n}</li></ol></body></html>"
+    rows = [(i, f"http://a.org/{i}", page.replace("{parts}", part[0] + part[1] if i % 2 else part[1] + part[0]).format(n=i)) for i in range(20)]
+    got = {r.page_id: r.text.split("\n") for r in html_template.extract(pages(spark, rows)).collect()}
+    for i in range(20):
+        assert {f"t {i}", f"own {i}", f"outside {i}"} <= set(got[i]) and "Standing" not in got[i] and "Kept" not in got[i]
+    # a text whose place among the tags of its class differs is data
+    body = "<html><body>{a}<h4>x {n}</h4>{b}<h5>y {n}</h5></body></html>"
+    rows = [(i, f"http://a.org/{i}", body.format(n=i, a="Moves" if i % 2 else "", b="" if i % 2 else "Moves")) for i in range(20)]
+    assert {r.text for r in html_template.extract(pages(spark, rows)).collect()} == {f"Moves\nx {i}\ny {i}" if i % 2 else f"x {i}\nMoves\ny {i}" for i in range(20)}
+
+
+def test_frames_take_turns_and_nest():
+    classes = {html_template._token(t)[1]: c for t, c in [("<ul", 1), ("</ul", 1), ("ul<li", 2), ("ul</li", 2)]}
+    got, crossed = html_template.places("<ul><li>a</li><li>b</li></ul>", classes, {1: 2, 2: 2})
+    assert [got[html_template._token(t)[1]] for t in ("<ul", "</ul", "ul<li", "ul</li")] == [(0, 0), (1, 1), (0, 0), (1, 1)] and not crossed
+    classes = {html_template._token(t)[1]: c for t, c in [("<b", 1), ("<i", 2), ("</b", 1), ("</i", 2)]}
+    assert html_template.places("<b>x<i>y</b>z</i>", classes, {1: 2, 2: 2})[1] == {(1, 2)}
+
+
 # ---- op3
 def check_shards(rows, texts, k=8):
     assert len(rows) == len(texts)
