@@ -25,6 +25,8 @@ ASIDE_WORDS = set(
     "breadcrumbs sidebar side aside widget header masthead footer foot copyright comment comments reply replies disqus discussion feedback share sharing social related recommended "
     "newsletter subscribe subscription signup login popup modal overlay pagination pager toolbar search contentinfo complementary dialog".split()
 )
+#: Words that make a class name a state of the page or a list of finds, not a part.
+STATE_WORDS = set("has have no not non with without is are open opened closed enabled disabled allowed active on off result results".split())
 #: Elements that hold the article.
 LANDMARKS = {"article", "main"}
 #: Elements that stand inside a line of text.
@@ -121,13 +123,23 @@ def tokens(page: str | None) -> list[Block | str]:
     return out
 
 
+def names_aside(hints: str) -> bool:
+    """Does a class, id or role name another part; names of a state ('has-sidebar', 'comments-open') do not."""
+    return any(not ASIDE_WORDS.isdisjoint(words) and STATE_WORDS.isdisjoint(words) for words in (re.split(r"[^a-z]+", h) for h in hints.split()))
+
+
 def is_aside(block: Block) -> bool:
-    for e in block.path:
-        name, _, hints = e.partition(".")
-        if name in ASIDE and not (name in ("header", "figure") and any(p.partition(".")[0] in LANDMARKS for p in block.path[: block.path.index(e)])):
-            return True
-        if hints and name not in ("html", "body") and not ASIDE_WORDS.isdisjoint(re.split(r"[^a-z]+", hints)):
-            return True
+    """An element around the block is another part than the article; landmarks and what holds one never are."""
+    inside = False
+    for e in block.around:
+        name, _, hints = e.name.partition(".")
+        if name in LANDMARKS:
+            inside = True
+        elif not e.holds and name not in ("html", "body"):
+            if name in ASIDE and not (inside and name in ("header", "figure")):
+                return True
+            if hints and names_aside(hints):
+                return True
     return False
 
 

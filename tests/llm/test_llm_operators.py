@@ -150,6 +150,23 @@ def test_template_frames_decide_on_pages_with_an_article(spark):
     assert {r.text for r in html_template.extract(pages(spark, rows)).collect()} == {f"Moves\nx {i}\ny {i}" if i % 2 else f"x {i}\nMoves\ny {i}" for i in range(20)}
 
 
+@pytest.mark.parametrize(
+    "body",
+    [
+        "<article class='post comments-open'><p>kept</p></article>",
+        "<article class='comment'><p>kept</p></article>",
+        "<div class='content with-sidebar'><article><p>kept</p></article></div>",
+        "<form class='share'><div id='sidebar-wrap'><main><p>kept</p></main></div></form>",
+        "<div class='main-content no-sidebar'><p>kept</p></div>",
+        "<div class='search-result'><p>kept</p></div>",
+        "<article><header><p>kept</p></header><div class='share'>gone</div></article>",
+    ],
+)
+def test_wrappers_and_landmarks_are_no_aside(body):
+    page = f"<html><body><div class='sidebar'>gone</div><aside class='no-sidebar'>gone</aside><div id='cookie-notice'>gone</div>{body}</body></html>"
+    assert html_template.main_text(page) == html_template.main_text(page, set()) == "kept"
+
+
 def test_frames_take_turns_and_nest():
     classes = {html_template._token(t)[1]: c for t, c in [("<ul", 1), ("</ul", 1), ("ul<li", 2), ("ul</li", 2)]}
     got, crossed = html_template.places("<ul><li>a</li><li>b</li></ul>", classes, {1: 2, 2: 2})
