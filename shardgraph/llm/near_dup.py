@@ -54,17 +54,18 @@ class Tree:
         return row, node
 
 
-def tight_pivots(sample: np.ndarray, cos_half: float, least: int, most: int = 64) -> np.ndarray:
-    """Sample points with many others within half the link angle, greedily; two points near one pivot are linked by the triangle inequality."""
-    near = sample @ sample.T >= cos_half
-    free, out = np.ones(len(sample), bool), []
-    while len(out) < most:
-        counts = (near & free[None, :]).sum(axis=1)
-        best = int(counts.argmax()) if len(counts) else 0
-        if not len(counts) or counts[best] < least:
-            break
+def hot_pivots(sample: np.ndarray, least: float, members: int = 16, candidates: int = 4096) -> np.ndarray:
+    """Sample points that link with at least ``members`` sample points no earlier pivot links with, most first."""
+    near = np.empty((min(candidates, len(sample)), len(sample)), bool)
+    for i in range(0, len(near), 512):
+        near[i : i + 512] = sample[i : min(i + 512, len(near))] @ sample.T >= least
+    counts, free, out = near.sum(axis=1), np.ones(len(sample), bool), []
+    while len(counts) and counts.max() >= members:
+        best = int(counts.argmax())
         out.append(best)
-        free &= ~near[best]
+        new = near[best] & free
+        free &= ~new
+        counts = counts - near[:, new].sum(axis=1)
     return sample[out]
 
 
@@ -73,33 +74,43 @@ def _matrix(col: pa.Array, dim: int) -> np.ndarray:
     return flat.to_numpy(zero_copy_only=False).reshape(-1, dim)
 
 
-def _split_leaf(x: np.ndarray, rows: np.ndarray, most: int, spill: float, rng: np.random.Generator) -> Iterator[np.ndarray]:
-    """Further random splits inside a leaf that holds more rows than planned."""
-    if len(rows) <= most:
-        yield rows
-        return
-    p = x[rows] @ rng.standard_normal(x.shape[1])
-    order = np.argsort(p, kind="stable")
-    n, over = len(rows), int(len(rows) * spill / 2)
-    yield from _split_leaf(x, rows[order[: n // 2 + over]], most, spill, rng)
-    yield from _split_leaf(x, rows[order[n // 2 - over :]], most, spill, rng)
-
-
-def _leaf_links(x: np.ndarray, core: np.ndarray, rows: np.ndarray, least: float, block: int = 1024) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    for i in range(0, len(rows), block):
-        a = rows[i : i + block]
-        for j in range(i, len(rows), block):
-            b = rows[j : j + block]
+def _leaf_links(x: np.ndarray, blk: np.ndarray, least: float, block: int = 1024) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Links within the rows if they are of one block, else between the two blocks."""
+    left, right = np.flatnonzero(blk == blk.min()), np.flatnonzero(blk == blk.max())
+    same = blk.min() == blk.max()
+    for i in range(0, len(left), block):
+        a = left[i : i + block]
+        for j in range(i if same else 0, len(right), block):
+            b = right[j : j + block]
             hit = x[a] @ x[b].T >= least
-            hit &= (core[a][:, None] != core[b][None, :]) | (core[a] < 0)[:, None]
-            if i == j:
+            if same and i == j:
                 hit = np.triu(hit, 1)
             ia, ib = np.nonzero(hit)
             yield a[ia], b[ib]
 
 
-def _one_dimension(reps: DataFrame, ws: Workspace, dim: int, least: float, trees: int, leaf_rows: int, spill: float, sample_rows: int, seed: int) -> tuple[DataFrame, DataFrame]:
-    """Links (a, b, wa, wb) and tight groups (id, core, w) of the representatives of one dimension."""
+def _spanning(hit: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Few edges with the connected components of the links between ``a`` and ``b``."""
+    rows, cols = hit.any(axis=1), hit.any(axis=0)
+    h, a, b = hit[rows][:, cols], a[rows], b[cols]
+    if h.sum() <= 4 * (len(a) + len(b)):
+        i, j = np.nonzero(h)
+        return a[i], b[j]
+    la, lb, most = a, b, np.iinfo(np.int64).max
+    while True:
+        nb = np.minimum(lb, np.where(h, la[:, None], most).min(axis=0))
+        na = np.minimum(la, np.where(h, nb[None, :], most).min(axis=1))
+        if (na == la).all() and (nb == lb).all():
+            return np.r_[a, b], np.r_[la, lb]
+        la, lb = na, nb
+
+
+#: Roles of a row in a cell: within half the link angle of its pivot, at home otherwise, guest without a home, guest with one.
+TIGHT, HOME, COLD, GUEST = range(4)
+
+
+def _one_dimension(reps: DataFrame, ws: Workspace, dim: int, least: float, trees: int, leaf_rows: int, spill: float, sample_rows: int, seed: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Links (a, b, wa, wb) of rows without a cell, tight groups (id, core, w), and edges (a, b) or counts (a, a, k) of the cells, for one dimension."""
     spark = reps.sparkSession
     n = reps.count()
     u = F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
@@ -107,10 +118,19 @@ def _one_dimension(reps: DataFrame, ws: Workspace, dim: int, least: float, trees
     sample = unit(np.stack(got.to_numpy())) if len(got) else np.zeros((0, dim))
     depth = max(0, min(math.ceil(math.log2(max(n, 1) / leaf_rows)), int(math.log2(max(len(sample), 1) / 16 + 1))))
     angle = math.acos(least)
-    cos_half = math.cos(angle / 2) + 1e-9
-    pivots = tight_pivots(sample[:4096], cos_half, max(16, int(0.002 * min(len(sample), 4096))))
+    cos_half, cos_reach = math.cos(angle / 2) + 1e-9, math.cos(min(math.pi, 2 * angle)) - 1e-9
+    pivots = hot_pivots(sample, least)
     forest = spark.sparkContext.broadcast(([vars(Tree(sample, depth, spill, seed + t)) for t in range(trees)], pivots))
-    base = 2 ** (depth + 1)
+    base, most = 2 ** (depth + 1), 4 * leaf_rows
+    kind = reps.schema["embedding"].dataType.simpleString()
+
+    def homes(x: np.ndarray, pv: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Cosines with the pivots, and the home cell (-1: none) and role of each row."""
+        s = x @ pv.T
+        if not len(pv):
+            return s, np.full(len(x), -1), np.full(len(x), COLD)
+        top = s.max(axis=1)
+        return s, np.where(top >= least, s.argmax(axis=1), -1), np.where(top >= cos_half, TIGHT, np.where(top >= least, HOME, COLD))
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ts, pv = [Tree.of(state) for state in forest.value[0]], forest.value[1]
@@ -118,42 +138,70 @@ def _one_dimension(reps: DataFrame, ws: Workspace, dim: int, least: float, trees
             if not b.num_rows:
                 continue
             x = unit(_matrix(b.column("embedding"), dim))
-            near = x @ pv.T >= cos_half
-            core = np.where(near.any(axis=1), near.argmax(axis=1), -1) if len(pv) else np.full(len(x), -1)
+            cold = np.flatnonzero(homes(x, pv)[1] < 0)
             for t, tree in enumerate(ts):
-                row, leaf = tree.leaves(x)
-                take = pa.array(row)
-                yield pa.RecordBatch.from_pydict(
-                    {"leaf": pa.array(leaf + t * base), "id": b.column("id").take(take), "w": b.column("w").take(take), "core": pa.array(core[row]), "embedding": b.column("embedding").take(take)}
-                )
+                row, leaf = tree.leaves(x[cold])
+                take = pa.array(cold[row])
+                yield pa.RecordBatch.from_pydict({"leaf": pa.array(leaf + t * base), "id": b.column("id").take(take), "w": b.column("w").take(take), "embedding": b.column("embedding").take(take)})
 
-    kind = reps.schema["embedding"].dataType.simpleString()
-    routed = reps.select("id", "w", "embedding").mapInArrow(route, f"leaf bigint, id bigint, w bigint, core bigint, embedding {kind}")
+    routed = reps.select("id", "w", "embedding").mapInArrow(route, f"leaf bigint, id bigint, w bigint, embedding {kind}")
+    large = routed.groupBy("leaf").agg(F.ceil(F.count("*") / most).alias("m")).where("m > 1")
+    m, blk = F.coalesce("m", F.lit(1)), F.col("blk")
+    dealt = routed.join(F.broadcast(large), "leaf", "left").withColumn("blk", F.pmod(F.xxhash64("id", F.lit(seed)), m)).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), m - 1)))
+    dealt = dealt.select("leaf", (F.least(blk, "other") * m + F.greatest(blk, "other")).alias("part"), "blk", "id", "w", "embedding")
 
     def within(t: pa.Table) -> pa.Table:
-        ids, w, core = (t.column(c).to_numpy() for c in ("id", "w", "core"))
+        ids, w, blk = (t.column(c).to_numpy() for c in ("id", "w", "blk"))
         x = unit(_matrix(t.column("embedding"), dim))
-        rng = np.random.default_rng(int(t.column("leaf")[0].as_py()) + seed)
         out = [np.empty((4, 0), np.int64)]
-        for rows in _split_leaf(x, np.arange(len(x)), 4 * leaf_rows, spill, rng):
-            for a, b in _leaf_links(x, core, rows, least):
-                a, b = np.where(ids[a] > ids[b], a, b), np.where(ids[a] > ids[b], b, a)
-                out.append(np.stack([ids[a], ids[b], w[a], w[b]]))
+        for a, b in _leaf_links(x, blk, least):
+            a, b = np.where(ids[a] > ids[b], a, b), np.where(ids[a] > ids[b], b, a)
+            out.append(np.stack([ids[a], ids[b], w[a], w[b]]))
         a, b, wa, wb = np.concatenate(out, axis=1)
         return pa.table({"a": a, "b": b, "wa": wa, "wb": wb})
 
-    pairs = routed.groupBy("leaf").applyInArrow(within, "a bigint, b bigint, wa bigint, wb bigint").where("a <> b").distinct()
+    pairs = dealt.groupBy("leaf", "part").applyInArrow(within, "a bigint, b bigint, wa bigint, wb bigint").where("a <> b").distinct()
 
-    def cores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def enter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pv = forest.value[1]
         for b in batches:
-            if b.num_rows and len(pivots):
-                near = unit(_matrix(b.column("embedding"), dim)) @ pivots.T >= cos_half
-                core = np.where(near.any(axis=1), near.argmax(axis=1), -1)
-                keep = pa.array(np.flatnonzero(core >= 0))
-                yield pa.RecordBatch.from_pydict({"id": b.column("id").take(keep), "core": pa.array(core[core >= 0]), "w": b.column("w").take(keep)})
-
-    grouped = reps.select("id", "w", "embedding").mapInArrow(cores, "id bigint, core bigint, w bigint")
-    return pairs, grouped.withColumn("core", F.col("core") + dim * 1000)
+            if b.num_rows and len(pv):
+                s, home, role = homes(unit(_matrix(b.column("embedding"), dim)), pv)
+                row, cell = np.nonzero(s >= cos_reach)
+                roles = np.where(home[row] == cell, role[row], np.where(home[row] < 0, COLD, GUEST))
+                for i in range(0, len(row), 10_000):
+                    take = pa.array(row[i : i + 10_000])
+                    yield pa.RecordBatch.from_pydict({"cell": pa.array(cell[i : i + 10_000]), "role": pa.array(roles[i : i + 10_000]), "id": b.column("id").take(take), "w": b.column("w").take(take), "embedding": b.column("embedding").take(take)})
+
+    members = reps.select("id", "w", "embedding").mapInArrow(enter, f"cell bigint, role bigint, id bigint, w bigint, embedding {kind}")
+    left, right = F.col("role") <= HOME, F.col("role") >= HOME
+    sizes = members.groupBy("cell").agg(F.ceil(F.count_if(left) / (2 * most)).alias("nl"), F.ceil(F.count_if(right) / (2 * most)).alias("nr")).where("nl > 0 and nr > 0")
+    both = members.join(F.broadcast(sizes), "cell")
+    salt, zero = F.xxhash64("id", F.lit(seed)), F.lit(0).cast("bigint")
+    side = lambda rows, n, own, others, part: rows.withColumn("own", F.pmod(salt, F.col(own))).withColumn("o", F.explode(F.sequence(zero, F.col(others) - 1))).select("cell", F.expr(part).alias("part"), F.lit(n).cast("bigint").alias("side"), "role", "id", "w", "embedding")
+    both = side(both.where(left), 0, "nl", "nr", "own * nr + o").unionByName(side(both.where(right), 1, "nr", "nl", "o * nr + own"))
+
+    def cell_links(t: pa.Table) -> pa.Table:
+        ids, w, role, sides = (t.column(c).to_numpy() for c in ("id", "w", "role", "side"))
+        x = unit(_matrix(t.column("embedding"), dim))
+        a, b = np.flatnonzero(sides == 0), np.flatnonzero(sides == 1)
+        ka, kb = np.zeros(len(a), np.int64), np.zeros(len(b), np.int64)
+        ends = [np.empty((2, 0), np.int64)]
+        for i in range(0, len(a) if len(b) else 0, 512):
+            at = a[i : i + 512]
+            hit = (x[at] @ x[b].T >= least) & (ids[at][:, None] != ids[b][None, :])
+            ka[i : i + 512] = np.where(hit, w[b][None, :], 0).sum(axis=1)
+            from_tight = np.where(hit & (role[at] == TIGHT)[:, None], w[at][:, None], 0).sum(axis=0)
+            # the links of a row at home with its like are counted from its own side, those of a guest with a home in its own cell
+            kb += np.where(role[b] == COLD, np.where(hit, w[at][:, None], 0).sum(axis=0), np.where(role[b] == HOME, from_tight, 0))
+            ends.append(np.stack(_spanning(hit, ids[at], ids[b])))
+        u, v = np.unique(np.concatenate(ends, axis=1), axis=1)
+        n = np.r_[ka, kb]
+        return pa.table({"a": np.r_[u, ids[np.r_[a, b]][n > 0]], "b": np.r_[v, ids[np.r_[a, b]][n > 0]], "k": np.r_[np.zeros(len(u), np.int64), n[n > 0]]})
+
+    hot = both.groupBy("cell", "part").applyInArrow(cell_links, "a bigint, b bigint, k bigint")
+    tight = members.where(F.col("role") == TIGHT).select("id", (F.col("cell") + dim * 1_000_000).alias("core"), "w")
+    return pairs, tight, hot
 
 
 def near_duplicates(
@@ -168,17 +216,22 @@ def near_duplicates(
     """Rows (vec_id, n_links, component_id, kept) of the links with cosine >= ``least``.
 
     1. Equal vectors become one weighted representative.
-    2. Groups that a bounded sample shows to be dense get pivots. Vectors within half the link
-       angle of one pivot are all linked, by the triangle inequality: they are counted and joined
-       to the component in closed form, and no pair of them is compared or listed.
-    3. Each tree splits at random directions, at the sample's medians; vectors near a split go
-       down both sides. All vectors are indexed in all trees. Inside a leaf a blocked product in
-       double precision finds the links; a leaf that outgrew its plan is split on at random.
-       Links found in several trees count once.
+    2. Sample points that link with 16 or more others become pivots, as many as there are. A vector
+       that links with a pivot is at home in the cell of the nearest one; by the triangle inequality
+       all its links lie within two link angles of that pivot. These are the cell's guests, and all
+       pairs of home and guest are verified in double precision, dealt to tasks as pairs of salted
+       row blocks; counts and spanning edges leave a task, no pairs. Vectors within half the link
+       angle of one pivot are all linked; they are counted and joined in closed form.
+    3. The other vectors, all of them in all trees, go through a forest: each tree splits at random
+       directions, at the sample's medians; vectors near a split go down both sides. Inside a leaf a
+       blocked product finds the links; a leaf that outgrew its plan is verified whole, dealt to
+       tasks as pairs of salted row blocks. Links found in several trees count once.
 
     The sample (``sample_rows``, raised with the table so that depth can follow) bounds the
-    broadcast: trees * 2^depth directions, at most trees * sample_rows / 16 vectors. Recall of
-    links outside dense groups is that of the forest; the tests measure it against brute force.
+    broadcast: trees * 2^depth directions, at most trees * sample_rows / 16 vectors. Links
+    with a vector in a cell are exact; recall of the others is that of the forest; the tests measure
+    it against brute force. A cell costs homes times guests, so a hot group that is not tight costs
+    the square of its size in products, spread over all tasks.
     Null, zero, empty vectors and those with null or non-finite components link with nothing.
     Vectors of different dimension never link. Rows that repeat a vec_id are one vector (the
     smallest content hash counts); a null vec_id stays, unlinked, with a null component.
@@ -195,23 +248,25 @@ def near_duplicates(
     weight = live.groupBy("h").agg(F.min("vec_id").alias("id"), F.count("*").alias("w"))
     reps = ws.write(rows.where("fine").select("h", "embedding").join(weight, "h").groupBy("h").agg(F.first("id").alias("id"), F.first("w").alias("w"), F.first("embedding").alias("embedding")).withColumn("dim", F.size("embedding")), "reps")
     dims = [r.dim for r in reps.groupBy("dim").count().orderBy(F.col("count").desc()).collect()]
-    pairs = grouped = None
+    pairs = grouped = hot = None
     for d in dims:
-        p, g = _one_dimension(reps.where(F.col("dim") == d), ws, d, least, trees, leaf_rows, spill, sample_rows, seed)
-        pairs, grouped = (p, g) if pairs is None else (pairs.unionByName(p), grouped.unionByName(g))
+        p, g, h = _one_dimension(reps.where(F.col("dim") == d), ws, d, least, trees, leaf_rows, spill, sample_rows, seed)
+        pairs, grouped, hot = (p, g, h) if pairs is None else (pairs.unionByName(p), grouped.unionByName(g), hot.unionByName(h))
     if pairs is None:
         pairs = spark.createDataFrame([], "a bigint, b bigint, wa bigint, wb bigint")
         grouped = spark.createDataFrame([], "id bigint, core bigint, w bigint")
-    pairs, grouped = ws.write(pairs, "pairs"), ws.write(grouped, "cores")
+        hot = spark.createDataFrame([], "a bigint, b bigint, k bigint")
+    pairs, grouped, hot = ws.write(pairs, "pairs"), ws.write(grouped, "cores"), ws.write(hot, "hot")
     sums = grouped.groupBy("core").agg(F.sum("w").alias("total"), F.min("id").alias("head"))
     dense = grouped.join(F.broadcast(sums), "core")
     counts = (
         pairs.select(F.col("a").alias("id"), F.col("wb").alias("k"))
         .unionByName(pairs.select(F.col("b").alias("id"), F.col("wa").alias("k")))
         .unionByName(dense.select("id", (F.col("total") - F.col("w")).alias("k")))
+        .unionByName(hot.select(F.col("a").alias("id"), "k"))
         .groupBy("id").agg(F.sum("k").alias("k"))
     )
-    comp = components(pairs.select("a", "b").unionByName(dense.select(F.col("id").alias("a"), F.col("head").alias("b"))), ws)
+    comp = components(pairs.select("a", "b").unionByName(hot.select("a", "b")).unionByName(dense.select(F.col("id").alias("a"), F.col("head").alias("b"))), ws)
     reps_out = weight.join(counts, "id", "left").join(comp, "id", "left").select(
         F.col("h").alias("rh"), (F.coalesce("k", F.lit(0)) + F.col("w") - 1).alias("n_links"), F.coalesce("component", "id").alias("component_id")
     )

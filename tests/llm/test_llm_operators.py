@@ -86,6 +86,23 @@ def test_near_vectors_against_brute_force(spark):
     assert all(got[i].kept == (got[i].component_id == i) for i in got)
 
 
+def test_near_vectors_of_a_wide_group(spark):
+    import pyarrow as pa
+
+    rng = np.random.default_rng(3)
+    x = rng.standard_normal((24_000, 64))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    wide = rng.standard_normal((8_000, 64))
+    wide /= np.linalg.norm(wide, axis=1)[:, None]
+    x[:8_000] = x[9_000] + wide * np.sqrt(1 / rng.uniform(0.91, 0.95, (8_000, 1)) - 1)
+    u = x / np.linalg.norm(x, axis=1)[:, None]
+    true = np.array([(u[i : i + 500] @ u.T >= 0.9).sum(axis=1) - 1 for i in range(0, 8_000, 500)]).ravel()
+    rows = spark.createDataFrame(pa.table({"vec_id": np.arange(24_000), "embedding": x.tolist()}))
+    got = {r.vec_id: r.n_links for r in near_dup.near_duplicates(rows).collect()}
+    assert true.mean() > 7_000
+    assert sum(abs(got[i] - true[i]) for i in range(8_000)) <= 0.001 * true.sum()
+
+
 def test_near_vectors_odd_rows(spark):
     rows = [(1, None), (2, []), (3, [0.0, 0.0]), (4, [1.0, None]), (5, [float("nan"), 1.0]), (6, [float("inf"), 1.0]), (7, [1.0, 0.0]), (8, [1e-30, 0.0]), (8, [1e-30, 0.0]), (9, [1.0, 0.0, 0.0]), (None, [1.0, 0.0]), (10, [0.0, 1.0])]
     got = {r.vec_id: (r.n_links, r.component_id, r.kept) for r in near_dup.near_duplicates(vectors(spark, rows)).collect()}
