@@ -386,10 +386,8 @@ def q_search_split_exact(spark, sf_dir):
     base, queries = held_out(spark, sf_dir)
     a = contiguous_split(base, 4)
     g = build_shards(a, base, "knn_exact", 10_000, 0, 4)
-    found = search.search_split(g, base, queries.where("query_id % 100 = 0"), 10, 100_000, 4)
-    rest = search.search_exact(base, queries.where("query_id % 100 <> 0"), 10)
-    cols = ["query_id", "rank", "vec_id", F.col("dist").cast("bigint").alias("d2")]
-    return found.select(*cols).unionByName(rest.select(*cols))
+    found = search.search_split(g, base, queries, 10, 100_000, 4)
+    return found.select("query_id", "rank", "vec_id", F.col("dist").cast("bigint").alias("d2"))
 
 
 @CORE.query("recall_split_vs_exact", f"with {V}, {QD}, t as (select *, row_number() over (partition by query_id order by d2, vec_id) as r from qd), w as (select query_id, max(d2) as worst from t where r <= 10 group by all), f as (select *, row_number() over (partition by query_id order by d2, vec_id) as r from qd where vec_id % 2 = 0), h as (select w.query_id, least(count(f.vec_id), 10) as h from w left join f on f.query_id = w.query_id and f.r <= 10 and f.d2 <= w.worst group by w.query_id) select count(*)::bigint as n_queries, sum(h)::bigint as hits from h")

@@ -155,3 +155,12 @@ def test_shape_on_hashed_documents(spark):
         got[method] = (metrics.recall_at_k(found, truth).first().recall, metrics.search_work(found).first().mean_dist_count)
     assert got["selective_merge"][0] >= 0.95
     assert got["selective_merge"][1] < 0.7 * got["split_knn"][1]
+
+
+def test_split_query_searches_every_query(spark, monkeypatch):
+    from shardgraph.plans import methods
+
+    asked = []
+    monkeypatch.setattr(methods.search, "search_split", lambda g, base, queries, *a: asked.append(queries.count()) or methods.search.search_exact(base, queries, 10))
+    methods.q_search_split_exact(spark, "/root/testdata/sf0.001")
+    assert asked == [methods.held_out(spark, "/root/testdata/sf0.001")[1].count()]
