@@ -462,7 +462,7 @@ def q_build_time_fit(spark, sf_dir):
 
 def _pool(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
     """Tasks from parts, instances from suppliers; only the roles are ours."""
-    tasks = read(spark, sf_dir, "part").where("p_partkey < 64").select(F.col("p_partkey").alias("task_id"), (F.col("p_size") * 1000).cast("bigint").alias("n_vectors"), (F.col("p_size") * 1.0 + 0.2).alias("est_seconds"))
+    tasks = read(spark, sf_dir, "part").select(F.col("p_partkey").alias("task_id"), (F.col("p_size") * 1000).cast("bigint").alias("n_vectors"), (F.col("p_size") * 1.0 + 0.2).alias("est_seconds"))
     spot = F.col("s_suppkey") % 3 != 0
     inst = read(spark, sf_dir, "supplier").select(
         F.col("s_suppkey").alias("instance_id"), F.when(spot, "spot").otherwise("on_demand").alias("kind"), F.lit(True).alias("active"), (F.col("s_suppkey") % 4 != 1).alias("available"),
@@ -473,13 +473,14 @@ def _pool(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
 
 @CORE.query("schedule_candidates", "select p_partkey as task_id, s_suppkey as instance_id from part join supplier on p_size * 1.0 + 0.2 < 60 + s_suppkey * 37 % 3600 where p_partkey < 64 and s_suppkey % 4 <> 1")
 def q_schedule_candidates(spark, sf_dir):
-    return scheduler.candidates(*_pool(spark, sf_dir)).select("task_id", "instance_id")
+    tasks, inst = _pool(spark, sf_dir)
+    return scheduler.candidates(tasks.where("task_id < 64"), inst).select("task_id", "instance_id")  # as the twin says
 
 
 def _replay_inputs(spark, sf_dir):
     tasks, inst = _pool(spark, sf_dir)
     t = [(r.task_id, float(r.est_seconds)) for r in tasks.orderBy("task_id").collect()]
-    p = [scheduler.Instance(r.instance_id, r.kind, 0.0 if r.available else 20.0, r.remaining_s if r.kind == "spot" else None, float(r.price_per_h), 30.0) for r in inst.orderBy("instance_id").limit(8).collect()]
+    p = [scheduler.Instance(r.instance_id, r.kind, 0.0 if r.available else 20.0, r.remaining_s if r.kind == "spot" else None, float(r.price_per_h), 30.0) for r in inst.orderBy("instance_id").collect()]
     return t, p
 
 
@@ -531,7 +532,7 @@ select instance_id, kind, floor(sum(secs) * 1000 + 0.5)::bigint as busy_ms, floo
 )
 def q_cost_by_instance(spark, sf_dir):
     tasks, inst = _pool(spark, sf_dir)
-    n = inst.count()
+    tasks, n = tasks.where("task_id < 64"), inst.count()  # as the twin says
     placed = tasks.select("task_id", (F.col("task_id") % n + 1).alias("instance_id"), F.lit(0.0).alias("start_s"), F.col("est_seconds").alias("end_s"), F.when(F.col("task_id") % 5 == 0, "lost").otherwise("done").alias("outcome"))
     c = cost.cost_by_instance(placed, inst)
     return c.select("instance_id", "kind", F.floor(F.col("busy_s") * 1000 + 0.5).cast("bigint").alias("busy_ms"), F.floor(F.col("lost_s") * 1000 + 0.5).cast("bigint").alias("lost_ms"), F.floor(F.col("cost") * 10000 + 0.5).cast("bigint").alias("cost_e4"))
