@@ -91,12 +91,16 @@ def notice_spans(flat: bytes, notices: dict[str, str] = NOTICES) -> list[tuple[s
     out = []
     for n, spans in sorted(windows.items()):
         notice, label, k, bigrams, pattern = plans[n]
-        for a, b in spans:
+        while spans:
+            a, b = spans.pop()
             part = text[a:b]
             # an edit takes two bigrams at most, so a part that lacks more holds no match
-            if len(bigrams - _bigrams(part)) <= 2 * k:
-                out += [(notice, label, a + m.start(), a + m.end(), sum(m.fuzzy_counts)) for m in pattern.finditer(part)]
-    return out
+            m = pattern.search(part) if len(bigrams - _bigrams(part)) <= 2 * k else None
+            if m:
+                # the best match comes first; copies with more edits stand on both sides of it
+                out.append((notice, label, a + m.start(), a + m.end(), sum(m.fuzzy_counts)))
+                spans += [[a, a + m.start()], [a + m.end(), b]]
+    return sorted(out)
 
 
 def scan_text(text: str | None, notices: dict[str, str] = NOTICES) -> tuple:

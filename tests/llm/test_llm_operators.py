@@ -387,6 +387,17 @@ def test_fuzzy_spans_equal_an_unseeded_search():
         assert bool(license_scan.notice_spans(flat, {notice: label})) == want
 
 
+def test_neighbouring_notices_all_have_spans():
+    notice, k = "released under the mit license", 3
+    copies = ["relesed under the mit licence", notice, "released undr the mit license"]
+    flat = " ".join(["lorem", *copies, "dolor", copies[0], "ipsum"]).encode()
+    got = license_scan.notice_spans(flat, {notice: "mit"})
+    assert len(got) == len(copies) + 1 and [s[4] for s in got] == [2, 0, 1, 2]
+    import regex
+
+    assert len(got) == len(regex.findall(f"(?e)(?:{notice}){{e<={k}}}", flat.decode("latin-1")))
+
+
 def test_license_odd_rows(spark):
     got = license_scan.scan(odd(spark)).collect()
     assert len(got) == 8 and {r.n_words for r in got if r.doc_id == 3} == {60_000}
