@@ -123,11 +123,11 @@ class Index:
                 out[own] = at
         return out
 
-    def best(self, text: str | None) -> tuple[int | None, float, int, int]:
-        """(item, coverage, tiles, tokens covered) of the item that the text covers most; ties go to the smaller item id."""
+    def covers(self, text: str | None) -> list[tuple[int, float, int, int]]:
+        """(item, coverage, tiles, tokens covered) of every item that the text covers in part."""
         words = tokens(text)
         doc = np.fromiter(map(self.vocabulary.get, words, repeat(0)), np.int64, len(words))
-        best: tuple[int | None, float, int, int] = (None, 0.0, 0, 0)
+        out: list[tuple[int, float, int, int]] = []
         for own, places in self.candidates(doc).items():
             item = self.items[own]
             least = min(self.seed, len(item))
@@ -140,31 +140,33 @@ class Index:
             part = np.insert(doc[at], cut, -1)  # only the seeds' stretches can hold tiles
             tiles = tile(part, item, least)
             covered = sum(t[2] for t in tiles)
-            got = (self.ids[own], covered / len(item), len(tiles), covered)
-            if got[1] > best[1] or (got[1] == best[1] and best[0] is not None and got[0] < best[0]):
-                best = got
-        return best
+            if covered:
+                out.append((self.ids[own], covered / len(item), len(tiles), covered))
+        return out
 
 
-SCHEMA = "item_id bigint, coverage double, n_tiles int, n_covered bigint"
+SCHEMA = "item_id bigint, coverage double, n_tiles int, n_covered bigint, leaks array<bigint>"
 
 
-def _overlap_udf(shared):
+def _overlap_udf(shared, threshold):
     @F.arrow_udf(SCHEMA)
     def overlap(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        kinds = (("item_id", pa.int64()), ("coverage", pa.float64()), ("n_tiles", pa.int32()), ("n_covered", pa.int64()))
+        kinds = (("item_id", pa.int64()), ("coverage", pa.float64()), ("n_tiles", pa.int32()), ("n_covered", pa.int64()), ("leaks", pa.list_(pa.int64())))
         index = Index([], 0)
         vars(index).update(shared.value)
         for t in texts:
-            got = [index.best(x) for x in t.to_pylist()]
-            cols = list(zip(*got, strict=True)) if got else [[]] * 4
+            every = [index.covers(x) for x in t.to_pylist()]
+            got = [(*min(c, key=lambda x: (-x[1], x[0]), default=(None, 0.0, 0, 0)), sorted(x[0] for x in c if x[1] >= threshold)) for c in every]
+            cols = list(zip(*got, strict=True)) if got else [[]] * 5
             yield pa.StructArray.from_arrays([pa.array(c, kind) for c, (_, kind) in zip(cols, kinds, strict=True)], fields=[pa.field(*x) for x in kinds])
 
     return overlap
 
 
-def covered_by(docs: DataFrame, benchmark: DataFrame, seed: int = 5, block_chars: int = 8_000_000, text_col: str = "text", name: str = "_overlap") -> DataFrame:
-    """``docs`` with a struct column ``name`` of (item_id, coverage, n_tiles, n_covered).
+def covered_by(docs: DataFrame, benchmark: DataFrame, seed: int = 5, block_chars: int = 8_000_000, text_col: str = "text", name: str = "_overlap", threshold: float = 0.5) -> DataFrame:
+    """``docs`` with a struct column ``name`` of (item_id, coverage, n_tiles, n_covered, leaks).
+
+    ``leaks`` lists every item with a coverage of ``threshold`` or more; the others tell of the best.
 
     Items are read in blocks of at most about ``block_chars`` characters, so the broadcast index
     is bounded; a larger benchmark takes one pass column per block, each over all documents, and
@@ -182,11 +184,11 @@ def covered_by(docs: DataFrame, benchmark: DataFrame, seed: int = 5, block_chars
         rows = items.where(F.pmod(F.xxhash64("item_id"), F.lit(n)) == k) if n > 1 else items
         index = spark.sparkContext.broadcast(vars(Index(sorted((r.item_id, r.text) for r in rows.collect()), seed)))
 
-        columns.append(_overlap_udf(index)(F.col(text_col).cast("string")))
+        columns.append(_overlap_udf(index, threshold)(F.col(text_col).cast("string")))
     out = columns[0]
     if n > 1:
         best = F.array_max(F.transform(F.array(*columns), lambda c: F.struct(c["coverage"].alias("coverage"), (-c["item_id"]).alias("neg"), c["n_tiles"].alias("n_tiles"), c["n_covered"].alias("n_covered"))))
-        out = F.struct((-best["neg"]).alias("item_id"), best["coverage"].alias("coverage"), best["n_tiles"].alias("n_tiles"), best["n_covered"].alias("n_covered"))
+        out = F.struct((-best["neg"]).alias("item_id"), best["coverage"].alias("coverage"), best["n_tiles"].alias("n_tiles"), best["n_covered"].alias("n_covered"), F.array_sort(F.flatten(F.array(*[c["leaks"] for c in columns]))).alias("leaks"))
     return docs.withColumn(name, out)
 
 

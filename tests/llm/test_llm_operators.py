@@ -479,6 +479,14 @@ def test_planted_passages(spark):
     assert decontaminate.covered_by(odd(spark).drop("_overlap"), bench.limit(0)).where("_overlap.coverage > 0").count() == 0
 
 
+@pytest.mark.parametrize("block", [8_000_000, 60])
+def test_a_document_lists_all_its_leaks(spark, block):
+    a, b = " ".join(f"a{i}" for i in range(20)), " ".join(f"b{i}" for i in range(20))
+    items = spark.createDataFrame([(1, a), (2, b), (3, "c " * 20)], "item_id bigint, text string")
+    got = {r.doc_id: list(r._overlap.leaks) for r in decontaminate.covered_by(docs(spark, [(1, f"{b} x {a}", None, None), (2, "none", None, None)]).drop("_overlap"), items, block_chars=block).collect()}
+    assert got == {1: [1, 2], 2: []}
+
+
 def test_given_leaks_are_all_found(spark):
     d, b = table(spark, SF, "documents"), table(spark, SF, "benchmark")
     want = {r.doc_id for r in d.join(F.broadcast(b.select(F.col("text").alias("t"))), F.contains("text", "t")).collect()}
