@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+import ctypes
+from collections.abc import Callable, Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from shardgraph.workspace import Workspace, shared_dir
 
-__all__ = ["WORD_BYTES", "Workspace", "components", "letter_case", "shared_dir", "table"]
+__all__ = ["WORD_BYTES", "Workspace", "components", "free_name", "letter_case", "shared_dir", "slices", "table", "tidy"]
 
 #: Turns A-Z into a-z and every ASCII byte that is neither a letter nor a digit into a space.
 WORD_BYTES = bytes(
@@ -69,6 +75,40 @@ def components(edges: DataFrame, ws: Workspace, name: str = "cc", max_rounds: in
     return cur.select(F.col("a").alias("id"), F.col("b").alias("component")).unionByName(roots)
 
 
+def slices(batches: Iterator[pa.RecordBatch], chars: int = 1_000_000, col: str = "text") -> Iterator[pa.RecordBatch]:
+    """Batches cut so that a slice holds few bytes of text besides one long text."""
+    for b in batches:
+        size = np.cumsum(pc.fill_null(pc.binary_length(b.column(col)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+        start = 0
+        while start < len(size):
+            base = size[start - 1] if start else 0
+            end = max(start + 1, int(np.searchsorted(size, base + chars, "right")))
+            yield b.slice(start, end - start)
+            start = end
+
+
+def tidy(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """The kernel, which hands its memory back when its task ends: workers are reused, and allocators keep what they once had."""
+
+    def kernel(batches: Iterator) -> Iterator:
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        try:
+            ctypes.CDLL(None).malloc_trim(0)
+        except (AttributeError, OSError):  # another C library than glibc
+            return
+
+    return kernel
+
+
+def free_name(df: DataFrame, name: str) -> str:
+    """``name``, with underscores added until no column of ``df`` has it."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

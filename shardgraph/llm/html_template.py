@@ -12,7 +12,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shardgraph.llm.common import Workspace
+from shardgraph.llm.common import Workspace, slices, tidy
 from shardgraph.llm.url_filter import host_and_path
 
 #: Elements whose content is never text of a page.
@@ -162,7 +162,7 @@ def occurrences(page_id: int, page: str | None) -> dict[tuple[int, int], tuple[i
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
+    for b in slices(batches, col="html"):
         host, token, kind, count, part = [], [], [], [], []
         for h, i, page in zip(b.column("host").to_pylist(), b.column("row").to_pylist(), b.column("html").to_pylist(), strict=True):
             for (k, t), (c, v) in occurrences(i, page).items():
@@ -208,7 +208,7 @@ def places(page: str | None, classes: dict[int, int], frames: dict[int, int]) ->
 
 def _places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows (host, token, other, low, high): a token's places, or a crossing of the frames ``token`` and ``other``."""
-    for b in batches:
+    for b in slices(batches, col="html"):
         known: dict[str, tuple[dict, dict]] = {}
         out: dict[tuple, tuple[int, int]] = {}
         for k, h in enumerate(b.column("host").to_pylist()):
@@ -269,7 +269,7 @@ def extract(pages: DataFrame, support: float = 0.5, least_pages: int = 8) -> Dat
     host, _ = host_and_path(F.col("url"))
     src = pages.select("page_id", "url", host.alias("host"), F.col("html").cast("string").alias("html"))
     row = F.xxhash64("page_id", "url")
-    seen = src.where("html is not null").select("host", row.alias("row"), "html").mapInArrow(_count, "host string, token bigint, kind int, n bigint, part bigint")
+    seen = src.where("html is not null").select("host", row.alias("row"), "html").mapInArrow(tidy(_count), "host string, token bigint, kind int, n bigint, part bigint")
     sums = seen.groupBy("host", "token").agg(F.max("kind").alias("kind"), F.count("*").alias("pages"), F.sum("n").alias("n"), F.sum(F.col("part").cast("decimal(38,0)")).alias("vector"))
     n_pages = src.where("html is not null").groupBy("host").agg(F.count("*").alias("all"))
     frequent = ws.write(sums.join(n_pages, "host").where((F.col("pages") >= F.col("all") * support) & (F.col("pages") >= least_pages)), "frequent")
@@ -281,7 +281,7 @@ def extract(pages: DataFrame, support: float = 0.5, least_pages: int = 8) -> Dat
         return F.broadcast(lists) if few else lists
 
     tried = by_host(member, F.struct("token", "kind", "class"), "classes")
-    found = src.where("html is not null").select("host", "html").join(tried, "host").mapInArrow(_places, "host string, token bigint, other bigint, low bigint, high bigint")
+    found = src.where("html is not null").select("host", "html").join(tried, "host").mapInArrow(tidy(_places), "host string, token bigint, other bigint, low bigint, high bigint")
     found = ws.write(found.groupBy("host", "token", "other").agg(F.min("low").alias("low"), F.max("high").alias("high")), "places")
     fixed = member.join(found.where("other is null").drop("other"), ["host", "token"]).withColumn("still", F.col("low") == F.col("high"))
     frames = fixed.where("kind = 0").groupBy("host", "class").agg(F.count("*").alias("size"), F.max("pages").alias("pages"), F.min("still").alias("valid"), F.size(F.collect_set("low")).alias("turns"))
@@ -294,11 +294,11 @@ def extract(pages: DataFrame, support: float = 0.5, least_pages: int = 8) -> Dat
     joined = src.join(by_host(fixed, texts_of, "templates"), "host", "left")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches, col="html"):
             texts = []
             for page, t in zip(b.column("html").to_pylist(), b.column("template").to_pylist(), strict=True):
                 texts.append(main_text(page, None if t is None else set(t)))
             yield pa.RecordBatch.from_pydict({"page_id": b.column("page_id"), "url": b.column("url"), "text": pa.array(texts, pa.string()), "n_chars": pa.array([len(t) for t in texts], pa.int64())})
 
     kind = src.schema["page_id"].dataType.simpleString()
-    return joined.select("page_id", "url", "html", "template").mapInArrow(run, f"page_id {kind}, url string, text string, n_chars bigint")
+    return joined.select("page_id", "url", "html", "template").mapInArrow(tidy(run), f"page_id {kind}, url string, text string, n_chars bigint")

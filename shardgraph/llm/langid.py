@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from shardgraph.llm.common import slices, tidy
+
 BUCKETS = 1 << 15
 ORDERS = (1, 2, 3)
 SLICE_CHARS = 400_000
@@ -34,7 +36,7 @@ def gram_buckets(codes: np.ndarray) -> list[np.ndarray]:
 
 
 def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, list[str | None]]]:
-    for b in batches:
+    for b in slices(batches):
         yield b, b.column("text").to_pylist()
 
 
@@ -117,7 +119,7 @@ def train(docs: DataFrame, max_rows: int = 20_000) -> Model:
     n = rows.count()
     if n > max_rows:
         rows = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int((1 << 30) * max_rows / n))
-    got = rows.select("lang", "text").mapInArrow(_count, "lang string, bucket bigint, n bigint").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toPandas()
+    got = rows.select("lang", "text").mapInArrow(tidy(_count), "lang string, bucket bigint, n bigint").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toPandas()
     langs = sorted(got["lang"].unique())
     counts = np.zeros((BUCKETS, len(langs)))
     counts[got["bucket"], [langs.index(x) for x in got["lang"]]] = got["n"]
@@ -144,4 +146,4 @@ def identify(docs: DataFrame, max_rows: int = 20_000) -> DataFrame:
             yield pa.RecordBatch.from_pydict({"doc_id": b.column("doc_id"), "held_out": b.column("held_out"), "lang_pred": pa.array(names, pa.string()), "score": pa.array(score)})
 
     kind = src.schema["doc_id"].dataType.simpleString()
-    return src.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text").mapInArrow(run, f"doc_id {kind}, held_out boolean, lang_pred string, score double")
+    return src.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text").mapInArrow(tidy(run), f"doc_id {kind}, held_out boolean, lang_pred string, score double")

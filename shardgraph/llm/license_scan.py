@@ -11,7 +11,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shardgraph.llm.common import WORD_BYTES
+from shardgraph.llm.common import WORD_BYTES, slices, tidy
 
 #: Phrases and labels of the contract.
 PHRASES = {"cc by": "cc-by", "general public license": "gpl", "all rights reserved": "reserved"}
@@ -124,7 +124,7 @@ def scan(docs: DataFrame, notices: dict[str, str] = NOTICES) -> DataFrame:
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             got = [scan_text(t, notices) for t in b.column("text").to_pylist()]
             cols = list(zip(*got, strict=True)) if got else [[]] * 8
             spans = [[dict(zip(("notice", "label", "start", "end", "edits"), s, strict=True)) for s in ss] for ss in cols[7]]
@@ -141,7 +141,7 @@ def scan(docs: DataFrame, notices: dict[str, str] = NOTICES) -> DataFrame:
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(
-        run,
+        tidy(run),
         f"doc_id {kind}, n_words bigint, n_base bigint, first_word bigint, last_word bigint, base_labels string, labels string, score double, "
         "spans array<struct<notice:string,label:string,start:bigint,end:bigint,edits:bigint>>",
     )

@@ -3,20 +3,20 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import fsum
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shardgraph.llm.common import WORD_BYTES
+from shardgraph.llm.common import WORD_BYTES, Workspace, free_name, slices, tidy
 
 
 #: Length of the character n-grams of a word, its ends marked.
 GRAM = 5
 #: Words whose sums a task remembers before it starts anew.
-REMEMBERED = 500_000
+REMEMBERED = 100_000
 
 
 def word_set(text: str | None) -> set[bytes]:
@@ -41,11 +41,11 @@ class OrdinalModel:
         if got is None:
             if len(self.sums) >= REMEMBERED:
                 self.sums.clear()
-            got = self.sums[word] = float(sum(self.weights[self.vocabulary[f]] for f in features_of(word) & self.vocabulary.keys()))
+            got = self.sums[word] = fsum(self.weights[self.vocabulary[f]] for f in features_of(word) & self.vocabulary.keys())
         return got
 
     def probabilities(self, texts: list[str | None]) -> np.ndarray:
-        x = np.array([sum(map(self.word_sum, sorted(word_set(t)))) for t in texts])
+        x = np.array([fsum(map(self.word_sum, word_set(t))) for t in texts])
         below = 1 / (1 + np.exp(np.clip(x[:, None] - self.theta[None, :], -60, 60)))
         return np.diff(np.c_[np.zeros(len(texts)), below, np.ones(len(texts))], axis=1)
 
@@ -86,7 +86,7 @@ class OrdinalModel:
 
 def _features(vocabulary: dict[bytes, int]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             rows = [sorted(vocabulary[f] for w in word_set(t) for f in features_of(w) & vocabulary.keys()) for t in b.column("text").to_pylist()]
             yield pa.RecordBatch.from_pydict({"grade": b.column("grade"), "x": pa.array(rows, pa.list_(pa.int32()))})
 
@@ -94,7 +94,7 @@ def _features(vocabulary: dict[bytes, int]):
 
 
 def _words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
+    for b in slices(batches):
         sets = [set().union(*map(features_of, word_set(t))) for t in b.column("text").to_pylist()]
         grade = np.repeat(b.column("grade").to_numpy(), [len(s) for s in sets])
         yield pa.RecordBatch.from_pydict({"grade": pa.array(grade, pa.int32()), "word": pa.array([w for s in sets for w in s], pa.binary())})
@@ -115,40 +115,47 @@ def train(docs: DataFrame, labels: DataFrame, max_rows: int = 8_000, max_feature
     if n > max_rows:
         marked = marked.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int((1 << 30) * max_rows / n))
     rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(marked), "doc_id").select("grade", "text")
-    rows = rows.cache()
+    ws = Workspace(docs.sparkSession, "toxicity")
+    rows = ws.write(rows, "rows")
     total, toxic = rows.agg(F.count("*"), F.count_if(F.col("grade") > 0)).first()
     p0 = min(max(toxic / max(total, 1), 1e-6), 1 - 1e-6)
-    counts = rows.mapInArrow(_words, "grade int, word binary").groupBy("word").agg(F.count("*").alias("n"), F.count_if(F.col("grade") > 0).alias("pos")).where(F.col("n") >= min_rows)
+    counts = rows.mapInArrow(tidy(_words), "grade int, word binary").groupBy("word").agg(F.count("*").alias("n"), F.count_if(F.col("grade") > 0).alias("pos")).where(F.col("n") >= min_rows)
     p = F.col("pos") / F.col("n")
     part = lambda x, y: F.when(x > 0, x * F.log(x / y)).otherwise(0.0)
-    scored = counts.withColumn("score", F.col("n") * (part(p, p0) + part(1 - p, 1 - p0))).cache()
+    scored = ws.write(counts.select("word", (F.col("n") * (part(p, p0) + part(1 - p, 1 - p0))).alias("score")), "scored")
     chance = float(np.log(max(scored.count(), 1)) + slack)
     top = scored.where(F.col("score") >= chance).orderBy(F.col("score").desc(), "word").limit(max_features).collect()
-    scored.unpersist()
     vocabulary = {bytes(r.word): i for i, r in enumerate(top)}
-    got = rows.mapInArrow(_features(vocabulary), "grade int, x array<int>").collect()
-    rows.unpersist()
+    got = rows.mapInArrow(tidy(_features(vocabulary)), "grade int, x array<int>").collect()
+    ws.drop("rows", "scored")
     return OrdinalModel.fit([r.x for r in got], np.array([r.grade for r in got], int), vocabulary)
 
 
 def severity(docs: DataFrame, model: OrdinalModel, text_col: str = "text", out: str = "_toxicity") -> DataFrame:
     """``docs`` with a struct column ``out`` of (severity, grade, p_toxic), one pass over whole texts.
 
-    Expected severity is the grades' mean under the model; grade the most probable one; p_toxic
-    the chance of a grade over 0. A null or empty text has no features and gets the thresholds'
-    own probabilities. All columns and rows stay, repeated or null ids too.
+    Expected severity is the grades' mean under the model; grade the most probable one, the lower
+    of equals; p_toxic the chance of a grade over 0. A null or empty text has no features and gets
+    the thresholds' own probabilities. All columns and rows stay, repeated or null ids too; where
+    ``docs`` has a column ``out``, the new one has underscores added (``free_name``).
     """
     shared = docs.sparkSession.sparkContext.broadcast((model.grades, model.vocabulary, model.weights, model.theta))
+    kinds = (("severity", pa.float64()), ("grade", pa.int32()), ("p_toxic", pa.float64()))
 
-    @F.pandas_udf("severity double, grade int, p_toxic double")
-    def grade(texts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+    def score(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
         model = OrdinalModel(*shared.value)
         g = np.array(model.grades)
-        for t in texts:
-            p = model.probabilities([x if isinstance(x, str) else None for x in t])
-            yield pd.DataFrame({"severity": p @ g, "grade": g[p.argmax(axis=1)].astype("int32"), "p_toxic": p[:, g > 0].sum(axis=1)})
+        for whole in arrays:
+            batch = pa.RecordBatch.from_arrays([whole], names=["text"])
+            p = np.concatenate([np.empty((0, len(g))), *(model.probabilities(t.column(0).to_pylist()) for t in slices(iter([batch])))])
+            cols = (p @ g, g[p.argmax(axis=1)], p[:, g > 0].sum(axis=1))
+            yield pa.StructArray.from_arrays([pa.array(c, kind) for c, (_, kind) in zip(cols, kinds, strict=True)], fields=[pa.field(*x) for x in kinds])
 
-    return docs.withColumn(out, grade(F.col(text_col).cast("string")))
+    @F.arrow_udf("severity double, grade int, p_toxic double")
+    def grade(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        yield from tidy(score)(texts)
+
+    return docs.withColumn(free_name(docs, out), grade(F.col(text_col).cast("string")))
 
 
 def rejects(threshold: float = 0.5, out: str = "_toxicity"):
