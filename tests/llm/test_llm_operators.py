@@ -70,7 +70,7 @@ def test_near_vectors_against_brute_force(spark):
     u /= np.linalg.norm(u, axis=1)[:, None]
     s = u @ u.T >= 0.9
     np.fill_diagonal(s, False)
-    got = {r.vec_id: r for r in near_dup.near_duplicates(vectors(spark, [(i, v) for i, v in enumerate(a.tolist())]), leaf_rows=128, sample_rows=1000).collect()}
+    got = {r.vec_id: r for r in near_dup.near_duplicates(vectors(spark, [(i, v) for i, v in enumerate(a.tolist())]), leaf_rows=128, sample_rows=1000, miss=1e-5).collect()}
     n = np.array([got[i].n_links for i in range(len(a))])
     true = s.sum(axis=1)
     assert (n <= true).all()
@@ -103,6 +103,45 @@ def test_near_vectors_of_a_wide_group(spark):
     assert sum(abs(got[i] - true[i]) for i in range(8_000)) <= 0.001 * true.sum()
 
 
+def test_recall_of_a_deep_forest_by_cosine(spark, monkeypatch):
+    import pyarrow as pa
+
+    # three levels a fit and two trees a pass, so thresholds come from tasks and links from several passes
+    monkeypatch.setattr(near_dup, "LEVELS", 3)
+    monkeypatch.setattr(near_dup, "COPIES", 6)
+    rng = np.random.default_rng(7)
+    x = rng.standard_normal((12_000, 64))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    bands, at = (0.901, 0.92, 0.95, 0.98), 0
+    for c in bands:
+        for _ in range(500):
+            other = rng.standard_normal(64)
+            other -= (other @ x[at]) * x[at]
+            x[at + 1] = c * x[at] + np.sqrt(1 - c * c) * other / np.linalg.norm(other)
+            at += 2
+    rows = spark.createDataFrame(pa.table({"vec_id": np.arange(len(x)), "embedding": x.tolist()}))
+    got = {r.vec_id: r for r in near_dup.near_duplicates(rows, leaf_rows=64, sample_rows=2000).collect()}
+    for k, c in enumerate(bands):
+        found = [got[2 * i].component_id == got[2 * i + 1].component_id for i in range(500 * k, 500 * (k + 1))]
+        assert np.mean(found) >= 0.99, (c, np.mean(found))
+    assert sum(r.n_links for r in got.values()) <= 2 * 500 * len(bands)
+
+
+def test_sketches_bound_their_error():
+    rng = np.random.default_rng(8)
+    for dim in (2, 3, 64, 768):
+        x = near_dup.unit(rng.standard_normal((200, dim)) ** 3)
+        code, step = near_dup.sketch(x)
+        y = code.astype(float) * step[:, None].astype(float)
+        err = near_dup.sketch_error(step, dim)
+        assert (np.abs(x @ x.T - y @ y.T) <= err[:, None] + err[None, :]).all()
+
+
+def test_trees_follow_depth():
+    counts = [near_dup.tree_count(d, 0.9, 0.12, 1e-4) for d in range(25)]
+    assert counts[0] == 1 and counts == sorted(counts) and counts[20] < 40
+
+
 def test_near_vectors_odd_rows(spark):
     rows = [(1, None), (2, []), (3, [0.0, 0.0]), (4, [1.0, None]), (5, [float("nan"), 1.0]), (6, [float("inf"), 1.0]), (7, [1.0, 0.0]), (8, [1e-30, 0.0]), (8, [1e-30, 0.0]), (9, [1.0, 0.0, 0.0]), (None, [1.0, 0.0]), (10, [0.0, 1.0])]
     got = {r.vec_id: (r.n_links, r.component_id, r.kept) for r in near_dup.near_duplicates(vectors(spark, rows)).collect()}
