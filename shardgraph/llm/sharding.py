@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-from bisect import bisect_right
-
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from shardgraph.llm.common import Workspace
 
 LOWEST = -(2**63)
+#: Parts that a round cuts an overfull range into at most; the next round cuts further.
+MOST_PARTS = 256
 
 
 def _key_hash(text: Column) -> Column:
@@ -31,15 +31,27 @@ def _below(splitters: list[tuple[int, int]]) -> Column:
     return F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), step)
 
 
-def _splitters(sample: list[tuple[int, int]], n: int) -> list[tuple[int, int]]:
-    """n - 1 quantiles of the sorted sample. A key stands for all its copies, unless it is so heavy that it holds several quantiles."""
-    picked: list[tuple[int, int]] = []
-    for i in range(1, n):
-        h, t = sample[i * len(sample) // n]
-        s = (h, t) if picked and picked[-1][0] == h else (h, LOWEST)
-        if not picked or s > picked[-1]:
-            picked.append(s)
-    return picked
+def _splitters(sample: DataFrame, of: list[str], parts: int) -> dict[tuple, list[tuple[int, int]]]:
+    """Group -> boundaries at the sample's quantiles. A key stands for all its copies, unless it is so heavy that it holds several quantiles; those cut its copies by id.
+
+    Quantiles come from a sketch that is aggregated in parts, so only boundaries reach the driver.
+    """
+    share = [i / parts for i in range(1, parts)]
+    accuracy = F.lit(max(10_000, 8 * parts))
+    out: dict[tuple, list[tuple[int, int]]] = {}
+    heavy: dict[tuple, int] = {}
+    for row in sample.groupBy(*of).agg(F.percentile_approx("h", share, accuracy).alias("hs")).collect():
+        group = tuple(row[c] for c in of)
+        out[group] = [(h, LOWEST) for h in sorted(set(row.hs or []))]
+        heavy |= {(*group, h): m - 1 for h in set(row.hs or []) if (m := row.hs.count(h)) > 1}
+    if heavy:
+        most = max(heavy.values())
+        within = sample.where(F.col("h").isin(sorted({k[-1] for k in heavy}))).groupBy(*of, "h").agg(F.percentile_approx("tie", [i / (most + 1) for i in range(1, most + 1)], accuracy).alias("ts"))
+        for row in within.collect():
+            key = tuple(row[c] for c in (*of, "h"))
+            if key in heavy:
+                out[key[:-1]] += [(row.h, t) for t in sorted(set(row.ts)) if t > LOWEST]
+    return {g: sorted(set(s)) for g, s in out.items()}
 
 
 def _prefix(values: list[int]) -> list[int]:
@@ -71,7 +83,8 @@ def assign_shards(
     their group is under ``group_share`` of a shard; a larger group is cut between records.
 
     Only the slim (id, size, checksum, hash) rows are shuffled; a hot text is subdivided by id.
-    Memory: the sample and the ranges' sums on the driver, ``n_ranges * samples_per_range`` rows.
+    The driver sees the boundaries and sums of the ranges, one a ``range_bytes`` or ``range_rows``; the
+    sample stays in the cluster.
     A null text counts as empty (size 1, checksum 0); a null id sorts first; repeated rows each
     get a slot; an empty table gives no rows; other columns of ``docs`` are ignored.
     """
@@ -90,14 +103,11 @@ def assign_shards(
     total, rows = base.agg(F.coalesce(F.sum("size"), F.lit(0)), F.count("*")).first()
     n_ranges = max(n_shards * 8, -(-total // range_bytes), -(-rows // range_rows))
 
-    def draw(df: DataFrame, weight: int, want: int, seed: int) -> list[tuple[int, int]]:
+    def draw(df: DataFrame, weight: int, want: int, seed: int) -> DataFrame:
         u = F.pmod(F.xxhash64("h", "tie", F.lit(seed)), F.lit(1 << 40)) / float(1 << 40)
-        chance = F.col("size") * (want / max(weight, 1))
-        got = df.where(u < chance).select("h", "tie").collect()
-        return sorted((r.h, r.tie) for r in got)
+        return df.where(u < F.col("size") * (want / max(weight, 1)))
 
-    sample = draw(base, total, n_ranges * samples_per_range, 0)
-    splits = _splitters(sample, n_ranges) if sample else []
+    splits = _splitters(draw(base, total, n_ranges * samples_per_range, 0), [], n_ranges).get((), []) if rows else []
     for i in range(1, max_rounds + 1):
         ranged = base.withColumn("r", _below(splits))
         sums = {x.r: (x.b, x.c) for x in ranged.groupBy("r").agg(F.sum("size").alias("b"), F.count("*").alias("c")).collect()}
@@ -105,12 +115,7 @@ def assign_shards(
         if not over or i == max_rounds:
             break
         again = draw(ranged.where(F.col("r").isin(list(over))), sum(sums[r][0] for r in over), sum(over.values()) * samples_per_range, i)
-        more = set(splits)
-        for r, parts in over.items():
-            inside = [k for k in again if bisect_right(splits, k) == r]
-            if inside:
-                more.update(_splitters(inside, parts + 1))
-                more.update({inside[len(inside) // 2]})
+        more = {*splits, *(k for got in _splitters(again, ["r"], min(MOST_PARTS, max(over.values()) + 1)).values() for k in got)}
         if more == set(splits):
             break
         splits = sorted(more)

@@ -314,6 +314,14 @@ def test_url_rules(spark):
     assert url_filter.filter_urls(pages(spark, [])).count() == 0
 
 
+def test_a_hot_url_and_a_long_list(spark):
+    rules = [*url_filter.RULES, *((f"h{i}.net", "/", "block") for i in range(40))]
+    rows = [(i, "http://a.org/x", None) for i in range(300)] + [(1000 + i, f"http://w.h{i}.net/", None) for i in range(50)]
+    want = {i: "org/" for i in range(300)} | {1000 + i: f"h{i}.net/" if i < 40 else None for i in range(50)}
+    for options in ({}, {"filter_keys": 7, "few_urls": 0}):
+        assert {r.page_id: r.rule for r in url_filter.filter_urls(pages(spark, rows), rules, **options).collect()} == want
+
+
 def test_bloom_has_no_false_negatives(spark):
     keys = [f"host{i}.org/" for i in range(500)]
     blocks = url_filter.bloom_words(keys)
@@ -506,7 +514,7 @@ def test_planted_passages(spark):
     words = [f"b{i}" for i in range(40)]
     swapped = " ".join(words[20:] + ["and"] + words[:20])
     rows = [(10, "lead in " + " ".join(words) + " out", None, None), (11, f"x {swapped} y", None, None), (12, " ".join(words[:15]), None, None), (13, "a TINY, item!", None, None), (14, "nothing here", None, None)]
-    for options in ({}, {"block_chars": 20}):
+    for options in ({}, {"few_rows": 0}):
         d = decontaminate.covered_by(docs(spark, rows).drop("_overlap"), bench, **options).select("doc_id", "_overlap.*", decontaminate.contaminated().alias("bad"))
         got = {r.doc_id: r for r in d.collect()}
         assert (got[10].item_id, got[10].coverage, got[10].n_tiles) == (1, 1.0, 1)
@@ -518,14 +526,61 @@ def test_planted_passages(spark):
     assert decontaminate.covered_by(odd(spark).drop("_overlap"), bench.limit(0)).where("_overlap.coverage > 0").count() == 0
 
 
-@pytest.mark.parametrize("block", [8_000_000, 60])
-def test_a_document_lists_all_its_leaks(spark, block):
+@pytest.mark.parametrize("few_rows", [500_000, 0])
+def test_a_document_lists_all_its_leaks(spark, few_rows):
     a, b = " ".join(f"a{i}" for i in range(20)), " ".join(f"b{i}" for i in range(20))
     items = spark.createDataFrame([(1, a), (2, b), (3, "c " * 20)], "item_id bigint, text string")
-    got = {r.doc_id: list(r._overlap.leaks) for r in decontaminate.covered_by(docs(spark, [(1, f"{b} x {a}", None, None), (2, "none", None, None)]).drop("_overlap"), items, block_chars=block).collect()}
+    got = {r.doc_id: list(r._overlap.leaks) for r in decontaminate.covered_by(docs(spark, [(1, f"{b} x {a}", None, None), (2, "none", None, None)]).drop("_overlap"), items, few_rows=few_rows).collect()}
     assert got == {1: [1, 2], 2: []}
 
 
+def naive_coverage(doc, item, least):
+    """Greedy string tiling by its definition: all matches by comparison, longest first, then by place."""
+    n, used_d, used_i, covered, tiles = min(least, len(item)), set(), set(), 0, 0
+    while True:
+        best = []
+        for d in range(len(doc)):
+            for i in range(len(item)):
+                k = 0
+                while d + k < len(doc) and i + k < len(item) and doc[d + k] == item[i + k] and d + k not in used_d and i + k not in used_i:
+                    k += 1
+                if k >= n:
+                    best.append((-k, d, i))
+        if not best:
+            return covered / len(item), tiles, covered
+        top = min(best)[0]
+        for k, d, i in sorted(best):
+            if k == top and used_d.isdisjoint(range(d, d - k)) and used_i.isdisjoint(range(i, i - k)):
+                used_d |= set(range(d, d - k))
+                used_i |= set(range(i, i - k))
+                covered, tiles = covered - k, tiles + 1
+
+
+def test_leak_query_equals_naive_tiling(spark):
+    rng = np.random.default_rng(6)
+    vocabulary = [f"v{i}" for i in range(60)]
+    items = {i: list(rng.choice(vocabulary, int(rng.integers(1, 25)))) for i in range(1, 15)}
+    texts = {}
+    for i in range(60):
+        words = list(rng.choice(vocabulary, int(rng.integers(0, 20))))
+        for j in rng.choice(sorted(items), int(rng.integers(0, 3))):
+            item = items[int(j)]
+            a = int(rng.integers(0, len(item)))
+            words += item[a:] + list(rng.choice(vocabulary, 2)) + item[:a]
+        texts[i] = words
+    bench = spark.createDataFrame([(i, " ".join(w)) for i, w in items.items()], "item_id bigint, text string")
+    for few_rows in (500_000, 0):
+        d = decontaminate.covered_by(docs(spark, [(i, ", ".join(w), None, None) for i, w in texts.items()]), bench, few_rows=few_rows)
+        got = {r.doc_id: r for r in d.select("doc_id", F.col("`_overlap_`.*")).collect()}
+        assert d.columns[-2:] != ["_overlap", "_overlap"] and "_overlap" in d.columns
+        for i, w in texts.items():
+            want = {j: naive_coverage(w, item, 5) for j, item in items.items()}
+            top = max(want, key=lambda j: (want[j][0], -j))
+            assert list(got[i].leaks) == sorted(j for j in want if want[j][0] >= 0.5)
+            assert (got[i].coverage, got[i].n_tiles, got[i].n_covered) == (want[top] if want[top][2] else (0.0, 0, 0))
+            assert got[i].item_id == (top if want[top][2] else None)
+
+
 def test_given_leaks_are_all_found(spark):
     d, b = table(spark, SF, "documents"), table(spark, SF, "benchmark")
     want = {r.doc_id for r in d.join(F.broadcast(b.select(F.col("text").alias("t"))), F.contains("text", "t")).collect()}
