@@ -67,8 +67,8 @@ def filter_urls(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, def
 
     A url's keys are its host's suffixes at the dots times its path's prefixes of the lengths that
     rules have. The filter passes the keys that may be listed; only these are joined exactly, which
-    removes the false positives, and the longest rule by characters wins. That work is done once
-    per distinct (host, path). Urls without a possible hit are never shuffled; the others get the
+    removes the false positives, and the longest rule by characters wins. One scan of the pages
+    writes host, path and possible keys; the join is done once per distinct (host, path). Urls without a possible hit are never shuffled; the others get the
     verdict of their (host, path) by a broadcast while those with a rule are at most ``few_urls``,
     beyond by a join in which every url is dealt over ``SALTS`` salts, so no task sees all rows of a
     hot one. Rules are the list given by the caller; a list over ``filter_keys`` takes several filters.
@@ -89,8 +89,10 @@ def filter_urls(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, def
     may = lambda k: reduce(Column.__or__, [bloom_test(k, blocks) for blocks in filters], F.lit(False))
     urls = pages.select(F.col(id_col).alias("page_id"), host.alias("host"), path.alias("path"))
     urls = urls.withColumn("probes", F.when(F.col("host") == "", F.array().cast("array<string>")).otherwise(F.filter(every, may)))
+    ws = Workspace(spark, "urls")
+    urls = ws.write(urls, "urls")
     listed = spark.createDataFrame([(f"{h}{p}", v, len(h) + len(p)) for h, p, v in rules], "key string, verdict string, len int")
-    hits = Workspace(spark, "urls").write(
+    hits = ws.write(
         urls.where("size(probes) > 0").groupBy("host", "path").agg(F.first("probes").alias("probes"))
         .select("host", "path", F.explode("probes").alias("key"))
         .join(listed, "key")
