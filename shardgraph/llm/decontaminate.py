@@ -15,8 +15,8 @@ from shardgraph.llm.common import WORD_BYTES, Workspace, free_name, slices, tidy
 
 MULT = 0x9E3779B97F4A7C15
 INVERSE = pow(MULT, -1, 1 << 64)
-#: Filter bits a seed, and bits at most: 32 MB to every executor, whatever the benchmark's size.
-SEED_BITS, MOST_BITS = 16, 1 << 28
+#: Filter bits a seed, least and most bits: 32 MB to every executor at most, whatever the benchmark's size.
+SEED_BITS, LEAST_BITS, MOST_BITS = 64, 1 << 22, 1 << 28
 #: Rows up to which seeds, items and results are broadcast, 50 MB or less; beyond, the joins shuffle.
 FEW_ROWS = 500_000
 #: Between the stretches of a document that hold seeds; no word hashes to it but by a chance of 2^-64.
@@ -152,6 +152,11 @@ def _items_kernel(seed: int):
     return run
 
 
+def _bit(bits: np.ndarray, h: np.ndarray) -> np.ndarray:
+    at = h.view(np.uint64) & np.uint64(len(bits) * 64 - 1)
+    return ((bits[at >> np.uint64(6)] >> (at & np.uint64(63))) & np.uint64(1)).astype(bool)
+
+
 def _candidates_kernel(shared):
     """Texts with a window that the filter knows: their key, those windows' hashes and the words under them."""
 
@@ -163,8 +168,8 @@ def _candidates_kernel(shared):
                 inside, found = np.zeros(len(ids), bool), []
                 for n in lengths:
                     h = seed_hashes(ids, n)
-                    at = h.view(np.uint64) % np.uint64(len(bits) * 64)
-                    starts = np.flatnonzero((bits[at >> np.uint64(6)] >> (at & np.uint64(63))) & np.uint64(1))
+                    starts = np.flatnonzero(_bit(bits, h))
+                    starts = starts[_bit(bits, h[starts] >> 32)]
                     if len(starts):
                         found.append(h[starts])
                         inside |= stretches(ids, starts, n)
@@ -189,11 +194,11 @@ def _tile_kernel(seed: int):
 
 
 def _seed_filter(seeds: DataFrame) -> np.ndarray:
-    """Bitmap of seed hashes in 64-bit words; what reaches the driver is one number a word that has bits."""
+    """Bitmap of seed hashes in 64-bit words, two bits a seed; what reaches the driver is one number a word that has bits."""
     n = max(1, seeds.count())
-    bits = min(MOST_BITS, 1 << max(10, (SEED_BITS * n - 1).bit_length()))
-    at = F.col("h").bitwiseAND(bits - 1)  # bits is a power of two, so this is the unsigned remainder
-    words = seeds.select(F.shiftright(at, 6).alias("word"), F.call_function("shiftleft", F.lit(1).cast("bigint"), at.bitwiseAND(63).cast("int")).alias("bit"))
+    bits = min(MOST_BITS, max(LEAST_BITS, 1 << (SEED_BITS * n - 1).bit_length()))
+    at = F.col("p").bitwiseAND(bits - 1)  # bits is a power of two, so this is the unsigned remainder
+    words = seeds.select(F.explode(F.array("h", F.shiftright("h", 32))).alias("p")).select(F.shiftright(at, 6).alias("word"), F.call_function("shiftleft", F.lit(1).cast("bigint"), at.bitwiseAND(63).cast("int")).alias("bit"))
     got = words.groupBy("word").agg(F.bit_or("bit").alias("bits")).toArrow()
     out = np.zeros(bits // 64, np.uint64)
     out[got.column("word").to_numpy()] = got.column("bits").to_numpy().view(np.uint64)
@@ -242,7 +247,8 @@ def covered_by(docs: DataFrame, benchmark: DataFrame, seed: int = 5, text_col: s
     n_words = items.agg(F.coalesce(F.sum(F.size("words")), F.lit(0))).first()[0]
     whole = items.select("item", "item_id", F.col("words").alias("item_words"))
     tried = pairs.join(texts.select("k1", "k2", "words"), ["k1", "k2"]).join(F.broadcast(whole) if n_words <= 10 * few_rows else whole, "item")
-    tiled = tried.select("k1", "k2", "item_id", "words", "item_words").mapInArrow(tidy(_tile_kernel(seed)), "k1 bigint, k2 bigint, item_id bigint, coverage double, n_tiles int, n_covered bigint")
+    tasks = 2 * spark.sparkContext.defaultParallelism  # few bytes, much work: not to be coalesced by size
+    tiled = tried.select("k1", "k2", "item_id", "words", "item_words").repartition(tasks).mapInArrow(tidy(_tile_kernel(seed)), "k1 bigint, k2 bigint, item_id bigint, coverage double, n_tiles int, n_covered bigint")
     best = F.max_by(F.struct("item_id", "coverage", "n_tiles", "n_covered"), F.struct("coverage", -F.col("item_id")))
     leaks = F.sort_array(F.collect_set(F.when(F.col("coverage") >= threshold, F.col("item_id"))))
     found = ws.write(tiled.where("n_covered > 0").groupBy(F.col("k1").alias(k1), F.col("k2").alias(k2)).agg(best.alias("_b"), leaks.alias("_l")), "found")
