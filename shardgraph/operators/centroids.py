@@ -136,26 +136,42 @@ def fit_centroids_tree(vectors: DataFrame, k_coarse: int, k_fine: int, sample_ro
     return coarse, np.array([r.centroid for r in rows]), np.array([r.cell for r in rows])
 
 
+def _nearest(d: np.ndarray, ids: np.ndarray | None, m: int) -> tuple[np.ndarray, np.ndarray]:
+    """Ids and distances of the m smallest entries of each row, ties to the lower id; the rest of a row is never sorted."""
+    ids = np.broadcast_to(np.arange(d.shape[1]), d.shape) if ids is None else ids
+    if m < d.shape[1]:
+        at = np.argpartition(d, m - 1, axis=1)[:, :m]
+        d, ids = np.take_along_axis(d, at, axis=1), np.take_along_axis(ids, at, axis=1)
+    order = np.lexsort((ids, d), axis=1)
+    return np.take_along_axis(ids, order, axis=1), np.take_along_axis(d, order, axis=1)
+
+
 def preferences(vectors: DataFrame, centroids: np.ndarray, top_m: int | None = None, metric: str = "l2", col: str = "q", keep: tuple[str, ...] = (), tree: tuple[np.ndarray, np.ndarray, int] | None = None) -> DataFrame:
     """Rows (vec_id, keep..., prefs): shards by rising distance (squared for ``l2``), ties to the lower shard.
 
     One pass, no shuffle: the centroids are broadcast and a batch is one matrix product. ``tree`` =
-    (coarse, cell of each fine centroid, probes) restricts the product to the nearest coarse cells.
+    (coarse, cell of each fine centroid, probes) compares a vector with the nearest coarse cells'
+    centroids alone; no matrix of all shards is made then.
     """
     k = len(centroids)
     m = min(top_m or k, k)
-    shared = vectors.sparkSession.sparkContext.broadcast((centroids, tree))
-    rows_at_once = max(1, MATRIX_CELLS // max(k, 1))
-
-    def distances(x: np.ndarray, c: np.ndarray, t) -> np.ndarray:
-        if t is not None:
-            coarse, cell, probes = t
-            near = np.argsort(sq_distances(x, coarse), axis=1, kind="stable")[:, :probes]
-            d = np.full((len(x), len(c)), np.inf)
-            for one in np.unique(near).tolist():  # each probed cell against the rows that probe it
-                rows, cols = np.flatnonzero((near == one).any(axis=1)), np.flatnonzero(cell == one)
-                d[np.ix_(rows, cols)] = sq_distances(x[rows], c[cols])
-            return d
+    cells = None if tree is None else [np.flatnonzero(tree[1] == c) for c in range(len(tree[0]))]
+    probes = 0 if tree is None else min(tree[2], len(tree[0]))
+    wide = k if cells is None else probes * max((len(c) for c in cells), default=0)
+    shared = vectors.sparkSession.sparkContext.broadcast((centroids, None if tree is None else tree[0], cells))
+    rows_at_once = max(1, MATRIX_CELLS // max(wide, 1))
+
+    def probed(x: np.ndarray, c: np.ndarray, coarse: np.ndarray, cells: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        near, _ = _nearest(sq_distances(x, coarse), None, probes)
+        d, ids = np.full((len(x), wide), np.inf), np.zeros((len(x), wide), np.int64)
+        width = wide // max(probes, 1)
+        for one in np.unique(near).tolist():  # each probed cell against the rows that probe it
+            rows, turn = np.nonzero(near == one)
+            at = turn[:, None] * width + np.arange(len(cells[one]))[None, :]
+            d[rows[:, None], at], ids[rows[:, None], at] = sq_distances(x[rows], c[cells[one]]), cells[one][None, :]
+        return _nearest(d, ids, min(m, wide))
+
+    def distances(x: np.ndarray, c: np.ndarray) -> np.ndarray:
         if metric == "l2":
             return sq_distances(x, c)
         if metric == "ip":
@@ -164,13 +180,12 @@ def preferences(vectors: DataFrame, centroids: np.ndarray, top_m: int | None = N
         return 1.0 - y @ z.T
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c, t = shared.value
+        c, coarse, cells = shared.value
         for whole in batches:
             for a in range(0, whole.num_rows, rows_at_once):
                 b = whole.slice(a, rows_at_once)
-                d = distances(matrix(b.column("_x")), c, t)
-                order = np.argsort(d, axis=1, kind="stable")[:, :m]
-                dist = np.take_along_axis(d, order, axis=1)
+                x = matrix(b.column("_x"))
+                order, dist = probed(x, c, coarse, cells) if cells is not None else _nearest(distances(x, c), None, m)
                 fine = np.isfinite(dist)
                 prefs = pa.StructArray.from_arrays([pa.array(dist[fine]), pa.array(order[fine].astype(np.int32))], names=["dist", "shard_id"])
                 yield pa.RecordBatch.from_arrays([b.column("vec_id"), *(b.column(c_) for c_ in keep), lists(prefs, fine.sum(axis=1))], names=["vec_id", *keep, "prefs"])

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from fractions import Fraction
 from typing import NamedTuple
@@ -97,28 +97,40 @@ def admit_closest(proposals: DataFrame, room: np.ndarray, bins: int = 16) -> Dat
     return whole.unionByName(cut).drop("bin", "m", "upto", "left")
 
 
-def _counts(df: DataFrame, k: int, extra: Column | None = None) -> tuple[np.ndarray, np.ndarray]:
-    n, far = np.zeros(k, np.int64), np.full(k, np.nan)
+def _counts(df: DataFrame, k: int) -> tuple[np.ndarray, np.ndarray, int]:
+    """Rows and farthest distance by shard, and the rows without a shard."""
+    n, far, none = np.zeros(k, np.int64), np.full(k, np.nan), 0
     for r in df.groupBy("shard_id").agg(F.count("*").alias("n"), F.max("dist").alias("far")).collect():
-        n[r.shard_id], far[r.shard_id] = r.n, r.far
-    return n, far
+        if r.shard_id is None:
+            none = r.n
+        else:
+            n[r.shard_id], far[r.shard_id] = r.n, r.far
+    return n, far, none
 
 
-def assign_homes(block: DataFrame, room: np.ndarray, ws: Workspace, tag: str) -> tuple[DataFrame, np.ndarray, np.ndarray]:
+def assign_homes(block: DataFrame, room: np.ndarray, ws: Workspace, tag: str, size: int | None = None, first: tuple[np.ndarray, np.ndarray] | None = None, full: Callable[[DataFrame], DataFrame] | None = None) -> tuple[DataFrame, np.ndarray, np.ndarray]:
     """Nearest shard with room for every vector of ``block(vec_id, prefs)``; (homes, counts, farthest).
 
     Everyone proposes to the first preference with room; a shard that would overflow admits the
-    closest, and only the rejected go on. Without overflow it is one aggregate of k rows.
+    closest, and only the rejected go on. Without overflow it is one aggregate of k rows, or no job
+    at all if the caller knows the counts of the ``first`` preferences. Vectors whose cut lists
+    hold no open shard get whole ones from ``full``.
     """
     room, k = room.copy(), len(room)
-    if room.sum() < block.count():
+    if room.sum() < (block.count() if size is None else size):
         raise ValueError("the shards have less room than there are vectors")
     total, far, done, pending = np.zeros(k, np.int64), np.full(k, np.nan), [], block
-    for r in range(k + 1):
+    for r in range(2 * k + 2):
         is_open = numbers((room > 0).astype(int), "int")
         pick = F.get(F.filter("prefs", lambda p: F.get(is_open, p["shard_id"]) == 1), F.lit(0))
         proposed = pending.withColumn("p", pick).select("vec_id", "prefs", F.col("p.shard_id").alias("shard_id"), F.col("p.dist").alias("dist"))
-        n, d = _counts(proposed, k)
+        n, d, none = (*first, 0) if first is not None and r == 0 and (room > 0).all() else _counts(proposed, k)
+        if none:
+            if full is None:
+                raise ValueError("the preference lists hold no shard with room")
+            short = proposed.where("shard_id is null").select("vec_id")
+            pending = ws.write(proposed.where("shard_id is not null").select("vec_id", "prefs").unionByName(full(short)), f"{tag}-full{r}")
+            continue
         over = np.flatnonzero(n > room)
         if not len(over):
             done.append(proposed)
@@ -128,7 +140,7 @@ def assign_homes(block: DataFrame, room: np.ndarray, ws: Workspace, tag: str) ->
         done.append(proposed.where(~tight))
         decided = ws.write(admit_closest(proposed.where(tight), room), f"{tag}-round{r}")
         done.append(decided.where("ok").drop("ok").select("vec_id", "prefs", "shard_id", "dist"))
-        n2, d2 = _counts(decided.where("ok"), k)
+        n2, d2, _ = _counts(decided.where("ok"), k)
         fits = n <= room
         n, d = np.where(fits, n, n2), np.where(fits, d, d2)
         total, far, room = total + n, np.fmax(far, d), room - n
@@ -140,7 +152,7 @@ def assign_homes(block: DataFrame, room: np.ndarray, ws: Workspace, tag: str) ->
 
 
 def assign_replicas(homes: DataFrame, state: ClusterState, cfg: PartitionConfig, boost: float, ws: Workspace, tag: str) -> DataFrame:
-    """Replica rows (vec_id, shard_id, dist, rank) of a block's ``homes(vec_id, prefs, shard_id, dist)``.
+    """Replica rows (vec_id, shard_id, dist) of a block's ``homes(vec_id, prefs, shard_id, dist)``.
 
     Pruning comes before any ranking: alternatives that fail the tests never leave their row.
     Every vector has ``max_homes - 1`` tickets and spends them on its nearest open alternatives; a
@@ -164,19 +176,19 @@ def assign_replicas(homes: DataFrame, state: ClusterState, cfg: PartitionConfig,
     out: DataFrame | None = None
     for r in range(k + 1):
         quota = state.quota_left
-        if not quota.any():
+        if cfg.max_homes < 2 or not quota.any():
             break
         is_open = numbers((quota > 0).astype(int), "int")
-        todo = ws.write(todo.withColumn("alts", F.filter("alts", lambda p: F.get(is_open, p["shard_id"]) == 1)).where("size(alts) > 0"), f"{tag}-todo{r}")
+        todo = todo.withColumn("alts", F.filter("alts", lambda p: F.get(is_open, p["shard_id"]) == 1)).where("size(alts) > 0")
         asks = todo.select("vec_id", F.posexplode(F.slice("alts", F.lit(1), F.col("tickets"))).alias("i", "p")).select("vec_id", "p.shard_id", "p.dist")
-        n, _ = _counts(asks, k)
+        n, _, _ = _counts(asks, k)
         if not n.any():
             break
         over = np.flatnonzero(n > quota)
         if len(over):
             tight = F.col("shard_id").isin([int(s) for s in over])
             decided = ws.write(asks.where(~tight).withColumn("ok", F.lit(True)).unionByName(admit_closest(asks.where(tight), quota)), f"{tag}-asks{r}")
-            n, _ = _counts(decided.where("ok"), k)
+            n, _, _ = _counts(decided.where("ok"), k)
             won = decided.where("ok").select("vec_id", "shard_id", "dist")
         else:
             won = asks
@@ -186,6 +198,7 @@ def assign_replicas(homes: DataFrame, state: ClusterState, cfg: PartitionConfig,
             break
         told = decided.groupBy("vec_id").agg(F.sum(F.col("ok").cast("int")).alias("got"), F.count("*").alias("tried"))
         todo = todo.join(told, "vec_id").select("vec_id", F.slice("alts", F.col("tried").cast("int") + 1, F.size("alts")).alias("alts"), (F.col("tickets") - F.col("got")).cast("int").alias("tickets")).where("tickets > 0")
+        todo = ws.write(todo, f"{tag}-todo{r}")
     if out is None:
         return homes.select("vec_id", "shard_id", "dist").where("false")
     return out
@@ -222,37 +235,63 @@ class Partitioned(NamedTuple):
 
 def sample_state(sample_prefs: DataFrame, capacity: np.ndarray) -> ClusterState:
     """Start of the state: shares and radii of the sample's nearest centroids."""
-    k = len(capacity)
-    n, far = _counts(sample_prefs.select(F.get("prefs", F.lit(0)).alias("p")).select("p.shard_id", "p.dist"), k)
+    n, far, _ = _counts(sample_prefs.select(F.get("prefs", F.lit(0)).alias("p")).select("p.shard_id", "p.dist"), len(capacity))
     return ClusterState(capacity, n / max(n.sum(), 1), far, float(max(n.sum(), 1)))
 
 
-def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan, cfg: PartitionConfig, col: str = "q", sample_rows: int = 20_000, top_m: int | None = None, start: ClusterState | None = None) -> Partitioned:
+#: Entries of a preference list that ``partition_vectors`` keeps; whole lists are made only for vectors that find all of them full.
+KEPT_PREFS = 16
+
+
+def listed_by_block(vectors: DataFrame, centroids: np.ndarray, cfg: PartitionConfig, ws: Workspace, col: str = "q", top_m: int | None = KEPT_PREFS) -> DataFrame:
+    """Preference lists (vec_id, block_id, prefs) in one scan of the vectors, written by block."""
+    top_m = None if top_m is None else max(top_m, 4 * cfg.max_homes)
+    return ws.write(preferences(with_blocks(vectors, cfg.blocks, cfg.order), centroids, top_m, col=col, keep=("block_id",)), "prefs", by="block_id")
+
+
+def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan, cfg: PartitionConfig, col: str = "q", sample_rows: int = 20_000, top_m: int | None = KEPT_PREFS, start: ClusterState | None = None, prefs: DataFrame | None = None) -> Partitioned:
     """One pass over the vectors, block by block.
 
-    Preference lists are computed in one scan and written by block; from there on only slim rows
-    move. Per block: homes, then counts, radii and quotas, then replicas under the new quotas. The
-    assignment is (vec_id, shard_id, is_home, dist, rank, n_homes, block_id), dist squared.
+    Preference lists, cut to ``top_m`` entries, are computed in one scan and written by block, or
+    handed over in ``prefs`` as ``listed_by_block`` writes them; from there on only slim rows move.
+    One aggregate gives every block's first proposals, so a block whose shards have room needs no
+    job for its homes. Per block: homes, then counts, radii and quotas, then replicas under the new
+    quotas, looked for among the listed shards. The assignment is (vec_id, shard_id, is_home, dist,
+    rank, n_homes, block_id), dist squared.
     """
     spark = vectors.sparkSession
     ws = Workspace(spark, "partition")
     k = plan.k
     if len(centroids) != k:
         raise ValueError("one centroid per shard is needed")
-    n = vectors.count()
+    if prefs is None:
+        prefs = listed_by_block(vectors, centroids, cfg, ws, col, top_m)
+    n = prefs.count()
     if k * plan.capacity < n:
         raise ValueError("the shards have less room than there are vectors")
-    prefs = preferences(with_blocks(vectors, cfg.blocks, cfg.order), centroids, top_m, col=col, keep=("block_id",))
-    prefs = ws.write(prefs, "prefs", by="block_id")
-    # the seed of radii and shares: the caller's, or a bounded sample's
-    some = prefs.where(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 20)) < int((1 << 20) * min(1.0, sample_rows / max(n, 1))))
-    state = start or sample_state(some, np.full(k, plan.capacity, np.int64))
-    sizes = {r.block_id: r["count"] for r in prefs.groupBy("block_id").count().collect()}
+    # the seed of radii and shares is the caller's, or that of a bounded sample
+    sampled = F.pmod(F.xxhash64("vec_id"), F.lit(1 << 20)) < int((1 << 20) * min(1.0, sample_rows / max(n, 1)))
+    near = prefs.select("block_id", sampled.alias("sampled"), F.get("prefs", F.lit(0)).alias("p")).select("block_id", "sampled", "p.shard_id", "p.dist")
+    stats = near.groupBy("block_id", "shard_id").agg(F.count("*").alias("n"), F.max("dist").alias("far"), F.count_if("sampled").alias("m"), F.max(F.when(F.col("sampled"), F.col("dist"))).alias("seed")).collect()
+    if start is None:
+        counts, far = np.zeros(k), np.full(k, np.nan)
+        for r in stats:
+            counts[r.shard_id] += r.m
+            far[r.shard_id] = np.fmax(far[r.shard_id], np.nan if r.seed is None else r.seed)
+        start = ClusterState(np.full(k, plan.capacity, np.int64), counts / max(counts.sum(), 1), far, float(max(counts.sum(), 1)))
+    state, sizes, firsts = start, {}, {}
+    for r in stats:
+        sizes[r.block_id] = sizes.get(r.block_id, 0) + r.n
+        of = firsts.setdefault(r.block_id, (np.zeros(k, np.int64), np.full(k, np.nan)))
+        of[0][r.shard_id], of[1][r.shard_id] = r.n, r.far
+
+    def full(ids: DataFrame) -> DataFrame:
+        return preferences(vectors.join(ids, "vec_id", "left_semi"), centroids, None, col=col)
+
     log, parts, left = [], [], n
     for b in sorted(sizes):
         block = prefs.where(F.col("block_id") == b).drop("block_id")
-        homes, counts, far = assign_homes(block, state.room, ws, f"homes{b}")
-        homes = ws.write(homes, f"homes{b}")
+        homes, counts, far = assign_homes(block, state.room, ws, f"homes{b}", sizes[b], firsts[b], full)
         state.update(counts, far)
         left -= sizes[b]
         state.n_left = left
@@ -260,18 +299,13 @@ def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan
             state.refresh_quota(left, cfg.quota, cfg.lo, cfg.hi, cfg.margin, cfg.fixed_share)
         boost = radius_boost(b + 1, cfg.blocks, cfg.boost, cfg.b0, cfg.p)
         log += state.rows(b, boost)
-        more = ws.write(assign_replicas(homes, state, cfg, boost, ws, f"repl{b}"), f"repl{b}")
-        rows = homes.select("vec_id", "shard_id", F.lit(True).alias("is_home"), "dist").unionByName(more.select("vec_id", "shard_id", F.lit(False).alias("is_home"), "dist"))
-        per = more.groupBy("vec_id").agg(F.count("*").alias("m"))
-        w = Window.partitionBy("vec_id").orderBy(F.col("is_home").desc(), "dist", "shard_id")
-        single = homes.select("vec_id", "shard_id", "dist").join(per, "vec_id", "left_anti")
-        multi = rows.join(per.select("vec_id"), "vec_id", "left_semi")
-        parts.append(
-            multi.withColumn("rank", F.row_number().over(w)).withColumn("n_homes", F.count("*").over(Window.partitionBy("vec_id")).cast("int"))
-            .unionByName(single.withColumn("is_home", F.lit(True)).withColumn("rank", F.lit(1)).withColumn("n_homes", F.lit(1)))
-            .withColumn("block_id", F.lit(b))
-        )
-        parts[-1] = ws.write(parts[-1], f"assigned{b}")
+        more = assign_replicas(homes, state, cfg, boost, ws, f"repl{b}")
+        w = Window.partitionBy("vec_id")
+        more = more.withColumn("rank", F.row_number().over(w.orderBy("dist", "shard_id")) + 1).withColumn("n_homes", (F.count("*").over(w) + 1).cast("int"))
+        more = ws.write(more, f"replicas{b}")
+        per = more.where("rank = 2").select("vec_id", "n_homes")
+        own = homes.select("vec_id", "shard_id", "dist").join(per, "vec_id", "left").select("vec_id", "shard_id", F.lit(True).alias("is_home"), "dist", F.lit(1).alias("rank"), F.coalesce("n_homes", F.lit(1)).alias("n_homes"))
+        parts.append(own.unionByName(more.withColumn("is_home", F.lit(False))).withColumn("block_id", F.lit(b)))
     out = parts[0] if parts else spark.createDataFrame([], "vec_id bigint, shard_id int, is_home boolean, dist double, rank int, n_homes int, block_id int")
     for x in parts[1:]:
         out = out.unionByName(x)

@@ -19,6 +19,8 @@ QUERY_BYTES = 256 << 20
 RESULT = "query_id bigint, vec_id bigint, dist double"
 LOGGED = "query_id bigint, vec_id bigint, dist double, hops bigint, dist_count bigint, reads bigint, seconds double"
 
+COUNTERS = ("hops", "dist_count", "reads", "seconds")
+
 
 class Queries(NamedTuple):
     ids: np.ndarray
@@ -188,13 +190,13 @@ def search_split(graphs: DataFrame, vectors: DataFrame, queries: DataFrame, k: i
                 m = np.isin(q.ids, list(routes.value.get(s, ())))
                 q = Queries(q.ids[m], q.x[m])
             if len(q.ids):
-                yield _search_rows(ids, x, _positions(ids, part.column("nbrs")), np.array([medoid(x)]), q, beam, width, k)
+                rows = _search_rows(ids, x, _positions(ids, part.column("nbrs")), np.array([medoid(x)]), q, beam, width, k)
+                yield rows.append_column("shard_id", pa.array(np.full(rows.num_rows, s, np.int32)))
 
-    local = nodes.repartitionById(shards, "shard_id").mapInArrow(run, LOGGED + "")
-    # a shard's counters stand on each of its rows: one row per (query, shard) has rank 1 locally
-    first = F.row_number().over(Window.partitionBy("query_id", "hops", "dist_count", "reads", "seconds").orderBy("dist", "vec_id")) == 1
-    local = local.withColumn("lead", first)
-    sums = local.where("lead").groupBy("query_id").agg(*[F.sum(c).alias(c) for c in ("hops", "dist_count", "reads", "seconds")])
+    local = nodes.repartitionById(shards, "shard_id").mapInArrow(run, LOGGED + ", shard_id int")
+    # a shard's counters stand on each of its rows
+    once = local.groupBy("query_id", "shard_id").agg(*[F.first(c).alias(c) for c in COUNTERS])
+    sums = once.groupBy("query_id").agg(*[F.sum(c).alias(c) for c in COUNTERS])
     pooled = local.groupBy("query_id", "vec_id").agg(F.min("dist").alias("dist"))
     return _top(pooled, k).join(sums, "query_id")
 

@@ -13,7 +13,7 @@ from shardgraph.operators import metrics
 from shardgraph.operators.build import build_shards
 from shardgraph.operators.centroids import fit_centroids, preferences
 from shardgraph.operators.merge import merge_graphs
-from shardgraph.operators.partition import PartitionConfig, ShardPlan, assign_uniform, contiguous_split, partition_vectors, unsplit
+from shardgraph.operators.partition import PartitionConfig, ShardPlan, assign_uniform, contiguous_split, listed_by_block, partition_vectors, unsplit
 from shardgraph.operators.search import search_resident, search_split
 from shardgraph.workspace import Workspace
 
@@ -76,10 +76,10 @@ def run(method: str, vectors: DataFrame, cfg: RunConfig = RunConfig()) -> IndexH
             assignment = ws.write(unsplit(vectors) if k == 1 else contiguous_split(vectors, k), "assignment")
         else:
             centroids = fit_centroids(vectors, k, cfg.sample_rows, cfg.iters)
-            prefs = ws.write(preferences(vectors, centroids), "prefs")
             capacity = max(1, int(np.ceil(n * cfg.slack / k)))
             base = cfg.partition or PartitionConfig(eps=cfg.eps, max_homes=cfg.max_homes, blocks=cfg.blocks)
             if method == "uniform_merge":
+                prefs = ws.write(preferences(vectors, centroids, None if cfg.strict_uniform else cfg.max_homes), "prefs")
                 if cfg.strict_uniform:
                     rows = assign_uniform(prefs, [capacity] * k, cfg.max_homes)
                 else:
@@ -96,7 +96,8 @@ def run(method: str, vectors: DataFrame, cfg: RunConfig = RunConfig()) -> IndexH
                     base = replace(base, max_homes=1)
                 elif method == "static_quota":
                     base = replace(base, quota="density", refresh=False)
-                assignment = partition_vectors(vectors, centroids, ShardPlan(k, capacity), base).assignment
+                prefs = listed_by_block(vectors, centroids, base, ws)
+                assignment = partition_vectors(vectors, centroids, ShardPlan(k, capacity), base, prefs=prefs).assignment
             assignment = ws.write(assignment, "assignment")
     builder = {"uniform_merge": "robust", "uniform_selective": "robust", "split_hier": "knn_hier", "unsplit_robust": "robust"}.get(method, "knn_detour")
     degree = cfg.hier_degree or cfg.degree if builder == "knn_hier" else cfg.degree

@@ -153,3 +153,92 @@ def test_preferences_metrics(spark):
     for metric in ("cosine", "ip"):
         first = {r.vec_id: r.prefs[0].shard_id for r in preferences(v, c, metric=metric).collect()}
         assert first == {0: 0, 1: 1}
+
+
+def blockwise_by_hand(x, c, cap, cfg):
+    """The blockwise pass in plain loops: homes by rounds of closest proposals, then quotas, then replicas by rounds."""
+    n, k = len(x), len(c)
+    d = ((x[:, None, :] - c[None]) ** 2).sum(axis=2)
+    prefs = [sorted(range(k), key=lambda s, i=i: (d[i, s], s)) for i in range(n)]
+    num, den = cfg.eps.numerator**2, cfg.eps.denominator**2
+    near = [p[0] for p in prefs]
+    share = np.bincount(near, minlength=k) / n
+    radius2 = [max((d[i, s] for i in range(n) if near[i] == s), default=None) for s in range(k)]
+    cuts = [sorted(range(n))[max(0, int(np.ceil(n * b / cfg.blocks)) - 1)] for b in range(1, cfg.blocks)]
+    block = [sum(e < i for e in cuts) for i in range(n)]
+    orig, repl, out = [0] * k, [0] * k, {}
+
+    def settle(asks, room):
+        """Rounds: everyone asks for the first of their wishes with room, each shard takes the closest."""
+        wishes, got = {i: list(w) for i, (w, _) in asks.items()}, []
+        tickets = {i: t for i, (_, t) in asks.items()}
+        while True:
+            asked = {i: [s for s in w if room[s] > 0] for i, w in wishes.items()}
+            asked = {i: w[: tickets[i]] for i, w in asked.items() if w and tickets[i]}
+            if not asked:
+                return got
+            full = [s for s in range(k) if sum(s in w for w in asked.values()) > room[s]]
+            taken = {s: sorted((i for i, w in asked.items() if s in w), key=lambda i, s=s: (d[i, s], i))[: room[s]] for s in range(k)}
+            open_before = list(room)
+            for s, rows in taken.items():
+                room[s] -= len(rows)
+                got += [(i, s) for i in rows]
+                for i in rows:
+                    tickets[i] -= 1
+            for i, w in asked.items():
+                rest = [s for s in wishes[i] if open_before[s] > 0]
+                wishes[i] = rest[len(w) :]
+            if not full:
+                return got
+
+    for b in range(cfg.blocks):
+        mine = [i for i in range(n) if block[i] == b]
+        room, home, todo = [cap - orig[s] - repl[s] for s in range(k)], {}, mine
+        while todo:
+            ask = {i: next(s for s in prefs[i] if room[s] > 0) for i in todo}
+            for s in {*ask.values()}:
+                for i in sorted((i for i in todo if ask[i] == s), key=lambda i: (d[i, s], i))[: room[s]]:
+                    home[i] = s
+            placed_now = [i for i in todo if i in home]
+            for i in placed_now:
+                room[home[i]] -= 1
+            todo = [i for i in todo if i not in home]
+        for i, s in home.items():
+            orig[s] += 1
+            radius2[s] = d[i, s] if radius2[s] is None else max(radius2[s], d[i, s])
+        left = sum(block[i] > b for i in range(n))
+        seen = sum(orig)
+        expected = [(orig[s] + n * share[s]) / (seen + n) * left for s in range(k)]
+        allowed = [min(max(1 - (orig[s] + cfg.margin * expected[s]) / cap, cfg.lo), cfg.hi) for s in range(k)]
+        free = [cap - orig[s] - repl[s] for s in range(k)]
+        quota = [max(0, min(int(np.floor(allowed[s] * cap + 1e-9)) - repl[s], free[s])) for s in range(k)]
+        spare = max(0, sum(free) - left)
+        if sum(quota) > spare:
+            quota = [q * spare // sum(quota) for q in quota]
+        boost = radius_boost(b + 1, cfg.blocks, cfg.boost, cfg.b0, cfg.p)
+        wanted = {}
+        for i in mine:
+            alts = [s for s in prefs[i] if s != home[i] and d[i, s] * den < num * d[i, home[i]] and (radius2[s] is None or d[i, s] * den < num * boost**2 * radius2[s])]
+            wanted[i] = (alts, cfg.max_homes - 1)
+        for i, s in settle(wanted, quota):
+            repl[s] += 1
+            out.setdefault(i, set()).add((s, False))
+        for i, s in home.items():
+            out.setdefault(i, set()).add((s, True))
+    return out, sum(repl)
+
+
+@pytest.mark.parametrize("seed,slack,blocks,top_m", [(0, 1.3, 1, None), (1, 1.5, 3, None), (2, 2.5, 2, None), (3, 1.15, 2, 1)])
+def test_blockwise_pass_equals_plain_loops(spark, seed, slack, blocks, top_m):
+    rng = np.random.default_rng(seed)
+    x, k = rng.integers(-60, 60, (150, 3)), 5
+    c = rng.integers(-50, 50, (k, 3)).astype(float)
+    cap = int(np.ceil(len(x) * slack / k))
+    cfg = PartitionConfig(eps=Fraction(3, 2), max_homes=2, blocks=blocks)
+    p = partition_vectors(frame(spark, x), c, ShardPlan(k, cap), cfg, sample_rows=1 << 40, top_m=top_m)
+    got = {}
+    for r in p.assignment.collect():
+        got.setdefault(r.vec_id, set()).add((r.shard_id, r.is_home))
+    want, replicas = blockwise_by_hand(x.astype(float), c, cap, cfg)
+    assert replicas > 0
+    assert got == want

@@ -203,7 +203,7 @@ def test_output_modes(spark, event_files, tmp_path):
 
 
 def test_vectors_are_read_once(spark):
-    """The partitioner evaluates its input once for all blocks, besides the count."""
+    """The partitioner evaluates its input once for all blocks, besides the ids for the block cuts."""
     reads = spark.sparkContext.accumulator(0)
 
     def watch(batches):
@@ -215,5 +215,5 @@ def test_vectors_are_read_once(spark):
     watched = v.mapInArrow(watch, v.schema)
     n0 = watched.select("vec_id", "q")
     partition_vectors(n0, np.array([[0.0, 0, 0], [9, 9, 9]]), ShardPlan(2, 300), PartitionConfig(blocks=4)).assignment.count()
-    # one pass each: the count, the block cuts, the preference lists; none per block
-    assert reads.value <= 3 * 200
+    # one pass each: the block cuts, the preference lists; none per block
+    assert reads.value <= 2 * 200
