@@ -66,6 +66,31 @@ def build_shards(assignment: DataFrame, vectors: DataFrame, builder: str, degree
     return place(assignment, vectors, k, col).mapInArrow(run, schema)
 
 
+def build_in_waves(assignment: DataFrame, vectors: DataFrame, builder: str, degree: int, working: int, k: int, path: str, wave: int = 64, col: str = "q", **options) -> DataFrame:
+    """``build_shards`` that goes on where an interrupted run stopped.
+
+    A job builds ``wave`` shards and commits them to ``path``, one folder a shard; a run that finds
+    shards there builds only the others. What an interruption costs is the wave in work. Shards
+    count as done once their folder is committed, so the assignment must not change between runs.
+    """
+    spark = assignment.sparkSession
+    folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+    there = folder.getFileSystem(spark._jsc.hadoopConfiguration())
+    schema = GRAPH.replace("shard_id int, ", "") + ", shard_id int"
+
+    def committed() -> DataFrame:
+        return spark.read.schema(schema).parquet(path)
+
+    todo = pending(assignment, committed()) if there.exists(folder) else assignment
+    shards = sorted(r.shard_id for r in todo.select("shard_id").distinct().collect())
+    for i in range(0, len(shards), wave):
+        some = todo.where(F.col("shard_id").isin(shards[i : i + wave]))
+        build_shards(some, vectors, builder, degree, working, k, col, **options).write.mode("append").partitionBy("shard_id").parquet(path)
+    if not shards and not there.exists(folder):
+        return spark.createDataFrame([], GRAPH)
+    return committed().select("shard_id", "vec_id", "nbrs")
+
+
 def pending(assignment: DataFrame, committed: DataFrame) -> DataFrame:
     """Rows of shards without a committed graph: what a resumed build still has to do."""
     return assignment.join(committed.select("shard_id").distinct(), "shard_id", "left_anti")

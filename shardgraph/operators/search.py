@@ -7,7 +7,7 @@ from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from shardgraph.operators.arrays import matrix, sq_distances
@@ -207,7 +207,7 @@ def search_routed(graphs: DataFrame, vectors: DataFrame, queries: DataFrame, pre
     return search_split(graphs, vectors, queries, k, beam, shards, col=col, probes=picked)
 
 
-def frontier_hop(graph: DataFrame, vectors: DataFrame, queries: DataFrame, beam_rows: DataFrame, visited: DataFrame, beam: int, width: int = 1, col: str = "q") -> DataFrame:
+def frontier_hop(graph: DataFrame, vectors: DataFrame, queries: DataFrame, beam_rows: DataFrame, visited: DataFrame, beam: int, width: int = 1, col: str = "q", pushed: int = 0) -> DataFrame:
     """One hop of all queries as a plan: (query_id, vec_id, dist, expanded, fresh) of the next beam.
 
     Expands the ``width`` nearest unexpanded nodes per query, joins their edges by id, drops what
@@ -217,10 +217,10 @@ def frontier_hop(graph: DataFrame, vectors: DataFrame, queries: DataFrame, beam_
 
     w = Window.partitionBy("query_id").orderBy("dist", "vec_id")
     now = beam_rows.where("not expanded").withColumn("r", F.row_number().over(w)).where(F.col("r") <= width).select("query_id", "vec_id")
-    new = now.join(graph.select("vec_id", "nbrs"), "vec_id").select("query_id", F.explode("nbrs.id").alias("vec_id")).distinct()
+    new = now.join(_only(graph.select("vec_id", "nbrs"), now, pushed), "vec_id").select("query_id", F.explode("nbrs.id").alias("vec_id")).distinct()
     new = new.join(visited, ["query_id", "vec_id"], "left_anti")
     kind = "double" if "float" in vectors.schema[col].dataType.simpleString() or "double" in vectors.schema[col].dataType.simpleString() else "bigint"
-    far = new.join(vectors.select("vec_id", F.col(col).alias("x")), "vec_id").join(queries.select("query_id", F.col(col).alias("y")), "query_id")
+    far = new.join(_only(vectors.select("vec_id", F.col(col).alias("x")), new, pushed), "vec_id").join(queries.select("query_id", F.col(col).alias("y")), "query_id")
     far = far.select("query_id", "vec_id", l2sq(F.col("x"), F.col("y"), kind).cast("double").alias("dist"), F.lit(False).alias("expanded"), F.lit(True).alias("fresh"))
     old = beam_rows.join(now.withColumn("just", F.lit(True)), ["query_id", "vec_id"], "left")
     old = old.select("query_id", "vec_id", "dist", (F.col("expanded") | F.col("just").isNotNull()).alias("expanded"), F.lit(False).alias("fresh"))
@@ -228,7 +228,7 @@ def frontier_hop(graph: DataFrame, vectors: DataFrame, queries: DataFrame, beam_
     return ranked.withColumn("kept", F.col("r") <= beam).drop("r")
 
 
-def search_frontier(graph: DataFrame, vectors: DataFrame, queries: DataFrame, k: int, beam: int, entry_ids: list[int], width: int = 4, max_hops: int = 500, col: str = "q") -> DataFrame:
+def search_frontier(graph: DataFrame, vectors: DataFrame, queries: DataFrame, k: int, beam: int, entry_ids: list[int], width: int = 4, max_hops: int = 500, col: str = "q", pushed: int = 0) -> DataFrame:
     """Merged-graph search for large offline batches: a hop is a distributed plan, its result a written table.
 
     Rows (query_id, rank, vec_id, dist, hops, dist_count, reads). ``reads`` counts node records
@@ -249,7 +249,7 @@ def search_frontier(graph: DataFrame, vectors: DataFrame, queries: DataFrame, k:
         todo = beam_rows.where("not expanded").groupBy("query_id").agg(F.least(F.count("*"), F.lit(width)).alias("r"))
         if todo.isEmpty():
             break
-        nxt = ws.write(frontier_hop(graph, vectors, queries, beam_rows, visited, beam, width, col), f"hop{h}")
+        nxt = ws.write(frontier_hop(graph, vectors, queries, beam_rows, visited, beam, width, col, pushed), f"hop{h}")
         grown = nxt.groupBy("query_id").agg(F.sum(F.col("fresh").cast("bigint")).alias("d"))
         log = ws.write(
             log.join(todo, "query_id", "left").join(grown, "query_id", "left").select(
@@ -262,6 +262,31 @@ def search_frontier(graph: DataFrame, vectors: DataFrame, queries: DataFrame, k:
     return _top(beam_rows.select("query_id", "vec_id", "dist"), k).join(log, "query_id")
 
 
+def entry_nodes(vectors: DataFrame, centroids: np.ndarray, col: str = "q") -> list[int]:
+    """Ids nearest to the centroids, one scan; ties to the lower id."""
+    queries = vectors.sparkSession.createDataFrame([(i, [float(v) for v in c]) for i, c in enumerate(centroids)], f"query_id bigint, {col} array<double>")
+    return sorted({r.vec_id for r in search_exact(vectors, queries, 1, col).collect()})
+
+
+#: Record ids that a hop pushes to the scan of node files as a list; more of them are joined.
+PUSHED_IDS = 10_000
+
+
+def search_nodes(spark: SparkSession, path: str, queries: DataFrame, k: int, beam: int, entry_ids: list[int], width: int = 4, max_hops: int = 500, col: str = "q") -> DataFrame:
+    """``search_frontier`` over the node files that ``write_nodes`` left: no table of graph or vectors is kept elsewhere.
+
+    The files are ranged and sorted by id, so the ids that a hop asks for prune files and row groups.
+    """
+    nodes = spark.read.parquet(path)
+    return search_frontier(nodes.select("vec_id", "nbrs"), nodes.select("vec_id", F.col("embedding").alias(col)), queries, k, beam, entry_ids, width, max_hops, col, pushed=PUSHED_IDS)
+
+
+def _only(rows: DataFrame, ids: DataFrame, pushed: int) -> DataFrame:
+    """``rows`` of the ids, as a pushed-down list while that is short."""
+    got = [r.vec_id for r in ids.select("vec_id").distinct().limit(pushed + 1).collect()] if pushed else []
+    return rows.where(F.col("vec_id").isin(got)) if pushed and len(got) <= pushed else rows
+
+
 def entry_node(vectors: DataFrame, col: str = "q") -> int:
     """Id nearest to the mean: two aggregates, nothing collected but the mean."""
     from shardgraph.functions.vectors import l2sq

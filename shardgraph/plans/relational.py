@@ -66,7 +66,7 @@ both("join_full", "select a.s_nationkey as a, b.c_nationkey as b, coalesce(a.n,
 both("join_semi", "select c_custkey from customer where exists (select 1 from orders where o_custkey = c_custkey and o_orderstatus = 'P')", "select c_custkey from customer left semi join (select o_custkey from orders where o_orderstatus = 'P') on o_custkey = c_custkey")
 both("join_anti", "select c_custkey from customer where not exists (select 1 from orders where o_custkey = c_custkey)", "select c_custkey from customer left anti join orders on o_custkey = c_custkey")
 both("join_cross", "select n_name, r_name from nation cross join region")
-both("join_theta", "select a.p_partkey as task, b.s_suppkey as instance from part a join supplier b on a.p_size < b.s_suppkey * 7 % 50 where a.p_partkey <= 200")
+both("join_theta", "select a.p_partkey as task, count(*)::bigint as n_instances, min(b.s_suppkey) as first_instance from part a join supplier b on a.p_size < b.s_suppkey * 7 % 50 group by a.p_partkey")
 both("join_nested_loop", "select a.s_suppkey as a, b.s_suppkey as b from supplier a join supplier b on a.s_acctbal < b.s_acctbal and a.s_nationkey <> b.s_nationkey")
 both("join_self", "select a.s_suppkey as a, b.s_suppkey as b from supplier a join supplier b on a.s_nationkey = b.s_nationkey and a.s_suppkey < b.s_suppkey")
 both("join_lateral_topk", "select c_custkey, o_orderkey, cents from customer, lateral (select o_orderkey, floor(o_totalprice * 100 + 0.5)::bigint as cents from orders where o_custkey = c_custkey order by o_totalprice desc, o_orderkey limit 3) t")

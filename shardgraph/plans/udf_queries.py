@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from shardgraph.functions import vectors as v
 from shardgraph.functions.udf import ExpandNeighbors, Preference, centroid, register, vec_dist, vec_dist_arrow
-from shardgraph.plans.methods import BASE, EPS, labelled
+from shardgraph.plans.methods import BASE, EPS, NEED, G, _graphs, labelled
 from shardgraph.registry import CORE
 from shardgraph.sources import tables
 
@@ -65,13 +65,11 @@ def q_udtf_preference(spark, sf_dir):
     return spark.sql("select vec_id, p.shard_id, p.d2, p.rank from _pref_in, lateral preference(q, cs) p where p.rank <= 3")
 
 
-@CORE.query("udtf_expand_neighbors", "select p_partkey as vec_id, p_partkey + i as nbr, (p_size * i)::bigint as d2 from part cross join range(1, 4) t(i) where p_partkey <= 100")
+@CORE.query("udtf_expand_neighbors", f"{BASE}, {NEED}, {G} select vec_id, nbr, d2 from g")
 def q_udtf_expand(spark, sf_dir):
-    from shardgraph.registry import read
-
+    """Edges of all shard graphs, one row each."""
     spark.udtf.register("expand_neighbors", ExpandNeighbors)
-    edge = lambda i: F.struct((F.col("p_partkey") + i).alias("id"), (F.col("p_size") * i).cast("double").alias("d"))
-    read(spark, sf_dir, "part").where("p_partkey <= 100").select(F.col("p_partkey").alias("vec_id"), F.array(edge(1), edge(2), edge(3)).alias("nbrs")).createOrReplaceTempView("_edges_in")
+    _graphs(spark, sf_dir)[2].createOrReplaceTempView("_edges_in")
     return spark.sql("select e.vec_id, e.nbr, e.d2 from _edges_in, lateral expand_neighbors(_edges_in.vec_id, nbrs) e")
 
 

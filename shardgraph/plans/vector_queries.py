@@ -36,11 +36,15 @@ scalar("vec_l1", "list_sum(list_transform(range(1, 65), lambda i: abs(q[i] - c[i
 scalar("vec_linf", "list_max(list_transform(range(1, 65), lambda i: abs(q[i] - c[i])))", v.linf)
 scalar("vec_norm", "floor(sqrt(list_inner_product(q::double[], q::double[])) * 1000 + 0.5)::bigint", lambda a, b: rounded(v.norm(a), 1000))
 scalar("vec_normalize", "list_transform(q, lambda x: floor(x / sqrt(list_inner_product(q::double[], q::double[])) * 10000 + 0.5)::int)", lambda a, b: F.transform(v.normalize(a), lambda x: F.floor(x * 10000 + 0.5).cast("int")))
-scalar("vec_quantize", "q", lambda a, b: a)
 scalar("vec_dequantize", "list_transform(q, lambda x: floor(x / 1000.0::double * 1000 + 0.5)::int)", lambda a, b: F.transform(v.dequantize(a), lambda x: F.floor(x * 1000 + 0.5).cast("int")))
 scalar("vec_add_scale", "list_transform(range(1, 65), lambda i: q[i] + c[i] * 3)", lambda a, b: v.add_scaled(a, b, 3))
 
 
+@CORE.query("vec_quantize", "select vec_id, list_transform(embedding, lambda x: floor(x::double * 1000 + 0.5)::int) as x from embeddings")
+def q_quantize(spark, sf_dir):
+    return read(spark, sf_dir, "embeddings").select("vec_id", v.quantize(F.col("embedding")).alias("x"))
+
+
 @CORE.query("vec_quantize_u8", "select vec_id, list_transform(embedding, lambda x: greatest(0, least(255, floor((x::double + 1) * 127.5 + 0.5)))::smallint) as x from embeddings")
 def q_quantize_u8(spark, sf_dir):
     return read(spark, sf_dir, "embeddings").select("vec_id", v.quantize_u8(F.col("embedding")).alias("x"))

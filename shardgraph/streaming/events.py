@@ -52,7 +52,11 @@ def notice_then_end(stream: DataFrame, how: str = "inner", late: str = "10 minut
 
 
 class InstanceState(StatefulProcessor):
-    """Latest state of an instance and its number of events; a timer marks it silent after ``quiet_ms``."""
+    """Latest state of an instance and its number of events.
+
+    An event-time timer runs from the last event; once the watermark is ``quiet_ms`` past it without
+    a new one, the instance is reported as silent. Every event takes the older timer away.
+    """
 
     def __init__(self, quiet_ms: int = 7 * 24 * 3600 * 1000):
         self.quiet_ms = quiet_ms
@@ -61,18 +65,22 @@ class InstanceState(StatefulProcessor):
         self.handle = handle
         self.value = handle.getValueState("latest", "event_id long, state string, n long")
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:  # noqa: N802
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
         latest = self.value.get() if self.value.exists() else (-1, "", 0)
-        event_id, state, n = latest[0], latest[1], latest[2]
+        event_id, state, n, last = latest[0], latest[1], latest[2], timerValues.getCurrentWatermarkInMs()
         for part in rows:
             n += len(part)
+            last = max(last, int(part["ms"].max()))
             at = part["event_id"].idxmax()
             if part.at[at, "event_id"] > event_id:
                 event_id, state = int(part.at[at, "event_id"]), str(part.at[at, "event_type"])
         self.value.update((event_id, state, n))
+        for old in list(self.handle.listTimers()):
+            self.handle.deleteTimer(old)
+        self.handle.registerTimer(last + self.quiet_ms)
         yield pd.DataFrame({"user_id": [key[0]], "state": [state], "n": [n]})
 
-    def handleExpiredTimer(self, key, timer_values, expired_timer_info) -> Iterator[pd.DataFrame]:  # noqa: N802
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
         event_id, state, n = self.value.get()
         yield pd.DataFrame({"user_id": [key[0]], "state": ["silent"], "n": [n]})
 
@@ -80,10 +88,11 @@ class InstanceState(StatefulProcessor):
         pass
 
 
-def instance_state(stream: DataFrame) -> DataFrame:
-    """Active, available and ended instances as keyed state, updated per micro-batch."""
-    return stream.select("user_id", "event_id", "event_type").groupBy("user_id").transformWithStateInPandas(
-        InstanceState(), outputStructType="user_id bigint, state string, n bigint", outputMode="Update", timeMode="None"
+def instance_state(stream: DataFrame, quiet_ms: int = 7 * 24 * 3600 * 1000, late: str = "1 hour") -> DataFrame:
+    """Active, available and ended instances as keyed state, updated per micro-batch; silent ones by timer."""
+    rows = stream.withWatermark("ts", late).select("user_id", "event_id", "event_type", "ts", F.unix_millis("ts").alias("ms"))
+    return rows.groupBy("user_id").transformWithStateInPandas(
+        InstanceState(quiet_ms), outputStructType="user_id bigint, state string, n bigint", outputMode="Update", timeMode="EventTime"
     )
 
 

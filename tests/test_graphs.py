@@ -164,3 +164,42 @@ def test_split_query_searches_every_query(spark, monkeypatch):
     monkeypatch.setattr(methods.search, "search_split", lambda g, base, queries, *a: asked.append(queries.count()) or methods.search.search_exact(base, queries, 10))
     methods.q_search_split_exact(spark, "/root/testdata/sf0.001")
     assert asked == [methods.held_out(spark, "/root/testdata/sf0.001")[1].count()]
+
+
+def test_split_search_sums_equal_shards(spark):
+    """Two shards of equal shape have equal counters; each counts."""
+    from shardgraph.operators.build import build_shards
+    from shardgraph.operators.search import search_split
+
+    x = [(i, [i % 10, 7 * (i % 10) % 11]) for i in range(20)]
+    v = spark.createDataFrame(x, "vec_id bigint, q array<int>")
+    a = v.select("vec_id", (F.col("vec_id") / 10).cast("int").alias("shard_id"))
+    q = spark.createDataFrame([(0, [3, 3])], "query_id bigint, q array<int>")
+    g = build_shards(a, v, "knn_exact", 4, 8, 2)
+    one = search_split(g.where("shard_id = 0"), v, q, 5, 10, 2).first()
+    both = search_split(g, v, q, 5, 10, 2).first()
+    assert (both.hops, both.dist_count, both.reads) == (2 * one.hops, 2 * one.dist_count, 2 * one.reads)
+
+
+def test_an_interrupted_build_goes_on(spark, tmp_path):
+    from shardgraph.operators.build import build_in_waves, build_shards
+
+    rng = np.random.default_rng(0)
+    v = spark.createDataFrame([(i, [int(z) for z in rng.integers(0, 50, 3)]) for i in range(120)], "vec_id bigint, q array<int>")
+    a = v.select("vec_id", (F.col("vec_id") % 4).cast("int").alias("shard_id"))
+    path = str(tmp_path / "graphs")
+    build_in_waves(a.where("shard_id < 3"), v, "knn_exact", 5, 8, 4, path, wave=2)
+    before = {p: p.stat().st_mtime_ns for p in (tmp_path / "graphs").rglob("*.parquet")}
+    got = build_in_waves(a, v, "knn_exact", 5, 8, 4, path, wave=2)
+    want = build_shards(a, v, "knn_exact", 5, 8, 4)
+    assert sorted(map(str, got.collect())) == sorted(map(str, want.collect()))
+    assert all(p.stat().st_mtime_ns == t for p, t in before.items()) and len(before) >= 3
+
+
+def test_faults_show_in_graph_checks(spark):
+    from shardgraph.plans.methods import _misses_nearest
+
+    first = spark.createDataFrame([(i, i + 1) for i in range(10)], "vec_id bigint, first bigint")
+    good = first.select("vec_id", F.array("first").alias("ids"))
+    assert _misses_nearest(good, first, ["vec_id"], 0.9).first()[0] == 0
+    assert _misses_nearest(good.withColumn("ids", F.array().cast("array<bigint>")), first, ["vec_id"], 0.9).first()[0] == 10

@@ -113,6 +113,13 @@ def test_dedup_static_join_and_state(spark, event_files, tmp_path):
     assert last == want
 
 
+def test_a_silent_instance_is_reported(spark, event_files, tmp_path):
+    events.run_available(events.instance_state(stream(spark, event_files), quiet_ms=3600_000), "quiet", str(tmp_path / "q"), "update")
+    rows = spark.table("quiet").collect()
+    silent = {r.user_id for r in rows if r.state == "silent"}
+    assert silent and silent <= {r.user_id for r in rows if r.state != "silent"}
+
+
 def test_stream_join(spark, event_files, tmp_path):
     events.run_available(events.notice_then_end(stream(spark, event_files)), "sj", str(tmp_path / "a"))
     from shardgraph.catalog import CORE
