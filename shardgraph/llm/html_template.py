@@ -18,7 +18,9 @@ from shardgraph.llm.url_filter import host_and_path
 #: Elements whose content is never text of a page.
 RAW = ("script", "style", "noscript", "template", "textarea", "iframe", "svg", "math", "object", "canvas", "audio", "video", "title")
 #: Elements that hold other parts than the article.
-ASIDE = {"nav", "header", "footer", "aside", "form", "menu", "dialog", "button", "select", "fieldset", "head", "figure"}
+ASIDE = {"nav", "header", "footer", "aside", "form", "menu", "dialog", "fieldset", "head", "figure"}
+#: Elements inside a line whose text is a control's, not the line's.
+CONTROLS = {"button", "select"}
 #: Words of class, id and role that mark other parts than the article.
 ASIDE_WORDS = set(
     "ad ads advert adverts advertisement advertising banner sponsor sponsored promo promotion cookie cookies consent gdpr notice notification alert nav navbar navigation menu breadcrumb "
@@ -27,10 +29,19 @@ ASIDE_WORDS = set(
 )
 #: Words that make a class name a state of the page or a list of finds, not a part.
 STATE_WORDS = set("has have no not non with without is are open opened closed enabled disabled allowed active on off result results".split())
+#: Words that say which piece of such a part a class names ('footer-links', 'comment-list'); with any other word ('share-price') the name tells nothing.
+PIECE_WORDS = set(
+    "site page main box bar block list item items container wrapper wrap section area panel slot unit left right top bottom inner outer center middle global primary secondary link links post posts article "
+    "articles stories news icon icons button buttons form count thread title body content entry text row col column module region zone holder group set fixed sticky first last mobile desktop".split()
+)
+#: Class names that say the element is the article's.
+CONTENT_NAMES = set("content article post entry main story text article-body post-content entry-content article-content main-content story-body".split())
+#: Share of link text from which a block, and a path over a host, is a menu.
+MENU_BLOCK, MENU_PATH = 0.8, 0.5
 #: Elements that hold the article.
 LANDMARKS = {"article", "main"}
 #: Elements that stand inside a line of text.
-INLINE = set("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr input".split())
+INLINE = set("a abbr acronym b bdi bdo big br button cite code data del dfn em font i img ins kbd label mark q s samp select small span strike strong sub sup time tt u var wbr input".split())
 #: Elements without an end tag.
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
 #: Elements that close an open one of their kind.
@@ -50,12 +61,12 @@ class Element:
 
 
 class Block:
-    """One block of text with the elements around it."""
+    """One block of text with the elements around it; ``linked`` of its characters, before white space is folded, are links."""
 
-    __slots__ = ("around", "path", "key", "text")
+    __slots__ = ("around", "path", "key", "text", "linked")
 
-    def __init__(self, around: tuple[Element, ...], text: str):
-        self.around, self.text = around, text
+    def __init__(self, around: tuple[Element, ...], text: str, linked: int):
+        self.around, self.text, self.linked = around, text, min(linked, len(text))
         self.path = tuple(e.name for e in around)
         self.key = "/".join(self.path)
 
@@ -72,42 +83,61 @@ def tokens(page: str | None) -> list[Block | str]:
     names: list[str] = []
     out: list[Block | str] = []
     text: list[str] = []
+    linked, links, muted, mute_at = 0, 0, "", 0  # link characters of the block, open links; the inline element whose text is left out, its depth
+    mutes = 0
 
     def flush() -> None:
+        nonlocal linked
         line = " ".join(entities.unescape("".join(text)).split())
         if line:
-            out.append(Block(tuple(stack), line))
+            out.append(Block(tuple(stack), line, linked))
         text.clear()
+        linked = 0
+
+    def put(s: str) -> None:
+        nonlocal linked
+        if not muted:
+            text.append(s)
+            linked += len(s) if links else 0
 
     at, end = 0, len(page)
     while at < end:
         m = TOKEN.search(page, at)
         if not m:
-            text.append(page[at:])
+            put(page[at:])
             break
-        text.append(page[at : m.start()])
+        put(page[at : m.start()])
         at = m.end()
         name = (m[2] or m[5] or "").lower()
         if not name:
             if m[0].startswith("<![CDATA["):
-                text.append(entities.escape(m[0][9:].removesuffix("]]>")))
+                put(entities.escape(m[0][9:].removesuffix("]]>")))
             continue
         closing, attributes = (m[1] or m[4]) == "/", m[3] or m[6] or ""
         if name in INLINE:
             if name == "br":
-                text.append(" ")
+                put(" ")
+            elif name == "a":
+                links = max(0, links - 1) if closing else 1
+            if muted and name == muted:
+                mutes += -1 if closing else 1
+                muted = muted if mutes else ""
+            elif not muted and not closing and name not in VOID and (name in CONTROLS or (attributes and names_aside(_element("", attributes)[1:]))):
+                muted, mutes, mute_at = name, 1, len(names)
             out.append("/".join(names) + (f"</{name}" if closing else f"<{name}"))
             continue
-        flush()
-        if name in RAW and not closing:
-            if not attributes.rstrip().endswith("/"):
+        if name in RAW:
+            if not closing and not attributes.rstrip().endswith("/"):
                 shut = re.compile(rf"</{re.escape(name)}(?=[\s/>])[^>]*>", re.I).search(page, at)
                 at = shut.end() if shut else (end if name in ("script", "style", "textarea", "title") else at)
             continue
+        flush()
+        links = 0
         if closing:
             if name in names:
                 k = len(names) - 1 - names[::-1].index(name)
                 del names[k:], stack[k:]
+                muted = "" if k < mute_at else muted  # never closed inside its block
                 out.append("/".join(names) + f"</{name}")
             continue
         if name in SELF_CLOSING and names and names[-1] == name:
@@ -124,8 +154,19 @@ def tokens(page: str | None) -> list[Block | str]:
 
 
 def names_aside(hints: str) -> bool:
-    """Does a class, id or role name another part; names of a state ('has-sidebar', 'comments-open') do not."""
-    return any(not ASIDE_WORDS.isdisjoint(words) and STATE_WORDS.isdisjoint(words) for words in (re.split(r"[^a-z]+", h) for h in hints.split()))
+    """Does a class, id or role name another part than the article.
+
+    One of the names must be made of such words and of words for pieces alone. Names of a state
+    ('has-sidebar', 'comments-open') and an element that also bears a name of the article do not.
+    """
+    names = hints.split()
+    if not CONTENT_NAMES.isdisjoint(names):
+        return False
+    for h in names:
+        words = {w for w in re.split(r"[^a-z]+", h) if len(w) > 1}
+        if not ASIDE_WORDS.isdisjoint(words) and words <= ASIDE_WORDS | PIECE_WORDS and STATE_WORDS.isdisjoint(words):
+            return True
+    return False
 
 
 def is_aside(block: Block) -> bool:
@@ -147,18 +188,27 @@ def _mark(s: str) -> int:
     return xxhash.xxh3_64_intdigest(s.encode("utf-8", "surrogatepass")) - (1 << 63)
 
 
+def _path_mark(key: str) -> int:
+    return _mark(f"2{key}")
+
+
 def _token(x: Block | str) -> tuple[int, int]:
     """(kind, hash) of a token: 0 a tag by its path, 1 a whole block of text by its."""
     return (0, _mark(f"0{x}")) if isinstance(x, str) else (1, _mark(f"1{x.key}\t{x.text}"))
 
 
 def occurrences(page_id: int, page: str | None) -> dict[tuple[int, int], tuple[int, int]]:
-    """Token -> (count, this page's part of the occurrence vector's hash)."""
+    """Token -> (count, this page's part of the occurrence vector's hash); of a path, kind 2, its characters and those of links."""
     counts: dict[str | tuple[str, str], int] = {}
-    for t in (x if isinstance(x, str) else (x.key, x.text) for x in tokens(page)):
+    paths: dict[str, tuple[int, int]] = {}
+    for x in tokens(page):
+        t = x if isinstance(x, str) else (x.key, x.text)
         counts[t] = counts.get(t, 0) + 1
+        if not isinstance(x, str):
+            chars, linked = paths.get(x.key, (0, 0))
+            paths[x.key] = chars + len(x.text), linked + x.linked
     marked = ((0, _mark(f"0{t}"), c) if isinstance(t, str) else (1, _mark(f"1{t[0]}\t{t[1]}"), c) for t, c in counts.items())
-    return {(k, t): (c, _mark(f"{page_id}:{c}")) for k, t, c in marked}
+    return {(k, t): (c, _mark(f"{page_id}:{c}")) for k, t, c in marked} | {(2, _path_mark(p)): v for p, v in paths.items()}
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -233,15 +283,23 @@ def main_text(page: str | None, template: set[int] | None = None) -> str:
     """Text left in the slots of the template, whose fixed texts ``template`` has.
 
     A slot goes if the lists name it as another part than the article; every other slot's text
-    stays, and a text that the template fixes goes, unless an article's landmark is around it, as
-    articles may share passages. Without a template (few pages), text outside of the landmark goes
-    if there is text inside.
+    stays. Outside of an article's landmark a text goes that the template fixes, and so do links in
+    slots that hold links for the most part; inside they stay, as articles may share passages and
+    list links. Without a template (few pages), text outside of the landmark goes if there is text
+    inside, and list items and cells that are links go.
     """
     rest = [b for b in tokens(page) if not isinstance(b, str) and not is_aside(b)]
+
+    def menu(b: Block) -> bool:
+        if b.linked < MENU_BLOCK * len(b.text):
+            return False
+        return _path_mark(b.key) in template if template is not None else not {"li", "td", "dd"}.isdisjoint(e.partition(".")[0] for e in b.path)
+
     if template is None:
-        rest = [b for b in rest if in_landmark(b.path)] or rest
+        inside = [b for b in rest if in_landmark(b.path)]
+        rest = inside or [b for b in rest if not menu(b)]
     else:
-        rest = [b for b in rest if in_landmark(b.path) or _token(b)[1] not in template]
+        rest = [b for b in rest if in_landmark(b.path) or not (_token(b)[1] in template or menu(b))]
     return "\n".join(b.text for b in rest)
 
 
@@ -259,7 +317,8 @@ def extract(pages: DataFrame, support: float = 0.5, least_pages: int = 8) -> Dat
     frame's slots is data. A class without a valid frame falls apart into single tokens, which are
     valid alone. The third pass drops what the template fixes and keeps the text of the slots. A
     template is bounded by the tokens of a page over ``support``; templates are joined to pages by
-    host, broadcast while they are few.
+    host, broadcast while they are few. Slots of one path whose text is links for the most part
+    over all pages of the host, and which stand on a tenth of them, are menus.
 
     A null or empty page gives an empty text; hosts with few pages have no template, and only the
     paths of the blocks decide. Null ids and urls pass through; repeated rows count each; other
@@ -272,7 +331,10 @@ def extract(pages: DataFrame, support: float = 0.5, least_pages: int = 8) -> Dat
     seen = src.where("html is not null").select("host", row.alias("row"), "html").mapInArrow(tidy(_count), "host string, token bigint, kind int, n bigint, part bigint")
     sums = seen.groupBy("host", "token").agg(F.max("kind").alias("kind"), F.count("*").alias("pages"), F.sum("n").alias("n"), F.sum(F.col("part").cast("decimal(38,0)")).alias("vector"))
     n_pages = src.where("html is not null").groupBy("host").agg(F.count("*").alias("all"))
-    frequent = ws.write(sums.join(n_pages, "host").where((F.col("pages") >= F.col("all") * support) & (F.col("pages") >= least_pages)), "frequent")
+    counted = sums.join(n_pages, "host")
+    counted = ws.write(counted.where((F.col("pages") >= least_pages) & (F.col("pages") >= F.col("all") * F.when(F.col("kind") == 2, 0.1).otherwise(support))), "counted")
+    menus = counted.where((F.col("kind") == 2) & (F.col("vector") >= F.col("n") * MENU_PATH)).select("host", F.col("token").alias("menu"))
+    frequent = ws.write(counted.where((F.col("kind") < 2) & (F.col("pages") >= F.col("all") * support) & (F.col("pages") >= least_pages)), "frequent")
     member = frequent.select("host", "token", "kind", "pages", F.xxhash64("vector").alias("class"))
 
     def by_host(rows: DataFrame, value, name: str) -> DataFrame:
@@ -291,7 +353,8 @@ def extract(pages: DataFrame, support: float = 0.5, least_pages: int = 8) -> Dat
     nested = frames.join(cross.where("ra < rb").select("host", F.col("a").alias("class")).distinct(), ["host", "class"], "left_anti").select("host", "class", F.lit(True).alias("framed"))
     fixed = fixed.join(nested, ["host", "class"], "left")
     texts_of = F.when((F.col("kind") == 1) & (F.col("still") | F.col("framed").isNull()), F.col("token"))  # hosts with tags alone keep an empty list
-    joined = src.join(by_host(fixed, texts_of, "templates"), "host", "left")
+    fixed = fixed.select("host", texts_of.alias("fixed")).unionByName(menus.select("host", F.col("menu").alias("fixed")))
+    joined = src.join(by_host(fixed, F.col("fixed"), "templates"), "host", "left")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, col="html"):

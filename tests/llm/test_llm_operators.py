@@ -223,6 +223,59 @@ def test_wrappers_and_landmarks_are_no_aside(body):
     assert html_template.main_text(page) == html_template.main_text(page, set()) == "kept"
 
 
+@pytest.mark.parametrize(
+    ("body", "text"),
+    [
+        ("<p>a <script>x</script>b</p>", "a b"),
+        ("<p>a<span class='ad'>buy <span>now</span></span> b</p>", "a b"),
+        ("<p>a <button>press</button> b <span class='ad'>never closed</p><p>c</p>", "a b\nc"),
+        ("<div class='content header-top'><p>main</p></div>", "main"),
+        ("<div class='share-price'>12 up</div><div class='share-buttons'>tell</div><div class='footer-links'>x</div>", "12 up"),
+        ("<div class='comment-list'>reader</div><div class='ad-300x250'>buy</div><p>kept</p>", "kept"),
+        ("<p>see <a href='/x'>this</a> there</p>", "see this there"),
+    ],
+)
+def test_blocks_by_contract(body, text):
+    assert html_template.main_text(f"<html><body>{body}</body></html>") == text
+    assert html_template.main_text(f"<html><body><article>{body}</article></body></html>", set()) == text
+
+
+def test_neutral_pages_by_template_alone(spark):
+    page = (
+        "<html><body><div><div>My site</div><div><a href='/a'>About</a></div></div><div><div><a href='/{n}'>Other {n}</a></div><div><a href='/{m}'>More {m}</a></div></div>"
+        "<div><h2>Title {n}</h2><p>First text {n} with <a href='/z'>a link</a> inside.</p><p>Second text {n}.</p></div><div><p>All pages end here</p></div></body></html>"
+    )
+    rows = [(i, f"http://a.org/{i}", page.format(n=i, m=i * 7 + 1)) for i in range(20)]
+    got = {r.page_id: r.text for r in html_template.extract(pages(spark, rows)).collect()}
+    for i in range(20):
+        assert got[i] == f"Title {i}\nFirst text {i} with a link inside.\nSecond text {i}."
+        assert html_template.main_text(rows[i][2]) != got[i]  # nothing but the template tells
+
+
+def test_classes_equal_a_plain_count(spark):
+    """Frequent tokens of a given host with equal counts on every page are those of one class."""
+    rows = table(spark, SF, "pages").select("page_id", "url", "html").collect()
+    hosts = {}
+    for r in rows:
+        hosts.setdefault(r.url.split("/")[2], []).append(r)
+    most = max(hosts.values(), key=len)
+    vectors, parts = {}, {}
+    for r in most:
+        seen = {}
+        for x in html_template.tokens(r.html):
+            seen[html_template._token(x)] = seen.get(html_template._token(x), 0) + 1
+        for t, c in seen.items():
+            vectors.setdefault(t, {})[r.page_id] = c
+        for t, (_, v) in html_template.occurrences(r.page_id, r.html).items():
+            if t[0] < 2:
+                parts[t] = parts.get(t, 0) + v
+    by_vector, by_sum = {}, {}
+    for t, v in vectors.items():
+        by_vector.setdefault(tuple(sorted(v.items())), set()).add(t)
+        by_sum.setdefault(parts[t], set()).add(t)
+    assert set(map(frozenset, by_vector.values())) == set(map(frozenset, by_sum.values()))
+
+
 def test_frames_take_turns_and_nest():
     classes = {html_template._token(t)[1]: c for t, c in [("<ul", 1), ("</ul", 1), ("ul<li", 2), ("ul</li", 2)]}
     got, crossed = html_template.places("<ul><li>a</li><li>b</li></ul>", classes, {1: 2, 2: 2})
