@@ -42,26 +42,29 @@ def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch,
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     sums: dict[str, np.ndarray] = {}
+    rows: dict[str, int] = {}
     for b, texts in _texts(batches):
         for text, lang in zip(texts, b.column("lang").to_pylist(), strict=True):
             got = sums.setdefault(lang, np.zeros(BUCKETS, np.int64))
+            rows[lang] = rows.get(lang, 0) + 1
             for g in gram_buckets(_codes(text)):
                 got += np.bincount(g, minlength=BUCKETS)
     for lang, c in sums.items():
         at = np.flatnonzero(c)
-        yield pa.RecordBatch.from_pydict({"lang": pa.array([lang] * len(at), pa.string()), "bucket": pa.array(at), "n": pa.array(c[at])})
+        yield pa.RecordBatch.from_pydict({"lang": pa.array([lang] * (len(at) + 1), pa.string()), "bucket": pa.array(np.r_[at, BUCKETS]), "n": pa.array(np.r_[c[at], rows[lang]])})
 
 
 class Model:
-    """Class names and the matrix of log-probabilities, buckets by classes; its size is fixed by both."""
+    """Class names, the matrix of log-probabilities, buckets by classes, and the log-priors; its size is fixed by the first two."""
 
-    def __init__(self, langs: list[str], logp: np.ndarray):
-        self.langs, self.logp = langs, logp
+    def __init__(self, langs: list[str], logp: np.ndarray, prior: np.ndarray):
+        self.langs, self.logp, self.prior = langs, logp, prior
 
     @classmethod
-    def of_counts(cls, langs: list[str], counts: np.ndarray) -> Model:
+    def of_counts(cls, langs: list[str], counts: np.ndarray, rows: np.ndarray) -> Model:
+        """From n-gram counts, half a count added to each, and the classes' numbers of rows."""
         c = counts + 0.5
-        return cls(langs, np.log(c / c.sum(axis=0, keepdims=True)))
+        return cls(langs, np.log(c / c.sum(axis=0, keepdims=True)), np.log(np.maximum(rows, 1) / max(np.sum(rows), 1)))
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
         """Most probable class of each whole text, and its share of the posterior.
@@ -80,7 +83,7 @@ class Model:
             self._add(take, [texts[i] for i in take], total, grams)
         score, pick = np.zeros(len(texts)), np.zeros(len(texts), int)
         if len(self.langs) and has.any():
-            z = total[has] / grams[has, None] * np.minimum(grams[has, None], 200)
+            z = total[has] / grams[has, None] * np.minimum(grams[has, None], 200) + self.prior
             z = np.exp(z - z.max(axis=1, keepdims=True))
             pick[has], score[has] = z.argmax(axis=1), z.max(axis=1) / z.sum(axis=1)
         names = [self.langs[p] if h and self.langs else "und" for h, p in zip(has.tolist(), pick.tolist(), strict=True)]
@@ -121,9 +124,9 @@ def train(docs: DataFrame, max_rows: int = 20_000) -> Model:
         rows = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int((1 << 30) * max_rows / n))
     got = rows.select("lang", "text").mapInArrow(tidy(_count), "lang string, bucket bigint, n bigint").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toPandas()
     langs = sorted(got["lang"].unique())
-    counts = np.zeros((BUCKETS, len(langs)))
+    counts = np.zeros((BUCKETS + 1, len(langs)))  # the last row counts rows
     counts[got["bucket"], [langs.index(x) for x in got["lang"]]] = got["n"]
-    return Model.of_counts(langs, counts)
+    return Model.of_counts(langs, counts[:BUCKETS], counts[BUCKETS])
 
 
 def identify(docs: DataFrame, max_rows: int = 20_000) -> DataFrame:
@@ -137,7 +140,7 @@ def identify(docs: DataFrame, max_rows: int = 20_000) -> DataFrame:
     """
     src = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang"))
     trained = train(src, max_rows)
-    shared = docs.sparkSession.sparkContext.broadcast((trained.langs, trained.logp))  # plain data: executors need no copy of the package
+    shared = docs.sparkSession.sparkContext.broadcast((trained.langs, trained.logp, trained.prior))  # plain data: executors need no copy of the package
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = Model(*shared.value)

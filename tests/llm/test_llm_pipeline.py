@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 sys.path[:0] = [os.path.dirname(os.path.abspath(__file__)), os.path.dirname(os.path.dirname(os.path.abspath(__file__)))]
 from compare import SF  # noqa: E402
-from test_llm_operators import brute_components, odd  # noqa: E402
+from test_llm_operators import brute_components, check_shards, odd  # noqa: E402
 
 import corpus_pipeline  # noqa: E402
 from shardgraph.llm.common import Workspace, table  # noqa: E402
@@ -35,11 +35,11 @@ def test_columns_and_counts(stages):
 
 def test_toxic_documents_go_and_clean_ones_stay(spark, stages):
     kept = stages["toxicity"].select("doc_id", F.lit(True).alias("k"))
-    english = table(spark, SF, "documents").where("lang = 'en'").select("doc_id")
-    j = table(spark, SF, "labels").join(english, "doc_id").join(kept, "doc_id", "left").groupBy("toxic").agg(F.avg(F.col("k").isNotNull().cast("double")).alias("kept"))
+    ids = table(spark, SF, "documents").select("doc_id")
+    j = table(spark, SF, "labels").join(ids, "doc_id").join(kept, "doc_id", "left").groupBy("toxic").agg(F.avg(F.col("k").isNotNull().cast("double")).alias("kept"))
     rates = {r.toxic: r.kept for r in j.collect()}
-    # learned from 36 labelled toxic documents in this language; op9 reaches 0.99 on the larger tables
-    assert rates[1] < 0.15 and rates[0] > 0.99
+    # learned from 51 labelled toxic documents in four languages, nine of them in two; op9 reaches 0.9 and more on the larger tables
+    assert rates[1] < 0.3 and rates[0] > 0.99
 
 
 def test_one_of_each_group_stays(stages):
@@ -54,6 +54,15 @@ def test_leaks_go(spark, stages):
     assert stages["decontamination"].count() >= 0.95 * stages["near_duplicates"].count()
 
 
+def test_run_is_its_stages(spark, stages):
+    got = corpus_pipeline.run(spark, SF)
+    texts = {r.doc_id: r.text for r in stages["mixing"].collect()}
+    check_shards(got.collect(), texts)
+    assert sorted(map(str, got.collect())) == sorted(map(str, stages["sharding"].collect()))
+    words = lambda df: sum((r.text or "").count(" ") + bool(r.text) for r in df.select("text").collect())
+    assert 0.8 * words(stages["decontamination"]) < words(stages["mixing"]) <= corpus_pipeline.BUDGET_SHARE * words(stages["decontamination"])
+
+
 def test_odd_rows_pass(spark):
     d = odd(spark)
     for name, stage in corpus_pipeline.STAGES:
