@@ -239,6 +239,87 @@ def sample_state(sample_prefs: DataFrame, capacity: np.ndarray) -> ClusterState:
     return ClusterState(capacity, n / max(n.sum(), 1), far, float(max(n.sum(), 1)))
 
 
+#: Rows of a block up to which its rounds run on the driver, over lists of ``KEPT_PREFS`` entries: 20 MB at most.
+FEW_ROWS = 50_000
+
+
+class SmallBlock:
+    """The rounds of ``assign_homes`` and ``assign_replicas`` over a block's lists in memory, step by step the same."""
+
+    def __init__(self, block: pa.Table):
+        lists = block.column("prefs").combine_chunks()
+        size = np.diff(lists.offsets.to_numpy())
+        flat = lists.flatten()
+        at = np.arange(size.max(initial=0))[None, :] < size[:, None]
+        self.ids = block.column("vec_id").to_numpy()
+        self.shard, self.dist = np.full(at.shape, -1), np.full(at.shape, np.inf)
+        self.shard[at], self.dist[at] = flat.field("shard_id").to_numpy(), flat.field("dist").to_numpy()
+
+    def _closest(self, rows: np.ndarray, cols: np.ndarray, room: np.ndarray) -> np.ndarray:
+        """Which of the asks (row, col) are admitted: of each shard the closest by (dist, vec_id) as far as its room goes."""
+        s, ok = self.shard[rows, cols], np.ones(len(rows), bool)
+        for one in np.flatnonzero(np.bincount(s, minlength=len(room)) > room):
+            asks = np.flatnonzero(s == one)
+            order = np.lexsort((self.ids[rows[asks]], self.dist[rows[asks], cols[asks]]))
+            ok[asks[order[room[one] :]]] = False
+        return ok
+
+    def homes(self, room: np.ndarray) -> np.ndarray | None:
+        """Column of each vector's home; none if a cut list holds no shard with room."""
+        room, home = room.copy(), np.full(len(self.ids), -1)
+        todo = np.arange(len(self.ids))
+        while len(todo):
+            is_open = np.r_[room > 0, False][self.shard[todo]]  # the last entry stands for padding
+            if not is_open.any(axis=1).all():
+                return None
+            first = is_open.argmax(axis=1)
+            ok = self._closest(todo, first, room)
+            home[todo[ok]] = first[ok]
+            room -= np.bincount(self.shard[todo[ok], first[ok]], minlength=len(room))
+            todo = todo[~ok]
+        return home
+
+    def replicas(self, home: np.ndarray, state: ClusterState, cfg: PartitionConfig, boost: float) -> tuple[np.ndarray, np.ndarray]:
+        """(row, column) of the replicas; ``state.n_repl`` is advanced."""
+        rows = np.arange(len(self.ids))
+        wanted = self.shard >= 0
+        wanted[rows, home] = False
+        if cfg.eps is not None:
+            num, den = float(cfg.eps.numerator**2), float(cfg.eps.denominator**2)
+            wanted &= self.dist * den < self.dist[rows, home][:, None] * num
+            if cfg.radius_test:
+                radius2 = np.r_[state.radius2, np.nan][self.shard]
+                wanted &= np.isnan(radius2) | (self.dist * den < radius2 * (num * float(boost) ** 2))
+        tickets, out = np.full(len(rows), cfg.max_homes - 1), [np.empty((2, 0), np.int64)]
+        while cfg.max_homes > 1 and state.quota_left.any():
+            quota = state.quota_left
+            wanted &= np.r_[quota > 0, False][self.shard]
+            asks = wanted & (np.cumsum(wanted, axis=1) <= tickets[:, None])
+            at = np.stack(np.nonzero(asks))
+            if not at.shape[1]:
+                break
+            ok = self._closest(*at, quota)
+            won = at[:, ok]
+            out.append(won)
+            state.n_repl = state.n_repl + np.bincount(self.shard[won[0], won[1]], minlength=len(quota))
+            tickets = tickets - np.bincount(won[0], minlength=len(rows))
+            wanted &= ~asks
+            if ok.all():
+                break
+        return tuple(np.concatenate(out, axis=1))
+
+    def rows(self, home: np.ndarray, row: np.ndarray, col: np.ndarray, block: int) -> pa.Table:
+        order = np.lexsort((self.shard[row, col], self.dist[row, col], row))
+        row, col = row[order], col[order]
+        n = np.bincount(row, minlength=len(self.ids))
+        rank = np.arange(len(row)) - np.repeat(np.cumsum(n) - n, n) + 2
+        r, c = np.r_[np.arange(len(self.ids)), row], np.r_[home, col]
+        return pa.table({
+            "vec_id": self.ids[r], "shard_id": self.shard[r, c].astype(np.int32), "is_home": np.arange(len(r)) < len(self.ids), "dist": self.dist[r, c],
+            "rank": np.r_[np.ones(len(self.ids), np.int32), rank.astype(np.int32)], "n_homes": (n[r] + 1).astype(np.int32), "block_id": np.full(len(r), block, np.int32),
+        })
+
+
 #: Entries of a preference list that ``partition_vectors`` keeps; whole lists are made only for vectors that find all of them full.
 KEPT_PREFS = 16
 
@@ -249,14 +330,15 @@ def listed_by_block(vectors: DataFrame, centroids: np.ndarray, cfg: PartitionCon
     return ws.write(preferences(with_blocks(vectors, cfg.blocks, cfg.order), centroids, top_m, col=col, keep=("block_id",)), "prefs", by="block_id")
 
 
-def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan, cfg: PartitionConfig, col: str = "q", sample_rows: int = 20_000, top_m: int | None = KEPT_PREFS, start: ClusterState | None = None, prefs: DataFrame | None = None) -> Partitioned:
+def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan, cfg: PartitionConfig, col: str = "q", sample_rows: int = 20_000, top_m: int | None = KEPT_PREFS, start: ClusterState | None = None, prefs: DataFrame | None = None, few_rows: int = FEW_ROWS) -> Partitioned:
     """One pass over the vectors, block by block.
 
     Preference lists, cut to ``top_m`` entries, are computed in one scan and written by block, or
     handed over in ``prefs`` as ``listed_by_block`` writes them; from there on only slim rows move.
     One aggregate gives every block's first proposals, so a block whose shards have room needs no
     job for its homes. Per block: homes, then counts, radii and quotas, then replicas under the new
-    quotas, looked for among the listed shards. The assignment is (vec_id, shard_id, is_home, dist,
+    quotas, looked for among the listed shards. A block of up to ``few_rows`` cut lists takes its rounds
+    on the driver, where they cost no jobs; the result is the same. The assignment is (vec_id, shard_id, is_home, dist,
     rank, n_homes, block_id), dist squared.
     """
     spark = vectors.sparkSession
@@ -291,7 +373,16 @@ def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan
     log, parts, left = [], [], n
     for b in sorted(sizes):
         block = prefs.where(F.col("block_id") == b).drop("block_id")
-        homes, counts, far = assign_homes(block, state.room, ws, f"homes{b}", sizes[b], firsts[b], full)
+        small = small_home = None
+        if sizes[b] <= few_rows and top_m is not None and cfg.mode != "strict":
+            small = SmallBlock(block.select("vec_id", "prefs").toArrow())
+            small_home = small.homes(state.room)
+        if small_home is None:
+            homes, counts, far = assign_homes(block, state.room, ws, f"homes{b}", sizes[b], firsts[b], full)
+        else:
+            own = small.shard[np.arange(len(small_home)), small_home]
+            counts, far = np.bincount(own, minlength=k), np.full(k, np.nan)
+            np.fmax.at(far, own, small.dist[np.arange(len(small_home)), small_home])
         state.update(counts, far)
         left -= sizes[b]
         state.n_left = left
@@ -299,6 +390,9 @@ def partition_vectors(vectors: DataFrame, centroids: np.ndarray, plan: ShardPlan
             state.refresh_quota(left, cfg.quota, cfg.lo, cfg.hi, cfg.margin, cfg.fixed_share)
         boost = radius_boost(b + 1, cfg.blocks, cfg.boost, cfg.b0, cfg.p)
         log += state.rows(b, boost)
+        if small_home is not None:
+            parts.append(spark.createDataFrame(small.rows(small_home, *small.replicas(small_home, state, cfg, boost), b)))
+            continue
         more = assign_replicas(homes, state, cfg, boost, ws, f"repl{b}")
         w = Window.partitionBy("vec_id")
         more = more.withColumn("rank", F.row_number().over(w.orderBy("dist", "shard_id")) + 1).withColumn("n_homes", (F.count("*").over(w) + 1).cast("int"))

@@ -228,17 +228,20 @@ def blockwise_by_hand(x, c, cap, cfg):
     return out, sum(repl)
 
 
-@pytest.mark.parametrize("seed,slack,blocks,top_m", [(0, 1.3, 1, None), (1, 1.5, 3, None), (2, 2.5, 2, None), (3, 1.15, 2, 1)])
-def test_blockwise_pass_equals_plain_loops(spark, seed, slack, blocks, top_m):
+@pytest.mark.parametrize("few_rows", [0, 50_000])
+@pytest.mark.parametrize("seed,slack,blocks,top_m", [(0, 1.3, 1, 16), (1, 1.5, 3, 16), (2, 2.5, 2, 16), (3, 1.15, 2, 1)])
+def test_blockwise_pass_equals_plain_loops(spark, seed, slack, blocks, top_m, few_rows):
     rng = np.random.default_rng(seed)
     x, k = rng.integers(-60, 60, (150, 3)), 5
     c = rng.integers(-50, 50, (k, 3)).astype(float)
     cap = int(np.ceil(len(x) * slack / k))
-    cfg = PartitionConfig(eps=Fraction(3, 2), max_homes=2, blocks=blocks)
-    p = partition_vectors(frame(spark, x), c, ShardPlan(k, cap), cfg, sample_rows=1 << 40, top_m=top_m)
-    got = {}
+    cfg = PartitionConfig(eps=Fraction(3, 2), max_homes=2 + (blocks == 2), blocks=blocks)
+    p = partition_vectors(frame(spark, x), c, ShardPlan(k, cap), cfg, sample_rows=1 << 40, top_m=top_m, few_rows=few_rows)
+    got, n = {}, {}
     for r in p.assignment.collect():
         got.setdefault(r.vec_id, set()).add((r.shard_id, r.is_home))
+        n.setdefault(r.vec_id, []).append((r.rank, r.n_homes))
+    assert all(sorted(x) == [(i + 1, len(x)) for i in range(len(x))] for x in n.values())
     want, replicas = blockwise_by_hand(x.astype(float), c, cap, cfg)
     assert replicas > 0
     assert got == want
