@@ -15,6 +15,8 @@ from shardgraph.workspace import Workspace
 
 #: Distances that a task holds at once: 32 MB, whatever the number of shards.
 MATRIX_CELLS = 4_000_000
+#: A sample is held on the driver up to this many components (128 MB), and a Lloyd round over it up to this many multiplications.
+HELD_CELLS, HELD_WORK = 16_000_000, 2_000_000_000
 
 
 def bounded_sample(vectors: DataFrame, rows: int, seed: int = 0) -> DataFrame:
@@ -25,6 +27,16 @@ def bounded_sample(vectors: DataFrame, rows: int, seed: int = 0) -> DataFrame:
     return vectors.where(F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.lit(1 << 30)) < int((1 << 30) * rows / n))
 
 
+def _gathered(x: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows and sums of the vectors nearest to each centroid, ties to the lower shard."""
+    near = np.concatenate([sq_distances(x[a : a + 8192], c).argmin(axis=1) for a in range(0, len(x), 8192)])
+    order = np.argsort(near, kind="stable")
+    n, sums = np.bincount(near, minlength=len(c)), np.zeros(c.shape)
+    at = np.flatnonzero(n)
+    sums[at] = np.add.reduceat(x[order], (np.cumsum(n) - n)[at], axis=0)
+    return n, sums
+
+
 def lloyd_round(vectors: DataFrame, centroids: np.ndarray, col: str = "q") -> DataFrame:
     """Rows (shard_id, n, sums): each vector counted at its nearest centroid, ties to the lower shard.
 
@@ -37,10 +49,8 @@ def lloyd_round(vectors: DataFrame, centroids: np.ndarray, col: str = "q") -> Da
         n, sums = np.zeros(len(c), np.int64), np.zeros(c.shape)
         for b in batches:
             if b.num_rows:
-                x = matrix(b.column(0))
-                near = sq_distances(x, c).argmin(axis=1)
-                n += np.bincount(near, minlength=len(c))
-                np.add.at(sums, near, x)
+                more = _gathered(matrix(b.column(0)), c)
+                n, sums = n + more[0], sums + more[1]
         at = np.flatnonzero(n)
         yield pa.RecordBatch.from_pydict({"shard_id": pa.array(at.astype(np.int32)), "n": pa.array(n[at]), "sums": lists(pa.array(sums[at].ravel()), np.full(len(at), c.shape[1]))})
 
@@ -91,15 +101,26 @@ def seeds_parallel(vectors: DataFrame, k: int, col: str = "q", rounds: int = 3,
     return chosen[sorted(picked)]
 
 
-def fit_centroids(vectors: DataFrame, k: int, sample_rows: int = 100_000, iters: int = 15, seed: int = 0, init: str = "lowest_id", col: str = "q") -> np.ndarray:
-    """k centroids of a bounded sample; an emptied cluster keeps its centroid."""
+def fit_centroids(vectors: DataFrame, k: int, sample_rows: int = 100_000, iters: int = 15, seed: int = 0, init: str = "lowest_id", col: str = "q", held: tuple[int, int] = (HELD_CELLS, HELD_WORK)) -> np.ndarray:
+    """k centroids of a bounded sample; an emptied cluster keeps its centroid.
+
+    A sample within ``held`` (components, multiplications a round) is fetched once and its rounds run
+    on the driver, where they cost no jobs; beyond it every round is a job. Integer vectors give the
+    same centroids either way, others the same up to the order of a sum.
+    """
     ws = Workspace(vectors.sparkSession, "kmeans")
     sample = ws.write(bounded_sample(vectors.select("vec_id", col), sample_rows, seed), "sample")
     c = seeds_lowest_id(sample, k, col) if init == "lowest_id" else seeds_parallel(sample, k, col, seed=seed)
+    rows = sample.count()
+    x = matrix(sample.select(col).toArrow().column(0)) if rows and rows * c.shape[1] <= held[0] and rows * c.size <= held[1] else None
     for _ in range(iters):
         new = c.copy()
-        for r in lloyd_round(sample, c, col).collect():
-            new[r.shard_id] = np.asarray(r.sums) / r.n
+        if x is not None:
+            n, sums = _gathered(x, c)
+            new[n > 0] = sums[n > 0] / n[n > 0][:, None]
+        else:
+            for r in lloyd_round(sample, c, col).collect():
+                new[r.shard_id] = np.asarray(r.sums) / r.n
         if np.array_equal(new, c):
             break
         c = new

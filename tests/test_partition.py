@@ -147,6 +147,21 @@ def test_lloyd_and_seeding(spark):
     assert r == {0: 40, 1: 40, 2: 40}
 
 
+def test_lloyd_on_the_driver_and_in_jobs(spark):
+    """Held samples and distributed rounds give the same centroids, those of plain loops; an emptied cluster keeps its own."""
+    rng = np.random.default_rng(4)
+    x = np.r_[rng.integers(-50, 50, (200, 5)), np.full((3, 5), 1000)]
+    x[1] = x[0]  # equal seeds: the second one wins no vector
+    v = frame(spark, x)
+    plain = x[:6].astype(float)
+    for _ in range(7):
+        near = ((x[:, None, :] - plain[None]) ** 2).sum(axis=2).argmin(axis=1)
+        plain = np.array([x[near == j].mean(axis=0) if (near == j).any() else plain[j] for j in range(6)])
+    held, jobs = fit_centroids(v, 6, iters=7), fit_centroids(v, 6, iters=7, held=(0, 0))
+    assert np.array_equal(held, jobs)
+    assert np.allclose(held, plain, rtol=0, atol=1e-9)
+
+
 def test_preferences_metrics(spark):
     v = frame(spark, [[3, 0], [0, 2]])
     c = np.array([[1.0, 0], [0, 5]])
