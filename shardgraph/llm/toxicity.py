@@ -25,27 +25,39 @@ def word_set(text: str | None) -> set[bytes]:
 
 def features_of(word: bytes) -> set[bytes]:
     """The word itself and its character n-grams, which inflected and joined forms share."""
+    if word.isascii():
+        b = b"^%b$" % word
+        return {word, *[b[i : i + GRAM] for i in range(len(b) - GRAM + 1)]}
     w = "^" + word.decode("utf-8", "replace") + "$"
     return {word, *(w[i : i + GRAM].encode("utf-8", "replace") for i in range(len(w) - GRAM + 1))}
 
 
+class WordSums(dict):
+    """Word -> sum of the weights of its features; starts anew after ``REMEMBERED`` words."""
+
+    def __init__(self, vocabulary: dict[bytes, int], weights: np.ndarray):
+        super().__init__()
+        self.known = {f: w for f, w in zip(vocabulary, weights[list(vocabulary.values())].tolist(), strict=True)}
+
+    def __missing__(self, word: bytes) -> float:
+        if len(self) >= REMEMBERED:
+            self.clear()
+        known = self.known
+        got = self[word] = fsum([known[f] for f in features_of(word) if f in known])
+        return got
+
+
 class OrdinalModel:
     """P(grade <= j) = sigmoid(theta_j - w.x) over the grades seen; one weight vector, ordered thresholds."""
 
     def __init__(self, grades: list[int], vocabulary: dict[bytes, int], weights: np.ndarray, theta: np.ndarray):
         self.grades, self.vocabulary, self.weights, self.theta = grades, vocabulary, weights, theta
-        self.sums: dict[bytes, float] = {}
-
-    def word_sum(self, word: bytes) -> float:
-        got = self.sums.get(word)
-        if got is None:
-            if len(self.sums) >= REMEMBERED:
-                self.sums.clear()
-            got = self.sums[word] = fsum(self.weights[self.vocabulary[f]] for f in features_of(word) & self.vocabulary.keys())
-        return got
+        self.sums: WordSums | None = None
 
     def probabilities(self, texts: list[str | None]) -> np.ndarray:
-        x = np.array([fsum(map(self.word_sum, word_set(t))) for t in texts])
+        if self.sums is None:
+            self.sums = WordSums(self.vocabulary, self.weights)
+        x = np.array([fsum(map(self.sums.__getitem__, word_set(t))) for t in texts])
         below = 1 / (1 + np.exp(np.clip(x[:, None] - self.theta[None, :], -60, 60)))
         return np.diff(np.c_[np.zeros(len(texts)), below, np.ones(len(texts))], axis=1)
 
@@ -87,7 +99,7 @@ class OrdinalModel:
 def _features(vocabulary: dict[bytes, int]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
-            rows = [sorted(vocabulary[f] for w in word_set(t) for f in features_of(w) & vocabulary.keys()) for t in b.column("text").to_pylist()]
+            rows = [sorted(vocabulary[f] for w in word_set(t) for f in features_of(w) if f in vocabulary) for t in b.column("text").to_pylist()]
             yield pa.RecordBatch.from_pydict({"grade": b.column("grade"), "x": pa.array(rows, pa.list_(pa.int32()))})
 
     return run
