@@ -461,6 +461,29 @@ def test_shingle_join_odd_rows(spark):
     assert jaccard_join.similar_components(docs(spark, [])).count() == 0
 
 
+def test_shingle_join_counts_frequent_tokens_over_all_rows(spark, monkeypatch):
+    """150 of 9,000 documents share a passage, and all of these have ids that a hash sample of 8,000 leaves out."""
+    u = F.pmod(F.xxhash64("id"), F.lit(1 << 30)) / float(1 << 30)
+    ids = [r.id for r in spark.range(100_000).where(u >= 8_000 / 9_000).limit(150).collect()]
+    passage = " ".join(f"p{j}" for j in range(20))
+    texts = {i: f"{passage} {' '.join(f'own{k // 2}x{j}' for j in range(5))} {i}" for k, i in enumerate(ids)}  # two and two alike
+    others = {200_000 + i: f"word{i}" for i in range(8_850)}
+    most, write = [], Workspace.write
+
+    def watched(ws, df, name, by=None):
+        out = write(ws, df, name, by)
+        if name == "held":
+            most.append(out.agg(F.max("df")).first()[0])
+        return out
+
+    monkeypatch.setattr(Workspace, "write", watched)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard_join.similar_components(docs(spark, [(i, t, None, None) for i, t in (texts | others).items()])).collect()}
+    want = brute_components(texts)
+    assert len({c for _, c in want.values()}) == 75
+    assert got == want | {i: (1, i) for i in others}
+    assert most == [2]  # the passage's tokens are not among the rare ones
+
+
 # ---- op7
 def test_mix_shares_and_prefixes(spark):
     rows = [(i, "t " * 9 + "t", "en" if i % 4 else "de", f"src{i % 7}") for i in range(2000)]
