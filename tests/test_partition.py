@@ -260,3 +260,13 @@ def test_blockwise_pass_equals_plain_loops(spark, seed, slack, blocks, top_m, fe
     want, replicas = blockwise_by_hand(x.astype(float), c, cap, cfg)
     assert replicas > 0
     assert got == want
+
+
+@pytest.mark.parametrize("n,parts", [(10, 4), (20_003, 4), (3, 5)])
+def test_blocks_are_cut_as_ntile(spark, n, parts):
+    """Also beyond the 10,000 keys up to which a quantile sketch is exact."""
+    rng = np.random.default_rng(n)
+    ids = np.sort(rng.choice(10 * n, n, replace=False))
+    got = contiguous_split(spark.createDataFrame([(int(i), [0]) for i in rng.permutation(ids)], "vec_id bigint, q array<int>"), parts)
+    want = np.repeat(np.arange(parts), [n // parts + (i < n % parts) for i in range(parts)])
+    assert [(r.vec_id, r.shard_id) for r in got.orderBy("vec_id").collect()] == list(zip(ids.tolist(), want.tolist(), strict=True))
