@@ -270,3 +270,11 @@ def test_blocks_are_cut_as_ntile(spark, n, parts):
     got = contiguous_split(spark.createDataFrame([(int(i), [0]) for i in rng.permutation(ids)], "vec_id bigint, q array<int>"), parts)
     want = np.repeat(np.arange(parts), [n // parts + (i < n % parts) for i in range(parts)])
     assert [(r.vec_id, r.shard_id) for r in got.orderBy("vec_id").collect()] == list(zip(ids.tolist(), want.tolist(), strict=True))
+
+
+def test_preferences_keep_the_lower_shard_of_a_tie_at_the_cut(spark):
+    rng = np.random.default_rng(2)
+    c = rng.integers(0, 3, (12, 3)).astype(float)
+    x = rng.integers(0, 3, (300, 3))
+    got = {r.vec_id: [(p.dist, p.shard_id) for p in r.prefs] for r in preferences(frame(spark, x), c, 3).collect()}
+    assert got == {i: sorted((float(((v - u) ** 2).sum()), s) for s, u in enumerate(c))[:3] for i, v in enumerate(x)}
