@@ -203,3 +203,13 @@ def test_faults_show_in_graph_checks(spark):
     good = first.select("vec_id", F.array("first").alias("ids"))
     assert _misses_nearest(good, first, ["vec_id"], 0.9).first()[0] == 0
     assert _misses_nearest(good.withColumn("ids", F.array().cast("array<bigint>")), first, ["vec_id"], 0.9).first()[0] == 10
+
+
+def test_exact_search_in_blocks_keeps_ties_by_id(spark, monkeypatch):
+    monkeypatch.setattr(search, "EXACT_CELLS", 50)
+    x = cloud(120, 2).astype(int) // 40
+    v = frame(spark, x)
+    got = {}
+    for r in search.search_exact(v, v.where("vec_id < 40").withColumnRenamed("vec_id", "query_id"), 7).collect():
+        got.setdefault(r.query_id, {})[r["rank"]] = (r.dist, r.vec_id)
+    assert {q: [got[q][i + 1] for i in range(7)] for q in got} == {q: sorted((float(((a - x[q]) ** 2).sum()), i) for i, a in enumerate(x))[:7] for q in range(40)}
