@@ -2,10 +2,11 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from shardgraph.operators import metrics, search
+from shardgraph.operators import beams, metrics, search
 from shardgraph.operators.build import build_shards
 from shardgraph.operators.builders import BUILDERS, knn_exact
 from shardgraph.operators.builders.detour import detours
+from shardgraph.operators.builders.robust import prune
 from shardgraph.operators.merge import POLICIES, merge_graphs
 from shardgraph.operators.partition import contiguous_split, unsplit
 from shardgraph.plans.pipelines import METHODS, RunConfig, run
@@ -213,3 +214,46 @@ def test_exact_search_in_blocks_keeps_ties_by_id(spark, monkeypatch):
     for r in search.search_exact(v, v.where("vec_id < 40").withColumnRenamed("vec_id", "query_id"), 7).collect():
         got.setdefault(r.query_id, {})[r["rank"]] = (r.dist, r.vec_id)
     assert {q: [got[q][i + 1] for i in range(7)] for q in got} == {q: sorted((float(((a - x[q]) ** 2).sum()), i) for i, a in enumerate(x))[:7] for q in range(40)}
+
+
+@pytest.mark.parametrize("beam,width", [(5, 1), (30, 1), (12, 3)])
+def test_searches_of_many_queries_equal_single_ones(beam, width):
+    x = cloud(300, 3, 5) // 40
+    graph = [np.unique(r[r >= 0]) for r in BUILDERS["robust"](np.arange(300), x, 6, 12)]
+    q = cloud(40, 3, 6) // 40
+    got = beams.search_beams(x, beams.padded(graph), np.tile([0, 7], (40, 1)), q, beam, width)
+    for i, v in enumerate(q):
+        f = search.beam_search(x, graph, np.array([0, 7]), v, beam, width)
+        n = len(f.at)
+        assert (got.node[i, :n].tolist(), got.dist[i, :n].tolist()) == (f.at.tolist(), f.dist.tolist()) and (got.node[i, n:] == -1).all()
+        assert (got.hops[i], got.dist_count[i], got.reads[i]) == (f.hops, f.dist_count, f.reads)
+
+
+def test_prune_by_definition():
+    x, ids, rng = cloud(60, 4, 8) // 30, np.arange(60)[::-1].copy(), np.random.default_rng(3)
+    cand = np.where(rng.random((20, 30)) < 0.2, -1, rng.integers(0, 60, (20, 30)))
+    got = prune(np.arange(20), cand, x, 5, 1.2, ids)
+    for u in range(20):
+        far, kept = lambda a, b: float(((x[a] - x[b]) ** 2).sum()), []
+        for v in sorted(set(cand[u].tolist()) - {-1, u}, key=lambda v: (far(u, v), ids[v])):
+            if len(kept) < 5 and all(1.2 * 1.2 * far(w, v) > far(u, v) for w in kept):
+                kept.append(v)
+        assert got[u][got[u] >= 0].tolist() == kept
+
+
+def test_a_beam_that_holds_all_nodes_counts_what_the_search_does():
+    x = cloud(50, 3, 9)
+    graph = [np.array([j for j in (i - 1, i + 1) if 0 <= j < 50 and {i, j} != {39, 40}]) for i in range(50)]
+    rows = search._search_rows(np.arange(50) * 3, x, beams.padded(graph), np.array([5]), search.Queries(np.array([1, 2]), x[:2] + 1), 50, 1, 10).to_pylist()
+    for i, v in enumerate(x[:2] + 1):
+        f = search.beam_search(x, graph, np.array([5]), v, 50)
+        assert [(r["vec_id"], r["dist"], r["hops"], r["dist_count"], r["reads"]) for r in rows if r["query_id"] == i + 1] == [(a * 3, d, f.hops, f.dist_count, f.reads) for a, d in zip(f.at[:10].tolist(), f.dist.tolist(), strict=False)]
+
+
+def test_range_search_in_blocks(spark, monkeypatch):
+    monkeypatch.setattr(search, "EXACT_CELLS", 50)
+    x = cloud(90, 3).astype(int) // 20
+    v = frame(spark, x)
+    got = search.search_range(v.where("vec_id % 3 <> 0"), v.where("vec_id % 3 = 0").withColumnRenamed("vec_id", "query_id"), 20).collect()
+    far = ((x[:, None, :] - x[None, :, :]) ** 2).sum(axis=2)
+    assert sorted((r.query_id, r.vec_id, r.dist) for r in got) == [(q, i, far[q, i]) for q in range(0, 90, 3) for i in range(90) if i % 3 and far[q, i] <= 20]
