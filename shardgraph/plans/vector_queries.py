@@ -121,8 +121,9 @@ def q_knn_postfilter(spark, sf_dir):
 @CORE.query("knn_range", f"with {V}, {QD} select query_id, vec_id, d2 from qd where d2 <= 1500000")
 def q_knn_range(spark, sf_dir):
     vecs = tables.e64q(spark, sf_dir)
-    q = F.broadcast(vecs.where("vec_id % 10 = 0").select(F.col("vec_id").alias("query_id"), F.col("q").alias("y")))
-    return vecs.where("vec_id % 10 <> 0").crossJoin(q).select("query_id", "vec_id", v.l2sq(F.col("q"), F.col("y")).alias("d2")).where("d2 <= 1500000")
+    queries = vecs.where("vec_id % 10 = 0").select(F.col("vec_id").alias("query_id"), "q")
+    got = search.search_range(vecs.where("vec_id % 10 <> 0"), queries, 1_500_000)
+    return got.select("query_id", "vec_id", F.col("dist").cast("bigint").alias("d2"))
 
 
 @CORE.query("knn_self_pairs", f"with {V}, x as (select a.vec_id as a, b.vec_id as b, (list_inner_product(a.q::double[], a.q::double[]) - 2 * list_inner_product(a.q::double[], b.q::double[]) + list_inner_product(b.q::double[], b.q::double[]))::bigint as d2 from v a join v b on a.vec_id <> b.vec_id) select a, b, d2 from (select *, row_number() over (partition by a order by d2, b) as r from x) where r = 1")
