@@ -257,3 +257,16 @@ def test_range_search_in_blocks(spark, monkeypatch):
     got = search.search_range(v.where("vec_id % 3 <> 0"), v.where("vec_id % 3 = 0").withColumnRenamed("vec_id", "query_id"), 20).collect()
     far = ((x[:, None, :] - x[None, :, :]) ** 2).sum(axis=2)
     assert sorted((r.query_id, r.vec_id, r.dist) for r in got) == [(q, i, far[q, i]) for q in range(0, 90, 3) for i in range(90) if i % 3 and far[q, i] <= 20]
+
+
+def test_searches_of_an_index_gather_its_graph_once(spark, monkeypatch):
+    calls = []
+    gather = search.hold_resident
+    monkeypatch.setattr("shardgraph.plans.pipelines.hold_resident", lambda *a: calls.append(1) or gather(*a))
+    v = frame(spark, cloud(200))
+    h = run("selective_merge", v, RunConfig(k=3, degree=8, working=16, blocks=1, iters=2))
+    q = v.where("vec_id < 5").withColumnRenamed("vec_id", "query_id")
+    for beam in (20, 200):
+        got = h.search(q, 3, beam).collect()
+        assert len(got) == 15 and all(r.vec_id == r.query_id and r.dist == 0 for r in got if r["rank"] == 1)
+    assert len(calls) == 1
