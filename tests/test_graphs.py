@@ -1,3 +1,5 @@
+import tracemalloc
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -270,3 +272,13 @@ def test_searches_of_an_index_gather_its_graph_once(spark, monkeypatch):
         got = h.search(q, 3, beam).collect()
         assert len(got) == 15 and all(r.vec_id == r.query_id and r.dist == 0 for r in got if r["rank"] == 1)
     assert len(calls) == 1
+
+
+def test_refinement_gathers_in_blocks():
+    x = cloud(600, 768)
+    tracemalloc.start()
+    g = BUILDERS["knn_descent"](np.arange(600), x, 12, 24)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 150e6  # 3 GB before
+    assert np.mean([len(set(a) & set(b)) / 12 for a, b in zip(g.tolist(), knn_exact(np.arange(600), x, 12).tolist(), strict=True)]) > 0.9
