@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from shardgraph.operators import beams, metrics, search
-from shardgraph.operators.build import build_shards
+from shardgraph.operators.build import build_shards, edges_of
 from shardgraph.operators.builders import BUILDERS, knn_exact
 from shardgraph.operators.builders.detour import detours
 from shardgraph.operators.builders.robust import prune
@@ -171,7 +171,7 @@ def test_split_query_searches_every_query(spark, monkeypatch):
 
 def test_split_search_sums_equal_shards(spark):
     """Two shards of equal shape have equal counters; each counts."""
-    from shardgraph.operators.build import build_shards
+    from shardgraph.operators.build import build_shards, edges_of
     from shardgraph.operators.search import search_split
 
     x = [(i, [i % 10, 7 * (i % 10) % 11]) for i in range(20)]
@@ -282,3 +282,13 @@ def test_refinement_gathers_in_blocks():
     tracemalloc.stop()
     assert peak < 150e6  # 3 GB before
     assert np.mean([len(set(a) & set(b)) / 12 for a, b in zip(g.tolist(), knn_exact(np.arange(600), x, 12).tolist(), strict=True)]) > 0.9
+
+
+def test_edges_are_measured_in_blocks():
+    x, near = cloud(4000, 768), np.tile(np.arange(1, 17), (4000, 1))
+    tracemalloc.start()
+    got = edges_of(x, np.arange(4000), near)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 120e6  # 788 MB before
+    assert got[5].as_py()[2] == {"id": 3, "d": float(((x[5] - x[3]) ** 2).sum())}
