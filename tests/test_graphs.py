@@ -292,3 +292,25 @@ def test_edges_are_measured_in_blocks():
     tracemalloc.stop()
     assert peak < 120e6  # 788 MB before
     assert got[5].as_py()[2] == {"id": 3, "d": float(((x[5] - x[3]) ** 2).sum())}
+
+
+def test_exact_lists_of_tiles():
+    rng = np.random.default_rng(4)
+    for x in (cloud(500, 6), rng.integers(0, 3, (500, 3)).astype(float), cloud(500, 6) + rng.random((500, 6))):
+        ids = rng.permutation(9_000)[:500]
+        d = ((x[:, None, :] - x[None, :, :]) ** 2).sum(axis=2)
+        np.fill_diagonal(d, np.inf)
+        want = np.stack([np.lexsort((ids, row))[:7] for row in d])
+        for tile in (8, 64, 500):
+            assert (knn_exact(ids, x, 7, tile=tile) == want).all()
+
+
+def test_detour_starts_from_exact_lists(monkeypatch):
+    from shardgraph.operators.builders import detour
+
+    monkeypatch.setattr(detour, "knn_descent", None)
+    x = cloud(21_000, 2, 3)
+    g = BUILDERS["knn_detour"](np.arange(21_000), x, 2, 2)
+    d = ((x[:50, None, :] - x[None, :, :]) ** 2).sum(axis=2)
+    d[np.arange(50), np.arange(50)] = np.inf
+    assert (g[:50, 0] == d.argmin(axis=1)).all()
