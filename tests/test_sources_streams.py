@@ -224,3 +224,13 @@ def test_vectors_are_read_once(spark):
     partition_vectors(n0, np.array([[0.0, 0, 0], [9, 9, 9]]), ShardPlan(2, 300), PartitionConfig(blocks=4)).assignment.count()
     # one pass each: the block cuts, the preference lists; none per block
     assert reads.value <= 2 * 200
+
+
+def test_hashed_units_equal_the_plan_of_words(spark):
+    rows = [(1, "The cat, the CAT 42"), (2, None), (3, "  .. "), (4, "na\u00efve \u212a \u0130x"), (5, "a" * 50 + " b"), (1, "cat again"), (6, ""), (7, "word " * 3000)]
+    texts = spark.createDataFrame(rows, "vec_id bigint, text string").repartition(3)
+    for dims in (16, 768):
+        want = {r.vec_id: r.q for r in tables.densify(tables.hashed_words(texts, dims), dims).collect()}
+        df = tables.hashed_units(texts, dims)
+        assert {r.vec_id: r.q for r in df.collect()} == want and df.count() == len(want)
+    assert "Generate" not in tables.documents_768(spark, SF_SMOKE)._jdf.queryExecution().toString()
