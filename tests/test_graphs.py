@@ -314,3 +314,25 @@ def test_detour_starts_from_exact_lists(monkeypatch):
     d = ((x[:50, None, :] - x[None, :, :]) ** 2).sum(axis=2)
     d[np.arange(50), np.arange(50)] = np.inf
     assert (g[:50, 0] == d.argmin(axis=1)).all()
+
+
+def test_search_of_node_files_takes_a_job_a_hop(spark, tmp_path):
+    from shardgraph.operators.merge import write_nodes
+
+    x = cloud(300, 6, 5)
+    near, v = knn_exact(np.arange(300), x, 6), frame(spark, x)
+    g = spark.createDataFrame([(i, [(int(j), 0.0) for j in row]) for i, row in enumerate(near)], "vec_id bigint, nbrs array<struct<id:bigint,d:double>>")
+    write_nodes(g, v, str(tmp_path / "n"), 2)
+    queries = spark.createDataFrame([(i, [int(c) for c in x[i] + 3]) for i in range(0, 300, 30)], "query_id bigint, q array<int>")
+    spark.sparkContext.setJobGroup("nodes", "nodes")
+    found = search.search_nodes(spark, str(tmp_path / "n"), queries, 5, 12, [7, 200], 3)
+    jobs = len(spark.sparkContext.statusTracker().getJobIdsForGroup("nodes"))
+    spark.sparkContext.setJobGroup("after", "after")
+    got, hops = {}, 0
+    for r in found.orderBy("query_id", "rank").collect():
+        got.setdefault(r.query_id, []).append((r.vec_id, r.dist, r.hops, r.dist_count, r.reads))
+        hops = max(hops, r.hops)
+    for i in range(0, 300, 30):
+        f = search.beam_search(x, list(near), np.array([7, 200]), x[i] + 3, 12, 3)
+        assert got[i] == [(n, d, f.hops, f.dist_count, f.reads) for n, d in zip(f.at[:5].tolist(), f.dist[:5].tolist(), strict=True)]
+    assert len(got) == 10 and jobs <= hops + 10
